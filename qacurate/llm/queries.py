@@ -2,26 +2,55 @@
 
 from __future__ import annotations
 
+import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from qacurate.llm import compression, quality_crf, toxicity_chain
+from qacurate.llm import compression, mixing, packing, quality_crf, radix_exact, simhash_cover, substring_cover, toxicity_chain
 from qacurate.registry import Registry, read
 
 LLM = Registry()
 
 
+TOKENIZER = public_tokenizers.path("word_bpe_49k.json")
+
+
+@LLM.add("op1_mix_pfair")
+def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return mixing.mix(read(spark, sf_dir, "documents"))
+
+
+@LLM.add("op4_pack_nnls")
+def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return packing.pack(read(spark, sf_dir, "documents"), TOKENIZER)
+
+
 @LLM.add("op5_quality_crf")
 def op5(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = read(spark, sf_dir, "documents")
     return quality_crf.score(docs, quality_crf.fit(docs, read(spark, sf_dir, "labels")))
 
 
+@LLM.add("op6_substring_cover", substring_cover.ORACLE)
+def op6(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return substring_cover.remove_repeats(read(spark, sf_dir, "documents")).drop("cut_from", "cut_to")
+
+
 @LLM.add("op7_compression_bands")
 def op7(spark: SparkSession, sf_dir: str) -> DataFrame:
     return compression.compression_bands(read(spark, sf_dir, "documents"))
 
 
+@LLM.add("op8_radix_exact", radix_exact.ORACLE)
+def op8(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return radix_exact.exact_classes(read(spark, sf_dir, "documents"))
+
+
+@LLM.add("op9_simhash_cover")
+def op9(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return simhash_cover.near_classes(read(spark, sf_dir, "documents"))
+
+
 @LLM.add("op10_toxicity_chain")
 def op10(spark: SparkSession, sf_dir: str) -> DataFrame:
     """The label table names two categories: unfit text comes first in the chain, abuse second."""
