@@ -222,6 +222,25 @@ def fit(docs: DataFrame, labels: DataFrame, sample: int = 3000, sample_chars: in
     return train(own, np.concatenate(sizes).astype(np.float64), bounds, np.array([float(r.quality > 0) for r in rows]))
 
 
+def _scores(texts_: list[bytes], model: Model | None) -> np.ndarray:
+    rows = [line_features(t) for t in texts_]
+    if model is None or not rows:
+        return np.full(len(rows), 0.5)
+    bounds = np.concatenate([[0], np.cumsum([len(s) for _, s in rows])]).astype(np.int64)
+    return model.scores(np.concatenate([a for a, _ in rows]), np.concatenate([s for _, s in rows]), bounds)
+
+
+def keep_good(docs: DataFrame, model: Model | None, cut: float = 0.3) -> DataFrame:
+    """The rows whose text scores ``cut`` or more, with all columns; judged where they are read, without shuffle."""
+    bound_batches(docs.sparkSession)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(batches):
+            yield batch.filter(pa.array(_scores(texts(batch.column("text")), model) >= cut))
+
+    return docs.mapInArrow(run, docs.schema)
+
+
 def score(docs: DataFrame, model: Model | None, cut: float = 0.3) -> DataFrame:
     """(doc_id, held_out, score, predicted) of every row; a scan without shuffle.
 
@@ -233,12 +252,7 @@ def score(docs: DataFrame, model: Model | None, cut: float = 0.3) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches):
-            rows = [line_features(t) for t in texts(batch.column("text"))]
-            bounds = np.concatenate([[0], np.cumsum([len(s) for _, s in rows])]).astype(np.int64)
-            if model is None or not rows:
-                out = np.full(len(rows), 0.5)
-            else:
-                out = model.scores(np.concatenate([a for a, _ in rows]), np.concatenate([s for _, s in rows]), bounds)
+            out = _scores(texts(batch.column("text")), model)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(out)], names=["doc_id", "score"])
 
     scored = docs_of(docs, "doc_id", "text").mapInArrow(run, "doc_id long, score double")

@@ -6,8 +6,9 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from qacurate.llm import compression, mixing, packing, quality_crf, radix_exact, simhash_cover, substring_cover, toxicity_chain
+from qacurate.llm import compression, line_alignment, mixing, packing, quality_crf, radix_exact, simhash_cover, substring_cover, toxicity_chain, warc
 from qacurate.registry import Registry, read
+from qacurate.staging import fresh_path
 
 LLM = Registry()
 
@@ -20,6 +21,20 @@ def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(read(spark, sf_dir, "documents"))
 
 
+@LLM.add("op2_warc_segments", warc.round_trip_sql())
+def op2(spark: SparkSession, sf_dir: str) -> DataFrame:
+    path = fresh_path(spark, "warc")
+    warc.write_warc(read(spark, sf_dir, "pages"), path)
+    found = warc.read_warc(spark, path, with_payload=False)
+    return found.select("page_id", "payload_bytes", "payload_digest", "record_type", "refers_to")
+
+
+@LLM.add("op3_line_alignment")
+def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
+    found = line_alignment.align_lines(read(spark, sf_dir, "documents"))
+    return found.withColumn("removed", F.array_join("removed", ","))
+
+
 @LLM.add("op4_pack_nnls")
 def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
     return packing.pack(read(spark, sf_dir, "documents"), TOKENIZER)
