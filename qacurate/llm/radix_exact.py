@@ -38,7 +38,8 @@ def _round(state: DataFrame, size: int) -> DataFrame:
     groups.drop()
     ends = F.length("digit") < size
     goes_on = F.col("members").isNotNull() & ~ends
-    return open_.join(named.df, ["grp", "digit"], "left").select(
+    # Merge at every size: a broadcast of small group tables would make the plan depend on the input's size.
+    return open_.join(named.df.hint("merge"), ["grp", "digit"], "left").select(
         "doc_id",
         "sha",
         F.when(goes_on, F.col("next")).alias("grp"),
