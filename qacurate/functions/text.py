@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+from collections.abc import Callable
+
 from pyspark.sql import Column
 from pyspark.sql import functions as F
 
@@ -13,6 +15,11 @@ def col(c: Column | str) -> Column:
     return F.col(c) if isinstance(c, str) else c
 
 
+def let(value: Column, fn: Callable[[Column], Column]) -> Column:
+    """fn of a value that is worked out once per row, however often fn names it, also inside lambdas."""
+    return F.get(F.transform(F.array(value), fn), 0)
+
+
 def tokens(c: Column | str, kind: str = "word") -> Column:
     """kind: word (letters and digits, lower case), space (split at blanks), chunk (blanks kept), char."""
     text = F.coalesce(col(c), F.lit(""))
@@ -36,41 +43,45 @@ def normalised(c: Column | str) -> Column:
     return F.array_join(tokens(c), " ")
 
 
+def runs(w: Column, n: int) -> Column:
+    """All runs of n words, repeats included; a shorter text is one run."""
+    return F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(w, i, n), " "))
+
+
 def ngrams(words: Column | str, n: int) -> Column:
     """Distinct runs of n words; a shorter text is one run of all its words, none if it has no word."""
-    w = col(words)
-    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.size(w) - n + 1, F.lit(1))), lambda i: F.array_join(F.slice(w, i, n), " "))
-    return F.when(F.size(w) > 0, F.array_distinct(runs)).otherwise(F.array().cast("array<string>"))
+    return let(col(words), lambda w: F.when(F.size(w) > 0, F.array_distinct(runs(w, n))).otherwise(F.array().cast("array<string>")))
 
 
 def shingles(c: Column | str, n: int = 1) -> Column:
     return F.array_distinct(tokens(c)) if n == 1 else ngrams(tokens(c), n)
 
 
+def _shared(a: Column | str, b: Column | str, fn: Callable[[Column, Column, Column], Column]) -> Column:
+    """fn of the numbers of shared distinct members and of those of each side."""
+    a, b = F.array_distinct(col(a)), F.array_distinct(col(b))
+    return let(F.struct(F.size(F.array_intersect(a, b)).cast("double").alias("n"), F.size(a).cast("double").alias("a"), F.size(b).cast("double").alias("b")), lambda x: fn(x["n"], x["a"], x["b"]))
+
+
 def jaccard(a: Column | str, b: Column | str) -> Column:
     """Of two sets held as arrays; null if both are empty."""
-    a, b = col(a), col(b)
-    both = F.size(F.array_intersect(a, b))
-    return F.try_divide(both.cast("double"), (F.size(F.array_distinct(a)) + F.size(F.array_distinct(b)) - both).cast("double"))
+    return _shared(a, b, lambda n, x, y: F.try_divide(n, x + y - n))
 
 
 def containment(a: Column | str, b: Column | str) -> Column:
     """Shared distinct words over those of the smaller side."""
-    a, b = F.array_distinct(col(a)), F.array_distinct(col(b))
-    return F.try_divide(F.size(F.array_intersect(a, b)).cast("double"), F.least(F.size(a), F.size(b)).cast("double"))
+    return _shared(a, b, lambda n, x, y: F.try_divide(n, F.least(x, y)))
 
 
 def token_f1(a: Column | str, b: Column | str) -> Column:
     """Harmonic mean of precision and recall over distinct words."""
-    a, b = F.array_distinct(col(a)), F.array_distinct(col(b))
-    return F.coalesce(F.try_divide(2.0 * F.size(F.array_intersect(a, b)), (F.size(a) + F.size(b)).cast("double")), F.lit(0.0))
+    return _shared(a, b, lambda n, x, y: F.coalesce(F.try_divide(2.0 * n, x + y), F.lit(0.0)))
 
 
 def repetition(words: Column | str, n: int = 3) -> Column:
     """Share of word n-grams that are repeats: 1 - distinct / all; 0 for texts below n words."""
-    w = col(words)
-    runs = F.when(F.size(w) >= n, F.transform(F.sequence(F.lit(1), F.size(w) - n + 1), lambda i: F.array_join(F.slice(w, i, n), " "))).otherwise(F.array().cast("array<string>"))
-    return F.coalesce(1 - F.try_divide(F.size(F.array_distinct(runs)).cast("double"), F.size(runs).cast("double")), F.lit(0.0))
+    share = let(col(words), lambda w: F.when(F.size(w) >= n, F.size(F.array_distinct(runs(w, n))) / F.size(runs(w, n)).cast("double")))
+    return F.coalesce(1 - share, F.lit(0.0))
 
 
 def n_sentences(c: Column | str) -> Column:

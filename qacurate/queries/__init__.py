@@ -1,6 +1,6 @@
 """Registered queries of the reference's own methods, by area."""
 
-from qacurate.queries import dedup, textbook  # noqa: F401
+from qacurate.queries import decontam, dedup, textbook  # noqa: F401
 from qacurate.registry import REGISTRY
 
 __all__ = ["REGISTRY"]
