@@ -21,7 +21,7 @@ import pyarrow as pa
 from pyspark import TaskContext
 from pyspark.sql import DataFrame
 
-from qacurate.llm.text import docs_of, slices, texts
+from qacurate.llm.text import docs_of, per_process, slices, texts
 from qacurate.staging import bound_batches
 
 SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, `offset` long"
@@ -29,25 +29,59 @@ _NAMES = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id",
 Piece = tuple[int, int, int]  # document of the block, start, length
 
 
+_TAIL = b".,;:!?"
+_PLAIN = frozenset(b"abcdefghijklmnopqrstuvwxyz0123456789")
+
+
 class WordIds:
-    """Token ids of texts, word by word: the vocabulary never joins what a blank parts."""
+    """Token ids of texts, word by word: the vocabulary ignores case and never joins what a blank parts,
+    nor a letter or digit with the punctuation behind it.
+
+    Ids are remembered in two generations of ``most`` words: words met again move to the newer one, and
+    the older one is dropped when the newer is full.
+    """
 
     def __init__(self, path: str, most: int = 400_000) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
-        self.tokenizer, self.most, self.known = Tokenizer.from_file(path), most, {}
+        self.tokenizer, self.most = Tokenizer.from_file(path), most
+        self.known: dict[bytes, bytes] = {}
+        self.older: dict[bytes, bytes] = {}
+
+    def _encode(self, texts_: list[bytes]) -> list[bytes]:
+        out = []
+        for at in range(0, len(texts_), 4096):
+            part = [t.decode("utf-8", "replace") for t in texts_[at : at + 4096]]
+            out += [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(part, add_special_tokens=False)]
+        return out
+
+    def _learn(self, words: set[bytes]) -> None:
+        if len(self.known) + len(words) > self.most:
+            self.known, self.older = {}, self.known
+        known, older = self.known, self.older
+        split: list[tuple[bytes, bytes, bytes]] = []
+        new: set[bytes] = set()
+        for w in words:
+            if (ids := known.get(w) or older.get(w)) is not None:
+                known[w] = ids
+                continue
+            core = w.rstrip(_TAIL)
+            if core and len(core) < len(w) and core[-1] in _PLAIN:
+                split.append((w, core, w[len(core) :]))
+                new |= {x for x in split[-1][1:] if x not in known}
+            else:
+                new.add(w)
+        parts = list(new)
+        known.update(zip(parts, self._encode(parts), strict=True))
+        for w, core, tail in split:
+            known[w] = known[core] + known[tail]
 
     def of(self, batch: list[bytes]) -> list[np.ndarray]:
-        words = [t.split() for t in batch]
-        new = list(set().union(*words) - self.known.keys())
-        if len(self.known) + len(new) > self.most:
-            self.known, new = {}, list(set().union(*words))
-        for at in range(0, len(new), 4096):
-            part = new[at : at + 4096]
-            for w, e in zip(part, self.tokenizer.encode_batch([w.decode("utf-8", "replace") for w in part], add_special_tokens=False), strict=True):
-                self.known[w] = np.array(e.ids, "<u4").tobytes()
-        return [np.frombuffer(b"".join(map(self.known.__getitem__, w)), "<u4") for w in words]
+        # Special tokens are found by their exact case, so texts that might hold one are encoded whole.
+        words = [[] if b"<|" in t else t.lower().split() for t in batch]
+        self._learn(set().union(*words))
+        return [np.frombuffer(self._encode([t])[0] if b"<|" in t else b"".join(map(self.known.__getitem__, w)), "<u4") for t, w in zip(batch, words, strict=True)]
 
 
 def combinations(classes: int, depth: int) -> tuple[tuple[int, ...], ...]:
@@ -159,7 +193,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, window: int = 2048, u
     bound_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, ways, sequence = WordIds(tokenizer), combinations(window // unit, depth), TaskContext.get().partitionId() << 36
+        encoder, ways, sequence = per_process(f"ids of {tokenizer}", lambda: WordIds(tokenizer)), combinations(window // unit, depth), TaskContext.get().partitionId() << 36
         ids: list[int | None] = []
         tokens: list[np.ndarray] = []  # of the documents of the block
         base: list[tuple[int, int]] = []  # ids before what a document of the block holds, and all it has

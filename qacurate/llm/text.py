@@ -6,7 +6,9 @@ Words are runs of bytes other than the six ASCII blanks (space and 0x09-0x0D), w
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+import sys
+from collections.abc import Callable, Iterator
+from typing import TypeVar
 
 import numpy as np
 import pyarrow as pa
@@ -14,6 +16,7 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+T = TypeVar("T")
 BLANKS = b" \t\n\x0b\x0c\r"
 
 
@@ -26,6 +29,14 @@ def docs_of(df: DataFrame, *columns: str) -> DataFrame:
     return df.select(*[F.coalesce(F.col("text"), F.lit("")).alias("text") if c == "text" else F.col(c) for c in columns])
 
 
+def per_process(name: str, make: Callable[[], T]) -> T:
+    """What ``make`` makes, once for all tasks of a Python worker. For caches: results must not depend on it."""
+    held = sys.__dict__.setdefault("_held_per_process", {})
+    if name not in held:
+        held[name] = make()
+    return held[name]
+
+
 class WordHashes(dict):
     """Word to 64-bit hash, remembered; forgets everything when it has grown to ``most`` words."""
 
