@@ -33,7 +33,7 @@ def unwrap(value: Column) -> Column:
     """The inside of wrappers: one level of boxed, text styles, bold, dollars, brackets; ends trimmed."""
     for _ in range(2):
         value = F.regexp_replace(value, "\\\\(?:boxed|mathrm|mathbf|text|textbf)\\{((?:[^{}]|\\{[^{}]*\\})*)\\}", "$1")
-    value = F.regexp_replace(value, "\\\\left|\\\\right|\\\\,|\\\;|\\\\ |\\$|\\*\\*", "")
+    value = F.regexp_replace(value, "\\\\left|\\\\right|\\\\,|\\\\;|\\\\ |\\$|\\*\\*", "")
     value = F.regexp_replace(F.trim(value), "^\\(([^()]*)\\)$", "$1")
     return F.trim(F.regexp_replace(F.trim(value), "[.\\s]+$", ""))
 
