@@ -22,6 +22,7 @@ from qacurate.llm.text import slices
 from qacurate.staging import bound_batches
 
 END = b"\r\n\r\n"
+_NO_PAGE = -(1 << 63)
 _DATE = "2024-01-01T00:00:00Z"
 _SPACE = uuid.UUID("6ba7b811-9dad-11d1-80b4-00c04fd430c8")
 _PROFILE = "http://netpreserve.org/warc/1.1/revisit/identical-payload-digest"
@@ -93,14 +94,14 @@ def plan_revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     that page_id are responses as well; among pages without an id all are. The decision is an aggregate
     of ids by payload digest, so html meets it by page and not by payload, and no payload is hot.
     """
+    # A page without an id gets one below all others here, so that join and window share one exchange of the html.
     rows = pages.select("page_id", "url", F.coalesce(F.col("html"), F.lit("")).cast("binary").alias("payload"))
-    rows = rows.withColumn("sha", F.sha1("payload"))
-    ids = rows.where(F.length("payload") >= least).select("page_id", "sha")
+    rows = rows.withColumn("sha", F.sha1("payload")).withColumn("p", F.coalesce("page_id", F.lit(_NO_PAGE)))
+    ids = rows.where(F.length("payload") >= least).select("page_id", "p", "sha")
     low = ids.groupBy("sha").agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1 and first is not null")
-    later = ids.join(low, "sha").where(~F.col("page_id").eqNullSafe(F.col("first"))).select(F.col("page_id").alias("p"), F.col("sha").alias("s"), "first").distinct()
-    met = rows.join(later, F.col("page_id").eqNullSafe(F.col("p")) & (F.col("sha") == F.col("s")), "left")
-    copy = F.row_number().over(Window.partitionBy("page_id", "sha").orderBy("url")) - 1
-    return met.select("page_id", "url", "payload", "sha", copy.alias("copy"), "first")
+    later = ids.join(low, "sha").where(F.col("p") != F.col("first")).select("p", "sha", "first").distinct()
+    copy = F.row_number().over(Window.partitionBy("p", "sha").orderBy("url")) - 1
+    return rows.join(later, ["p", "sha"], "left").select("page_id", "url", "payload", "sha", copy.alias("copy"), "first")
 
 
 def write_warc(pages: DataFrame, path: str, segment: int = 256 << 10, chunk: int = 8 << 10, per_file: int = 20_000, least: int = 0) -> None:
