@@ -13,6 +13,7 @@ from __future__ import annotations
 
 import os
 import zlib
+from array import array
 from collections import deque
 from collections.abc import Iterator
 
@@ -41,38 +42,62 @@ class WordIds:
     the older one is dropped when the newer is full.
     """
 
-    def __init__(self, path: str, most: int = 400_000) -> None:
+    def __init__(self, path: str, most: int = 500_000) -> None:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
         from tokenizers import Tokenizer
 
         self.tokenizer, self.most = Tokenizer.from_file(path), most
+        vocabulary = self.tokenizer.get_vocab()
+        self.ends = np.zeros(max(vocabulary.values()) + 1, bool)
+        self.ends[[i for t, i in vocabulary.items() if t.endswith("</w>")]] = True
         self.known: dict[bytes, bytes] = {}
         self.older: dict[bytes, bytes] = {}
 
-    def _encode(self, texts_: list[bytes]) -> list[bytes]:
-        out = []
-        for at in range(0, len(texts_), 4096):
-            part = [t.decode("utf-8", "replace") for t in texts_[at : at + 4096]]
-            out += [np.array(e.ids, "<u4").tobytes() for e in self.tokenizer.encode_batch_fast(part, add_special_tokens=False)]
+    def _encode(self, words: list[bytes]) -> list[bytes]:
+        """Ids of each word. Words of letters alone go through the tokenizer many at a time, as each of
+        them ends in one token that marks an end; should the marks not be as many as the words, and for
+        all other words, each is encoded alone.
+        """
+        texts_ = [w.decode("utf-8", "replace") for w in words]
+        out: list[bytes | None] = [None] * len(words)
+        plain = [i for i, t in enumerate(texts_) if t.isalpha()]
+        groups = [plain[at : at + 256] for at in range(0, len(plain), 256)]
+        for at in range(0, len(groups), 32):
+            some = groups[at : at + 32]
+            for group, e in zip(some, self.tokenizer.encode_batch_fast([" ".join(map(texts_.__getitem__, g)) for g in some], add_special_tokens=False), strict=True):
+                ids = np.array(e.ids, "<u4")
+                ends = ((np.flatnonzero(self.ends[ids]) + 1) * 4).tolist()
+                if len(ends) == len(group):
+                    packed = ids.tobytes()
+                    for i, x, y in zip(group, [0, *ends], ends, strict=False):
+                        out[i] = packed[x:y]
+        rest = [i for i, ids in enumerate(out) if ids is None]
+        for at in range(0, len(rest), 4096):
+            part = rest[at : at + 4096]
+            for i, e in zip(part, self.tokenizer.encode_batch_fast([texts_[i] for i in part], add_special_tokens=False), strict=True):
+                out[i] = array("I", e.ids).tobytes()
         return out
 
     def _learn(self, words: set[bytes]) -> None:
-        if len(self.known) + len(words) > self.most:
+        new = words.difference(self.known)
+        if len(self.known) + len(new) > self.most:
             self.known, self.older = {}, self.known
+            new = words
         known, older = self.known, self.older
+        again = new.intersection(older)
+        known.update(zip(again, map(older.__getitem__, again), strict=True))
         split: list[tuple[bytes, bytes, bytes]] = []
-        new: set[bytes] = set()
-        for w in words:
-            if (ids := known.get(w) or older.get(w)) is not None:
-                known[w] = ids
-                continue
+        whole: set[bytes] = set()
+        for w in new.difference(again):
             core = w.rstrip(_TAIL)
             if core and len(core) < len(w) and core[-1] in _PLAIN:
-                split.append((w, core, w[len(core) :]))
-                new |= {x for x in split[-1][1:] if x not in known}
+                tail = w[len(core) :]
+                split.append((w, core, tail))
+                whole.add(core)
+                whole.add(tail)
             else:
-                new.add(w)
-        parts = list(new)
+                whole.add(w)
+        parts = list(whole.difference(known))
         known.update(zip(parts, self._encode(parts), strict=True))
         for w, core, tail in split:
             known[w] = known[core] + known[tail]
@@ -219,7 +244,7 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, window: int = 2048, u
             left = ([ids[d] for d, _, _ in rest], [tokens[d][a : a + n].copy() for d, a, n in rest], [(base[d][0] + a, base[d][1]) for d, a, _ in rest])
             return rows(full), left
 
-        for batch in slices(batches, most=1 << 20):
+        for batch in slices(batches):
             for doc, got in zip(batch.column("doc_id").to_pylist(), encoder.of(texts(batch.column("text"))), strict=True):
                 ids.append(doc)
                 tokens.append(np.append(got, np.uint32(end_id)).astype("<u4"))
