@@ -82,17 +82,14 @@ def select_random(df: DataFrame, n: int, id_: str = "qid", seed: str = "s") -> D
     """Exactly n rows, those with the smallest md5 keys; the same rows whatever the partitions."""
     keyed = df.withColumn("_key", random_key(id_, seed))
     if n > SMALL:
-        share = n / max(df.count(), 1)
-        top = min(1.0, share * 1.05 + 0.001) * 16**12
-        keyed = keyed.where(F.col("_key") <= int(top))
-        counts = keyed.groupBy((F.col("_key") / 16**8).cast("int").alias("b")).agg(F.count(F.lit(1)).alias("n"))
-        run = F.sum("n").over(Window.orderBy("b"))
-        edge = counts.withColumn("upto", run).where(F.col("upto") >= n).orderBy("b").first()
+        # Counts by the key's first 16 bits say in which slice the n-th row lies; only that slice is ranked.
+        part = F.shiftrightunsigned("_key", 32).cast("int")
+        counts = keyed.groupBy(part.alias("b")).agg(F.count(F.lit(1)).alias("n"))
+        edge = counts.withColumn("upto", F.sum("n").over(Window.orderBy("b"))).where(F.col("upto") >= n).orderBy("b").first()
         if edge is None:
             return keyed.drop("_key")
-        sure = keyed.where(F.col("_key") < edge["b"] * 16**8)
-        ties = keyed.where((F.col("_key") / 16**8).cast("int") == edge["b"]).orderBy("_key", id_).limit(n - (edge["upto"] - edge["n"]))
-        return sure.unionByName(ties).drop("_key")
+        ties = keyed.where(part == edge["b"]).orderBy("_key", id_).limit(n - (edge["upto"] - edge["n"]))
+        return keyed.where(part < edge["b"]).unionByName(ties).drop("_key")
     return keyed.orderBy("_key", id_).limit(n).drop("_key")
 
 
