@@ -18,6 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from qacurate.llm.text import free_names
 from qacurate.staging import Staged, bound_batches
 
 _LAST = (1 << 63) - 1
@@ -143,12 +144,12 @@ def align_lines(docs: DataFrame, least_words: int = 20, rare: int = RARE) -> Dat
 
 def apply_cuts(docs: DataFrame, cuts: DataFrame) -> DataFrame:
     """The documents with the cut lines gone; cuts as ``align_lines`` returns them. Lines without a word stay."""
-    gone = cuts.where("n_removed > 0").select(F.col("doc_id").alias("_id"), "removed")
-    lines = F.split("text", "\n", -1)
+    id_, removed, lines = free_names(docs, "_id", "_removed", "_lines")
+    gone = cuts.where("n_removed > 0").select(F.col("doc_id").alias(id_), F.col("removed").alias(removed))
     kept = F.expr(
-        "aggregate(_lines, struct(0 as n, cast(array() as array<string>) as out), (s, x) -> "
+        f"aggregate({lines}, struct(0 as n, cast(array() as array<string>) as out), (s, x) -> "
         "if(trim(' \t\x0b\x0c\r' from x) = '', struct(s.n as n, array_append(s.out, x) as out), "
-        "struct(s.n + 1 as n, if(array_contains(removed, s.n), s.out, array_append(s.out, x)) as out)), s -> array_join(s.out, '\n'))"
+        f"struct(s.n + 1 as n, if(array_contains({removed}, s.n), s.out, array_append(s.out, x)) as out)), s -> array_join(s.out, '\n'))"
     )
-    met = docs.join(gone, F.col("doc_id") == F.col("_id"), "left").withColumn("_lines", lines)
-    return met.withColumn("text", F.when(F.col("removed").isNotNull(), kept).otherwise(F.col("text"))).select(docs.columns)
+    met = docs.join(gone, F.col("doc_id") == F.col(id_), "left").withColumn(lines, F.split("text", "\n", -1))
+    return met.withColumn("text", F.when(F.col(removed).isNotNull(), kept).otherwise(F.col("text"))).select(docs.columns)

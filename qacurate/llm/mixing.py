@@ -18,6 +18,8 @@ from collections.abc import Mapping
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from qacurate.llm.text import free_names
+
 RANK_BUCKETS = 4096
 MOST_SOURCES = 10_000
 
@@ -95,7 +97,8 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: flo
 
 def interleave(docs: DataFrame, **options) -> DataFrame:
     """The input in mixed order: written files hold runs of the mixed stream, in its order."""
-    placed = mix(docs, **options).select(F.col("doc_id").alias("_id"), F.col("slot").alias("_slot"), F.col("in_block").alias("_in"))
+    id_, slot, place = free_names(docs, "_id", "_slot", "_in")
+    placed = mix(docs, **options).select(F.col("doc_id").alias(id_), F.col("slot").alias(slot), F.col("in_block").alias(place))
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    joined = docs.join(placed, F.col("doc_id").eqNullSafe(F.col("_id")))
-    return joined.repartition(n, F.expr("_slot div 8")).sortWithinPartitions("_slot", "_in").select(docs.columns)
+    joined = docs.join(placed, F.col("doc_id").eqNullSafe(F.col(id_)))
+    return joined.repartition(n, F.expr(f"{slot} div 8")).sortWithinPartitions(slot, place).select(docs.columns)

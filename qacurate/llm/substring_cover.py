@@ -127,7 +127,10 @@ def _extend(width: int, period: int):
             order = np.lexsort((start, w2, w1))
             first = np.ones(len(order), bool)
             first[1:] = (w1[order][1:] != w1[order][:-1]) | (w2[order][1:] != w2[order][:-1])
-            kept, gone = np.sort(order[first]), np.sort(start[order[~first]])
+            place_of, id_of = place[start[order]], np.array([ids[i] for i in read], np.int64)[doc[start[order]]]
+            head = np.flatnonzero(first)[np.cumsum(first) - 1]
+            later = (place_of != place_of[head]) | (id_of != id_of[head])  # a row that repeats an id is no later one
+            kept, gone = np.sort(order[first]), np.sort(start[order[later]])
             s = start[kept]
             yield _step(len(s), kind=np.zeros(len(s), np.int8), doc_id=np.array([ids[i] for i in read], np.int64)[doc[s]], start=place[s].astype(np.int32), w1=w1[kept].view(np.int64), w2=w2[kept].view(np.int64))
             for d in np.unique(doc[start]).tolist():

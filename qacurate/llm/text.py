@@ -25,8 +25,20 @@ def texts(column: pa.Array) -> list[bytes]:
 
 
 def docs_of(df: DataFrame, *columns: str) -> DataFrame:
-    """The named columns only, ``text`` with nulls as empty; extra columns never reach Python."""
-    return df.select(*[F.coalesce(F.col("text"), F.lit("")).alias("text") if c == "text" else F.col(c) for c in columns])
+    """The named columns only: ``text`` with nulls as empty, ``doc_id`` as long; extra columns never reach Python."""
+    shape = {"text": F.coalesce(F.col("text"), F.lit("")).alias("text"), "doc_id": F.col("doc_id").cast("long").alias("doc_id")}
+    return df.select(*[shape.get(c, F.col(c)) for c in columns])
+
+
+def free_names(df: DataFrame, *names: str) -> list[str]:
+    """The names, lengthened by underscores until the table has none of them."""
+    taken, out = {c.lower() for c in df.columns}, []
+    for name in names:
+        while name.lower() in taken:
+            name += "_"
+        taken.add(name.lower())
+        out.append(name)
+    return out
 
 
 def per_process(name: str, make: Callable[[], T]) -> T:

@@ -122,29 +122,42 @@ def write_warc(pages: DataFrame, path: str, segment: int = 256 << 10, chunk: int
 
 
 def _parse(batches: Iterator[pa.RecordBatch]) -> Iterator[tuple[dict[str, str], bytes]]:
-    """Header fields and block of each record, from the pieces of archives in order."""
-    fields: dict[str, str] | None = None
-    parts: list[bytes] = []
-    size = 0
+    """Header fields and block of each record, from the pieces of archives in order.
+
+    Pieces and the blank lines between them make up the archive's bytes again; records are cut from
+    those by Content-Length alone, since a block may itself hold or end in parts of a blank line.
+    """
+    file, held, need, fields = None, bytearray(), 1, None
+
+    def finish() -> None:
+        if fields is not None or held.strip(b"\r\n"):
+            raise ValueError(f"{file} ends inside a record")
+
     for batch in batches:
-        for file, piece in zip(batch.column("file").to_pylist(), batch.column("value").to_pylist(), strict=True):
-            if fields is None:
-                first, *lines = piece.split(b"\r\n")
-                if not first.startswith(b"WARC/"):
-                    raise ValueError(f"{file}: a record begins with {first[:40]!r}")
-                fields = {k.strip().lower(): v.strip() for k, _, v in (x.decode("utf-8", "replace").partition(":") for x in lines)}
-                parts, size = [], -len(END)
-                continue
-            parts.append(piece)
-            size += len(END) + len(piece)
-            length = int(fields["content-length"])
-            if size == length:
-                yield fields, END.join(parts)
-                fields = None
-            elif size > length:
-                raise ValueError(f"{file}: a block is longer than its Content-Length {length}")
-    if fields is not None:
-        raise ValueError("an archive ends inside a record")
+        for name, piece in zip(batch.column("file").to_pylist(), batch.column("value").to_pylist(), strict=True):
+            if name != file:
+                finish()
+                file, held, need, fields = name, bytearray(), 1, None
+            held += piece
+            held += END
+            while len(held) >= need:
+                if fields is None:
+                    at = len(held) - len(held.lstrip(b"\r\n"))
+                    end = held.find(END, at)
+                    if end < 0:
+                        break
+                    first, *lines = bytes(held[at:end]).split(b"\r\n")
+                    if not first.startswith(b"WARC/"):
+                        raise ValueError(f"{file}: a record begins with {first[:40]!r}")
+                    fields = {k.strip().lower(): v.strip() for k, _, v in (x.decode("utf-8", "replace").partition(":") for x in lines)}
+                    del held[: end + len(END)]
+                    need = int(fields["content-length"])
+                else:
+                    block = bytes(held[:need])
+                    del held[:need]
+                    yield fields, block
+                    fields, need = None, 1
+    finish()
 
 
 def _number(text: str | None) -> int | None:
