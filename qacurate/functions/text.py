@@ -59,8 +59,9 @@ def shingles(c: Column | str, n: int = 1) -> Column:
 
 def _shared(a: Column | str, b: Column | str, fn: Callable[[Column, Column, Column], Column]) -> Column:
     """fn of the numbers of shared distinct members and of those of each side."""
+    # Plain columns, not a lambda: they run compiled, and a projection works out what it names twice only once.
     a, b = F.array_distinct(col(a)), F.array_distinct(col(b))
-    return let(F.struct(F.size(F.array_intersect(a, b)).cast("double").alias("n"), F.size(a).cast("double").alias("a"), F.size(b).cast("double").alias("b")), lambda x: fn(x["n"], x["a"], x["b"]))
+    return fn(F.size(F.array_intersect(a, b)).cast("double"), F.size(a).cast("double"), F.size(b).cast("double"))
 
 
 def jaccard(a: Column | str, b: Column | str) -> Column:

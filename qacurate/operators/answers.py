@@ -5,6 +5,8 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
+from qacurate.functions.text import let
+
 INDICATOR = "(?i)(?:the final answer to this question is|the final answer is|the correct answer is|the answer is|answer:)\\s*"
 BOXED = "\\\\boxed\\{((?:[^{}]|\\{[^{}]*\\})*)\\}"
 NUMBER = "(-?[0-9][0-9,]*\\.?[0-9]*(?:[eE][-+]?[0-9]+)?(?:/[0-9]+)?)"
@@ -88,12 +90,18 @@ def _rules(text: Column, qtype: Column, options: Column) -> list[tuple[str, Colu
     ]
 
 
+def _named(rule: str, value: Column) -> Column:
+    """(rule, answer) if the value says something, else null."""
+    return let(value.cast("string"), lambda x: F.when(x != "", F.struct(F.lit(rule).alias("rule"), x.alias("answer"))))
+
+
 def extract_answer(df: DataFrame, text: str = "response", qtype: str = "qtype", options: str = "options") -> DataFrame:
     """Adds ``answer`` and ``rule``: the first rule that yields a value, and its id; r9 where none does."""
     rules = _rules(F.coalesce(F.col(text), F.lit("")), F.col(qtype), F.col(options))
-    tried = F.array(*[F.struct(F.lit(r).alias("rule"), v.cast("string").alias("answer")) for r, v in rules])
-    first = F.get(F.filter(tried, lambda x: x["answer"].isNotNull() & (x["answer"] != "")), 0)
-    return df.withColumn("_first", first).withColumn("rule", F.coalesce(F.col("_first.rule"), F.lit("r9"))).withColumn("answer", F.col("_first.answer")).drop("_first")
+    # Later rules are worked out only where the earlier ones gave nothing.
+    tried = [_named(r, v) for r, v in rules]
+    out = df.withColumn("_first", F.coalesce(*tried))
+    return out.withColumn("rule", F.coalesce(F.col("_first.rule"), F.lit("r9"))).withColumn("answer", F.col("_first.answer")).drop("_first")
 
 
 def normal(value: Column) -> Column:

@@ -6,11 +6,16 @@ judged a paraphrase of any of its k items. The judge's stand-in compares word se
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from qacurate.functions.text import containment, let, md5_fraction, md5_int, tokens
-from qacurate.operators.knn import topk_block
+from qacurate.operators.knn import checked
 
 WIDTH, JUDGE_CUT, JUDGE_WORDS = 256, 0.7, 8
 
@@ -35,28 +40,64 @@ def windows(df: DataFrame, id_: str, text: str = "text", size: int = 32, stride:
     return df.select(F.col(id_).alias("doc_id"), F.posexplode(let(tokens(text), cut)).alias("win_no", "words"))
 
 
-def _bucket(word: Column) -> Column:
-    return F.conv(F.substring(F.md5(word), 1, 2), 16, 10).cast("int")
-
-
-def _sign(word: Column) -> Column:
-    return F.when(md5_int(F.substring(F.md5(word), 3, 1), 1) >= 8, 1).otherwise(-1)
+def _code(word: Column) -> Column:
+    """Twelve bits of md5: the first eight are the bucket, the ninth the sign."""
+    return F.conv(F.substring(F.md5(word), 1, 3), 16, 10).cast("int")
 
 
 def sparse_embeddings(df: DataFrame, keys: list[str], words: str = "words") -> DataFrame:
     """(keys, bucket, weight): signed feature hashing into 256 buckets; weights are whole numbers."""
     each = df.select(*keys, F.explode(words).alias("word"))
-    summed = each.select(*keys, _bucket(F.col("word")).alias("bucket"), _sign(F.col("word")).alias("s")).groupBy(*keys, "bucket").agg(F.sum("s").alias("weight"))
+    coded = each.select(*keys, _code(F.col("word")).alias("c"))
+    sign = F.when(F.col("c") % 16 >= 8, 1).otherwise(-1)
+    summed = coded.select(*keys, F.shiftright("c", 4).alias("bucket"), sign.alias("s")).groupBy(*keys, "bucket").agg(F.sum("s").alias("weight"))
     return summed.where("weight <> 0")
 
 
-def embed(df: DataFrame, words: str = "words") -> DataFrame:
-    """Adds ``vec``: the same embedding as a dense array, by column expressions without a shuffle."""
-    hashed = F.transform(words, lambda w: F.struct(_bucket(w).alias("b"), _sign(w).alias("s")))
-    marked = df.withColumn("_h", hashed)
-    zero = F.array_repeat(F.lit(0), WIDTH)
-    added = F.aggregate("_h", zero, lambda v, h: F.concat(F.slice(v, 1, h["b"]), F.array(F.element_at(v, h["b"] + 1) + h["s"]), F.slice(v, h["b"] + 2, WIDTH)))
-    return marked.withColumn("vec", added.cast("array<double>")).drop("_h")
+def codes(words: str = "words") -> Column:
+    return F.transform(words, _code)
+
+
+def _dense(column: pa.Array) -> np.ndarray:
+    """The embeddings as a matrix of whole numbers, from lists of codes."""
+    offsets, flat = column.offsets.to_numpy(), column.values.to_numpy()
+    rows = np.repeat(np.arange(len(column)), np.diff(offsets))
+    flat = flat[offsets[0] : offsets[-1]]
+    return np.bincount(rows * WIDTH + flat // 16, np.where(flat % 16 >= 8, 1.0, -1.0), len(column) * WIDTH).reshape(len(column), WIDTH)
+
+
+def hashed_words(words: str = "words") -> Column:
+    """The distinct words as 64-bit hashes: small to move and quick to intersect."""
+    return F.transform(F.array_distinct(words), lambda w: F.xxhash64(w))
+
+
+def topk_hashed(questions: DataFrame, items: DataFrame, keep: list[str], k: int = 5) -> DataFrame:
+    """The questions' columns ``keep`` and ``found``: item_id, rank, similarity of the k best items.
+
+    Questions and items have ``words``. The words become codes in the JVM; a batch becomes a matrix that
+    is multiplied with that of the items, whose number is checked before they go to every executor. No
+    question is moved. Sums are whole numbers, so the similarity does not depend on their order.
+    """
+    rows = checked(items).select("item_id", codes().alias("c")).orderBy("item_id").collect()
+    matrix = _dense(pa.array([r.c for r in rows], pa.list_(pa.int32())))
+    shared = questions.sparkSession.sparkContext.broadcast((np.array([r.item_id for r in rows], np.int64), matrix, (matrix**2).sum(axis=1)))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        ids, m, norms = shared.value
+        for batch in batches:
+            for at in range(0, batch.num_rows, 1024):
+                part = batch.slice(at, 1024)
+                q = _dense(pa.concat_arrays([part.column("_codes")]))
+                both = np.sqrt((q**2).sum(axis=1)[:, None] * norms[None])
+                s = np.round(np.divide(q @ m.T, both, out=np.full(both.shape, -2.0), where=both > 0), 6)
+                top = np.argsort(-s, axis=1, kind="stable")[:, :k]
+                n, rest = top.shape[1], part.drop_columns(["_codes"])
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(part.num_rows + 1, dtype=np.int32) * n), pa.StructArray.from_arrays([pa.array(ids[top].ravel()), pa.array(np.tile(np.arange(1, n + 1, dtype=np.int32), part.num_rows)), pa.array(np.take_along_axis(s, top, axis=1).ravel())], names=["item_id", "rank", "similarity"]))
+                yield pa.RecordBatch.from_arrays([*rest.columns, lists], names=[*rest.schema.names, "found"])
+
+    asked = questions.select(*keep, codes().alias("_codes"))
+    found = T.ArrayType(T.StructType([T.StructField("item_id", T.LongType()), T.StructField("rank", T.IntegerType()), T.StructField("similarity", T.DoubleType())]))
+    return asked.mapInArrow(run, T.StructType([*asked.schema.fields[:-1], T.StructField("found", found)]))
 
 
 def topk_text(questions: DataFrame, items: DataFrame, k: int = 5) -> DataFrame:
@@ -93,10 +134,10 @@ def decontaminate(questions: DataFrame, items: DataFrame, k: int = 5, cascade: b
     asking about a text once it is settled: the same texts go, with fewer calls.
     """
     if search == "block":
-        found = topk_block(embed(questions).select("id", "vec"), embed(items).select("item_id", "vec"), k)
+        found = topk_hashed(questions.withColumn("question", hashed_words()), items, ["doc_id", "id", "question"], k).select("doc_id", "id", "question", F.inline("found"))
+        pairs = found.join(items.select("item_id", hashed_words().alias("item")), "item_id")
     else:
-        found = topk_text(questions, items, k)
-    pairs = judge_pairs(found, questions, items).join(questions.select("id", "doc_id"), "id")
+        pairs = judge_pairs(topk_text(questions, items, k), questions, items).join(questions.select("id", "doc_id"), "id")
     if not cascade:
         hits = judge(pairs).where("paraphrase")
         return hits.groupBy("doc_id").agg(F.min(F.struct("rank", "item_id")).alias("e")).select("doc_id", F.col("e.item_id").alias("item_id"), F.col("e.rank").alias("rank"))
@@ -113,8 +154,8 @@ def decontaminate(questions: DataFrame, items: DataFrame, k: int = 5, cascade: b
 
 def embedding_decontaminate(questions: DataFrame, items: DataFrame, threshold: float = 0.72) -> DataFrame:
     """(doc_id): the baseline without a judge, similarity of the best item at or above a threshold."""
-    best = topk_block(embed(questions).select("id", "vec"), embed(items).select("item_id", "vec"), 1)
-    return best.where(F.col("similarity") >= threshold).join(questions.select("id", "doc_id"), "id").select("doc_id").distinct()
+    best = topk_hashed(questions, items, ["doc_id"], 1)
+    return best.where(F.get("found", 0)["similarity"] >= threshold).select("doc_id").distinct()
 
 
 def leakage_report(removed: DataFrame, population: DataFrame, by: str) -> DataFrame:

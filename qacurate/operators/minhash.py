@@ -12,7 +12,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -81,12 +81,21 @@ def candidate_pairs(banded: DataFrame) -> DataFrame:
 def verify(pairs: DataFrame, sets: DataFrame, threshold: float = 0.6, mode: str = "exact") -> DataFrame:
     """(a, b, similarity) of the pairs at or above the threshold; sets: (id, set, signature).
 
-    exact: Jaccard of the sets. estimate: share of equal signature entries.
+    exact: Jaccard of the sets, whose members move as 64-bit hashes. estimate: share of equal signature entries.
     """
-    what = "set" if mode == "exact" else "signature"
-    left, right = sets.select(F.col("id").alias("a"), F.col(what).alias("sa")), sets.select(F.col("id").alias("b"), F.col(what).alias("sb"))
-    value = jaccard("sa", "sb") if mode == "exact" else F.aggregate(F.zip_with("sa", "sb", lambda x, y: (x == y).cast("double")), F.lit(0.0), lambda s, x: s + x) / F.size("sa")
-    return pairs.join(left, "a").join(right, "b").select("a", "b", value.alias("similarity")).where(F.col("similarity") >= threshold)
+    what = F.col("signature") if mode != "exact" else F.col("hset") if "hset" in sets.columns else hash_set()
+    left, right = sets.select(F.col("id").alias("a"), what.alias("sa")), sets.select(F.col("id").alias("b"), what.alias("sb"))
+    met = pairs.join(left, "a").join(right, "b")
+    if mode == "exact":
+        sized = met.select("a", "b", F.size(F.array_intersect("sa", "sb")).cast("double").alias("n"), (F.size("sa") + F.size("sb")).alias("both"))
+        return sized.select("a", "b", F.try_divide(F.col("n"), F.col("both") - F.col("n")).alias("similarity")).where(F.col("similarity") >= threshold)
+    value = F.aggregate(F.zip_with("sa", "sb", lambda x, y: (x == y).cast("double")), F.lit(0.0), lambda s, x: s + x) / F.size("sa")
+    return met.select("a", "b", value.alias("similarity")).where(F.col("similarity") >= threshold)
+
+
+def hash_set() -> Column:
+    """The members of ``set`` as 64-bit hashes: small to move and quick to intersect."""
+    return F.transform("set", lambda w: F.xxhash64(w))
 
 
 def solve_bands(threshold: float = 0.6, num_perm: int = 128, fp_weight: float = 0.5, fn_weight: float = 0.5) -> tuple[int, int]:
@@ -109,7 +118,7 @@ def prepared(df: DataFrame, id_: str, text: str, n: int = 1, scope: list[str] |
     """(copies, sets): what exact copies keep, and a staged (id, scope..., set, signature) of those kept."""
     copies = Staged(exact_dedup(df, id_, text, scope), "exact").df
     kept = df.select(F.col(id_).alias("id"), *(scope or []), shingles(text, n).alias("set")).join(copies.where("id = keep").select("id"), "id", "left_semi")
-    return copies, Staged(minhash(kept), "signatures").df
+    return copies, Staged(minhash(kept).withColumn("hset", hash_set()), "signatures").df
 
 
 def similar_edges(df: DataFrame, id_: str, text: str, threshold: float = 0.6, n: int = 1, bands: int = 32, rows: int = 4, scope: list[str] | None = None) -> tuple[DataFrame, DataFrame]:
@@ -169,11 +178,15 @@ def exact_similarity_join(sets: DataFrame, threshold: float = 0.6) -> DataFrame:
     """
     words = sets.select("id", F.size("set").alias("n"), F.explode("set").alias("word"))
     ranks = words.groupBy("word").agg(F.count(F.lit(1)).alias("df"))
-    ranked = words.join(ranks, "word").withColumn("pos", F.row_number().over(Window.partitionBy("id").orderBy("df", "word")))
-    prefix = ranked.where(F.col("pos") <= F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1)
-    x = prefix.select("word", F.col("id").alias("a"), F.col("n").alias("na"))
-    y = prefix.select("word", F.col("id").alias("b"), F.col("n").alias("nb"))
+    # Words rise from rare to common within each set; only ids, sizes and positions of the prefix are dealt out.
+    ranked = words.join(ranks, "word").groupBy("id", "n").agg(F.collect_list(F.struct("df", "word")).alias("w")).select("id", "n", F.posexplode(F.transform(F.sort_array("w"), lambda x: x["word"])).alias("pos", "word"))
+    prefix = Staged(ranked.where(F.col("pos") < F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1), "prefixes").df
+    x = prefix.select("word", F.col("id").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
+    y = prefix.select("word", F.col("id").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
     fits = (F.col("a") < F.col("b")) & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
+    # At their first shared word, what is left of both sets must still allow the overlap that is needed.
+    needed = (F.col("na") + F.col("nb")) * (threshold / (1 + threshold)) - 1e-9
+    fits = fits & (F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= needed)
     return verify(x.join(y, "word").where(fits).select("a", "b").distinct(), sets, threshold)
 
 

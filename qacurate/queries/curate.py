@@ -10,6 +10,7 @@ from qacurate.functions.text import md5_fraction, md5_int, n_tokens
 from qacurate.operators import extract, mixture, refine, select
 from qacurate.queries.common import TURNS_SQL, chunks, docs, labels, spaced_sql, turns, with_sql, words_sql
 from qacurate.registry import query, read
+from qacurate.staging import stage
 
 # ---- refinement -------------------------------------------------------------------------------
 
@@ -208,7 +209,7 @@ picked as (select 'all' as strategy, qid, dataset from m union all select 'diffi
 
 def picked(spark, d):
     """(strategy, qid, dataset): the subsets of each source by each strategy, at the size difficulty gives."""
-    scored = select.lengths(qa(spark, d).where("dataset <> 'C'").join(means(spark, d), "qid"))
+    scored = stage(select.lengths(qa(spark, d).where("dataset <> 'C'").join(means(spark, d), "qid")).drop("question", "answer"), "scored")
     parts = []
     for source in ("textbook", "A", "B"):
         own = scored.where(F.col("dataset") == source)
@@ -275,7 +276,7 @@ def overlong_bounds(spark, d):
 
 def mixed(spark, d):
     """The mixture: textbook whole, A at random, B by difficulty, annotated, over-long answers dropped."""
-    rows, chosen = qa(spark, d), picked(spark, d)
+    rows, chosen = qa(spark, d), stage(picked(spark, d), "picked")
     parts = {s.name: rows.join(chosen.where((F.col("strategy") == s.strategy) & (F.col("dataset") == s.name)).select("qid"), "qid", "left_semi") for s in mixture.SPECS if s.include}
     return mixture.drop_overlong(mixture.annotate(mixture.build_mixture(parts)))
 
@@ -293,7 +294,7 @@ counts as (select stage_no, stage, dataset, count(*) as n from st group by all u
 
 
 def _stage_counts(spark, d):
-    rows, chosen = qa(spark, d).where("dataset <> 'C'"), picked(spark, d)
+    rows, chosen = qa(spark, d).where("dataset <> 'C'"), stage(picked(spark, d), "picked")
     scored = rows.join(means(spark, d).select("qid"), "qid", "left_semi")
     kept = chosen.where("(dataset = 'textbook' and strategy = 'all') or (dataset = 'A' and strategy = 'random') or (dataset = 'B' and strategy = 'difficulty')")
     return mixture.stage_counts([("raw", rows), ("scored", scored), ("selected", kept)], "dataset")

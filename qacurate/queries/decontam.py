@@ -32,7 +32,7 @@ def benchmark_pool(spark, d):
 
 def _sparse_sql(table: str, key: str) -> str:
     return f"""select {key}, bucket, sum(s)::bigint as weight from (
-  select {key}, ('0x' || substr(md5(w), 1, 2))::int as bucket, case when ('0x' || substr(md5(substr(md5(w), 3, 1)), 1, 1))::int >= 8 then 1 else -1 end as s
+  select {key}, ('0x' || substr(md5(w), 1, 3))::int // 16 as bucket, case when ('0x' || substr(md5(w), 1, 3))::int % 16 >= 8 then 1 else -1 end as s
   from (select {key}, unnest(words) as w from {table})) group by {key}, bucket having sum(s) <> 0"""
 
 
@@ -113,12 +113,18 @@ def paraphrase_judge(spark, d):
 
 @query("decontaminate", f"{_ALL} select * from {_EVIDENCE}")
 def decontaminate(spark, d):
+    return D.decontaminate(questions(spark, d), items(spark, d))
+
+
+@query("decontaminate_text", f"{_ALL} select * from {_EVIDENCE}")
+def decontaminate_text(spark, d):
+    """The same with sparse vectors joined by bucket instead of matrices."""
     return D.decontaminate(questions(spark, d), items(spark, d), search="text")
 
 
 @query("decontaminate_cascade", f"{_ALL} select doc_id, rank from {_EVIDENCE}")
 def decontaminate_cascade(spark, d):
-    return D.decontaminate(questions(spark, d), items(spark, d), cascade=True, search="text").select("doc_id", "rank")
+    return D.decontaminate(questions(spark, d), items(spark, d), cascade=True).select("doc_id", "rank")
 
 
 def _gram_sql(n: int) -> str:
@@ -146,7 +152,7 @@ def decontam_embedding(spark, d):
 @query("leakage_report", f"""{_ALL}, r as (select distinct doc_id, 1 as leak from judged where paraphrase)
 select coalesce(lang, 'total') as lang, count(leak) as n_leaked, count(*) as n, round(100.0 * count(leak) / count(*), 4)::double as share from documents left join r using (doc_id) group by rollup (lang)""")
 def leakage_report(spark, d):
-    removed = D.decontaminate(questions(spark, d), items(spark, d), search="text")
+    removed = D.decontaminate(questions(spark, d), items(spark, d))
     return D.leakage_report(removed, docs(spark, d).select("doc_id", "lang"), "lang")
 
 
