@@ -8,6 +8,8 @@ names none (tests) gets a folder of its own.
 from __future__ import annotations
 
 import uuid
+from collections.abc import Iterator
+from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
@@ -31,6 +33,21 @@ def remove(spark: SparkSession, path: str) -> None:
     hadoop.getFileSystem(spark._jsc.hadoopConfiguration()).delete(hadoop, True)
 
 
+@contextmanager
+def released_shuffles(spark: SparkSession) -> Iterator[None]:
+    """Shuffle files of the jobs inside go when each job has ended, instead of at some later collection of garbage.
+
+    For writes of staged tables: what led to a table that is written is not needed again.
+    """
+    key = "spark.sql.classic.shuffleDependency.fileCleanup.enabled"
+    before = spark.conf.get(key, "false")
+    spark.conf.set(key, "true")
+    try:
+        yield
+    finally:
+        spark.conf.set(key, before)
+
+
 class Staged:
     """A table written once and read as often as needed."""
 
@@ -38,7 +55,8 @@ class Staged:
         self.spark = df.sparkSession
         self.path = fresh_path(self.spark, name)
         self.schema = df.schema
-        df.write.option("compression", "zstd").parquet(self.path)
+        with released_shuffles(self.spark):
+            df.write.option("compression", "zstd").parquet(self.path)
 
     @property
     def df(self) -> DataFrame:
