@@ -16,12 +16,8 @@ UNIT_ALIASES = (("meters", "m"), ("meter", "m"), ("metres", "m"), ("metre", "m")
 RULES = ("r1", "r2", "r3", "r4", "r5", "r6", "r7", "r8", "r9")
 
 
-def last_match(text: Column, pattern: str, group: int = 1) -> Column:
-    """The last match of a pattern; null if there is none."""
-    return F.element_at(F.filter(F.regexp_extract_all(text, F.lit(pattern), group), lambda x: x != ""), -1) if group else F.element_at(F.regexp_extract_all(text, F.lit(pattern), 0), -1)
-
-
 def _last(text: Column, pattern: str) -> Column:
+    """The first group of a pattern's last match; null if there is none."""
     found = F.regexp_extract_all(text, F.lit(pattern), 1)
     return F.when(F.size(found) > 0, F.element_at(found, -1))
 
@@ -62,7 +58,6 @@ def norm_number(text: Column) -> Column:
     """A decimal of six places: thousands separators dropped, fractions and powers of ten worked out."""
     plain = F.replace(text, F.lit(","), F.lit(""))
     over = F.split_part(plain, F.lit("/"), F.lit(2))
-    top = F.expr("try_cast(null as double)")
     top = F.split_part(plain, F.lit("/"), F.lit(1)).try_cast("double")
     value = F.when(over != "", F.try_divide(top, over.try_cast("double"))).otherwise(top)
     return F.round(value, 6)

@@ -14,7 +14,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
-from qacurate.functions.text import containment, let, md5_fraction, md5_int, tokens
+from qacurate.functions.text import containment, let, md5_fraction, tokens
 from qacurate.operators.knn import checked
 
 WIDTH, JUDGE_CUT, JUDGE_WORDS = 256, 0.7, 8

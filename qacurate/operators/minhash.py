@@ -78,6 +78,33 @@ def candidate_pairs(banded: DataFrame) -> DataFrame:
     return x.join(y, ["band", "key"]).where("a < b").select("a", "b").distinct()
 
 
+def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, most: int = 64) -> DataFrame:
+    """(a, b): verified pairs with the same connected components as all verified candidate pairs.
+
+    Buckets of up to ``most`` rows give all their pairs. Larger ones are settled in two steps, neither of
+    which pairs a group with itself: every row with its bucket's smallest; then, where a bucket still holds
+    rows of several components, the rows outside its largest component with all rows of other components.
+    """
+    rows = Staged(banded, "bands").df
+    sizes = Staged(rows.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("low")).where("n > 1"), "buckets").df
+    small = candidate_pairs(rows.join(sizes.where(F.col("n") <= most), ["band", "key"], "left_semi"))
+    large = sizes.where(F.col("n") > most)
+    if large.isEmpty():
+        return verify(small, sets, threshold).select("a", "b")
+    held = Staged(rows.join(large, ["band", "key"]).select("band", "key", "id", "low"), "large-buckets").df
+    stars = held.where("id > low").select(F.col("low").alias("a"), F.col("id").alias("b"))
+    first = Staged(verify(small.union(stars).distinct(), sets, threshold).select("a", "b"), "first-links").df
+    named = held.join(components(first), F.col("id") == F.col("node"), "left").select("band", "key", "id", F.coalesce("component", "id").alias("c"))
+    named = Staged(named, "named-rows").df
+    parts = named.groupBy("band", "key", "c").agg(F.count(F.lit(1)).alias("m"))
+    several = Staged(parts.groupBy("band", "key").agg(F.count(F.lit(1)).alias("k"), F.max_by("c", F.struct("m", "c")).alias("main")).where("k > 1"), "split-buckets").df
+    open_ = named.join(several, ["band", "key"])
+    minor = open_.where("c <> main").select("band", "key", F.col("id").alias("x"), F.col("c").alias("cx"))
+    other = open_.select("band", "key", F.col("id").alias("y"), F.col("c").alias("cy"))
+    cross = minor.join(other, ["band", "key"]).where("cx <> cy").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
+    return first.union(verify(cross, sets, threshold).select("a", "b"))
+
+
 def verify(pairs: DataFrame, sets: DataFrame, threshold: float = 0.6, mode: str = "exact") -> DataFrame:
     """(a, b, similarity) of the pairs at or above the threshold; sets: (id, set, signature).
 
@@ -128,21 +155,24 @@ def similar_edges(df: DataFrame, id_: str, text: str, threshold: float = 0.6, n:
     return copies, Staged(found, "similar").df
 
 
-def minhash_dedup(df: DataFrame, id_: str, text: str, threshold: float = 0.6, keep: str = "components", prefer: Column | None = None, **shape) -> DataFrame:
+def minhash_dedup(df: DataFrame, id_: str, text: str, threshold: float = 0.6, keep: str = "components", prefer: Column | None = None, most: int = 64, **shape) -> DataFrame:
     """(id, keep_id): the row that stands for each row; id = keep_id are kept.
 
     keep: components (the smallest id of a connected component, or the largest ``prefer``), first (a row
-    goes if a smaller id is similar), greedy (only if a smaller id that is itself kept is similar).
+    goes if a smaller id is similar), greedy (only if a smaller id that is itself kept is similar). The
+    first form never pairs a large group with itself (see linking_edges); the others need all edges.
     """
-    copies, edges = similar_edges(df, id_, text, threshold, **shape)
     if keep == "components":
-        named = components(edges)
+        copies, sets = prepared(df, id_, text, shape.get("n", 1), shape.get("scope"))
+        banded = lsh_bands(sets, shape.get("bands", 32), shape.get("rows", 4), shape.get("scope"))
+        named = components(linking_edges(banded, sets, threshold, most))
         found = copies.join(named, F.col("keep") == F.col("node"), "left").select("id", F.coalesce("component", "keep").alias("keep_id"))
         if prefer is None:
             return found
         ranked = found.join(df.select(F.col(id_).alias("id"), prefer.alias("rank")), "id")
         best = ranked.groupBy("keep_id").agg(F.max_by("id", F.struct("rank", -F.col("id"))).alias("best"))
         return ranked.join(best, "keep_id").select("id", F.col("best").alias("keep_id"))
+    copies, edges = similar_edges(df, id_, text, threshold, **shape)
     gone = edges.groupBy(F.col("b").alias("keep")).agg(F.min("a").alias("by")) if keep == "first" else greedy_cover(edges)
     return copies.join(gone, "keep", "left").select("id", F.coalesce("by", "keep").alias("keep_id"))
 

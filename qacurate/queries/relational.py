@@ -84,9 +84,9 @@ def join_right(spark, d):
     return orders(spark, d).join(customer(spark, d), F.col("c_custkey") == F.col("o_custkey"), "right").groupBy("c_custkey").agg(F.count("o_orderkey").alias("n"))
 
 
-@query("join_full", "select count(d.doc_id) as n_docs, count(l.doc_id) as n_labels, count(*) as n from (select doc_id from documents where doc_id % 2 = 0) d full join labels l on d.doc_id = l.doc_id")
+@query("join_full", "select count(d.doc_id) as n_docs, count(l.doc_id) as n_labels, count(*) as n from (select doc_id from documents where lang = 'en') d full join labels l on d.doc_id = l.doc_id")
 def join_full(spark, d):
-    x = docs(spark, d).where("doc_id % 2 = 0").select("doc_id")
+    x = docs(spark, d).where("lang = 'en'").select("doc_id")
     y = labels(spark, d).select(F.col("doc_id").alias("other"))
     return x.join(y, F.col("doc_id") == F.col("other"), "full").agg(F.count("doc_id").alias("n_docs"), F.count("other").alias("n_labels"), F.count(F.lit(1)).alias("n"))
 
@@ -235,6 +235,9 @@ _sketch("agg_approx_distinct", lambda spark, d: lineitem(spark, d).agg(F.approx_
 _sketch("agg_hll_sketch", lambda spark, d: lineitem(spark, d).agg(F.hll_sketch_estimate(F.hll_sketch_agg("l_partkey")).alias("approx"), F.count_distinct("l_partkey").alias("exact")))
 _sketch("agg_percentile_approx", lambda spark, d: lineitem(spark, d).agg(F.percentile_approx("l_extendedprice", 0.5, 10000).alias("approx"), F.percentile("l_extendedprice", 0.5).alias("exact")))
 
+_sketch("agg_kll", lambda spark, d: lineitem(spark, d).agg(F.round(F.kll_sketch_get_quantile_double(F.kll_sketch_agg_double("l_extendedprice"), F.lit(0.5)), 4).alias("approx"), F.percentile("l_extendedprice", 0.5).alias("exact")))
+_sketch("agg_theta", lambda spark, d: lineitem(spark, d).agg(F.theta_sketch_estimate(F.theta_sketch_agg("l_partkey")).alias("approx"), F.count_distinct("l_partkey").alias("exact")))
+
 # ---- windows ----------------------------------------------------------------------------------
 
 _W = "partition by lang order by n_chars, doc_id"

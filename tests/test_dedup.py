@@ -82,3 +82,16 @@ def test_exact_join_equals_brute_force(spark):
     want = {(a, b) for a, b in itertools.combinations(sorted(words), 2) if len(words[a] & words[b]) / len(words[a] | words[b]) >= 0.6}
     assert {(r.a, r.b) for r in M.exact_similarity_join(sets).collect()} == want
     assert {(r.a, r.b) for r in M.jaccard_bruteforce(sets).collect()} == want
+
+
+def test_large_buckets_keep_their_components(spark):
+    rng = random.Random(4)
+    rows = []
+    for g in range(3):
+        base = [f"g{g}w{k}" for k in range(60)]
+        for i in range(60):
+            words = [w if rng.random() > 0.12 else f"n{g}.{i}.{w}" for w in base]
+            rows.append((g * 100 + i, " ".join(words)))
+    df = spark.createDataFrame(rows, "id long, text string")
+    runs = [{(r.id, r.keep_id) for r in M.minhash_dedup(df, "id", "text", most=m).collect()} for m in (2, 5, 10_000)]
+    assert runs[0] == runs[1] == runs[2] and len({k for _, k in runs[0]}) < 60
