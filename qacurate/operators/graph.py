@@ -2,8 +2,9 @@
 
 Each round points the neighbours of a node at the smallest of them: first the larger neighbours
 (large star), then the smaller ones (small star). Stars merge in a number of rounds logarithmic in
-the longest path. The driver sees one row of counts per round; edges never leave the executors, and
-a hub's rows meet its minimum by a join whose large partitions Spark splits.
+the longest path. The driver sees one row of counts per round; edges never leave the executors. A
+hub's minimum is a partial aggregate; it is written before its rows meet it, as Spark splits the large
+partitions of a join only where both sides come straight from an exchange.
 """
 
 from __future__ import annotations
@@ -18,7 +19,7 @@ _MAX_ROUNDS = 60
 
 def _large_star(edges: DataFrame) -> DataFrame:
     both = edges.select("a", "b").union(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
-    low = both.groupBy("a").agg(F.min("b").alias("low")).withColumn("low", F.least("a", "low"))
+    low = Staged(both.groupBy("a").agg(F.min("b").alias("low")).withColumn("low", F.least("a", "low")), "star").df
     return both.join(low, "a").where("b > a").select(F.col("b").alias("a"), F.col("low").alias("b"))
 
 
