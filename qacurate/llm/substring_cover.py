@@ -221,7 +221,8 @@ def remove_repeats(docs: DataFrame, width: int = 20, period: int = 13, bucket_by
     total = base.agg(F.sum("size")).first()[0] or 0
     bucket = F.pmod(F.xxhash64("id"), F.lit(math.ceil(total / bucket_bytes) or 1)).cast("int").alias("bucket")
 
-    first = base.groupBy("same").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1")
+    # Written before the join, whose large partitions (a group of copies) Spark then splits.
+    first = Staged(base.groupBy("same").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1"), "first-copies").df
     copies = base.join(first, "same").where("id <> first").select("id")
     dealt = source.select("id", "text", bucket).mapInArrow(_emit_anchors(width, period), "h long, bucket int, many boolean")
     twice = dealt.repartition("h").sortWithinPartitions("h").mapInArrow(_found_twice, "bucket int, id long")
