@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from qacurate.llm.text import slices
-from qacurate.staging import bound_batches
+from qacurate.staging import Staged, bound_batches
 
 END = b"\r\n\r\n"
 _NO_PAGE = -(1 << 63)
@@ -98,7 +98,8 @@ def plan_revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     rows = pages.select("page_id", "url", F.coalesce(F.col("html"), F.lit("")).cast("binary").alias("payload"))
     rows = rows.withColumn("sha", F.sha1("payload")).withColumn("p", F.coalesce("page_id", F.lit(_NO_PAGE)))
     ids = rows.where(F.length("payload") >= least).select("page_id", "p", "sha")
-    low = ids.groupBy("sha").agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1 and first is not null")
+    # Written before the join, whose large partitions (equal payloads) Spark then splits.
+    low = Staged(ids.groupBy("sha").agg(F.min("page_id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1 and first is not null"), "first-pages").df
     later = ids.join(low, "sha").where(F.col("p") != F.col("first")).select("p", "sha", "first").distinct()
     copy = F.row_number().over(Window.partitionBy("p", "sha").orderBy("url")) - 1
     return rows.join(later, ["p", "sha"], "left").select("page_id", "url", "payload", "sha", copy.alias("copy"), "first")
@@ -225,8 +226,8 @@ def read_warc(spark: SparkSession, path: str, with_payload: bool = True) -> Data
         for fields, block in _parse(batches):
             if "warc-segment-number" in fields:
                 origin = fields.get("warc-segment-origin-id", fields["warc-record-id"])
-                heads = [("k", list(fields), list(fields.values()))][0]
-                yield pa.RecordBatch.from_arrays([pa.array([origin]), pa.array([int(fields["warc-segment-number"])], pa.int32()), pa.array([heads[1]]), pa.array([heads[2]]), pa.array([block], pa.binary())], names=["origin", "number", "names", "fields", "block"])
+                row = [pa.array([origin]), pa.array([int(fields["warc-segment-number"])], pa.int32()), pa.array([list(fields)]), pa.array([list(fields.values())]), pa.array([block], pa.binary())]
+                yield pa.RecordBatch.from_arrays(row, names=["origin", "number", "names", "fields", "block"])
 
     def joined(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         origin, parts = None, []
