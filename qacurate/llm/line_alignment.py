@@ -92,7 +92,7 @@ def line_tables(docs: DataFrame) -> DataFrame:
 def candidate_pairs(tables: DataFrame, rare: int = RARE) -> DataFrame:
     """(a, b), a < b: documents that share a line. At most ``rare`` rows of a line are ever paired among each other."""
     rows = tables.select("id", F.explode(F.array_distinct("lines")).alias("h")).distinct()
-    known = rows.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first")).where("n > 1")
+    known = Staged(rows.groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first")).where("n > 1"), "shared-lines").df
     met = rows.join(known, "h")
     common = met.where((F.col("n") > rare) & (F.col("id") != F.col("first"))).select(F.col("first").alias("a"), F.col("id").alias("b"))
     few = met.where(F.col("n") <= rare).groupBy("h").agg(F.sort_array(F.collect_list("id")).alias("ids"))
@@ -111,7 +111,8 @@ def align_lines(docs: DataFrame, least_words: int = 20, rare: int = RARE) -> Dat
     """
     bound_batches(docs.sparkSession)
     tables = Staged(line_tables(docs), "lines").df
-    first = tables.groupBy("same").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("same", "first")
+    # Written before the join, whose large partitions (a group of copies) Spark then splits.
+    first = Staged(tables.groupBy("same").agg(F.min("id").alias("first"), F.count(F.lit(1)).alias("n")).where("n > 1").select("same", "first"), "first-copies").df
     met = tables.join(first, "same", "left")
     copy = F.coalesce(F.col("id") != F.col("first"), F.lit(False)) & (F.aggregate("words", F.lit(0), lambda x, y: x + y) >= least_words)
     marked = Staged(met.select("id", "lines", "words", copy.alias("copy")), "marked-lines").df
