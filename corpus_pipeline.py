@@ -10,7 +10,7 @@ from __future__ import annotations
 import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
-from qacurate.llm import mixing, packing, quality_crf, radix_exact, simhash_cover
+from qacurate.llm import mixing, near_jaccard, packing, quality_crf, radix_exact
 from qacurate.registry import read
 from qacurate.staging import stage
 
@@ -26,8 +26,8 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies the smallest doc_id stays."""
-    return simhash_cover.drop_near_copies(docs)
+    """Of each group of near copies (five-word shingles, Jaccard of 0.8 or more) the smallest doc_id stays."""
+    return near_jaccard.drop_near_copies(docs)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
@@ -42,7 +42,7 @@ def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 STAGES = [("quality", quality), ("exact", exact), ("near", near), ("mix", mixed), ("pack", packed)]
 
-#: SQL has no tokenizer, line model or SimHash: tests compare with a brute-force pipeline instead.
+#: SQL has no tokenizer, line model or MinHash: tests compare with a brute-force pipeline instead.
 ORACLE_SQL = None
 
 
