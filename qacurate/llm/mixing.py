@@ -4,24 +4,34 @@ A source's documents are dealt into blocks. Block j of a source of weight w may
 floor(j / w), its release, and before slot ceil((j + 1) / w), its deadline. Taking in every slot the
 released block with the earliest deadline keeps each source within one block of its share at any time.
 
-Weights are fractions k / K with one K, so the schedule repeats every K slots. One period is worked
-out on the driver, its size fixed by K; a document's slot then follows from its rank within its source
-by arithmetic alone. The rank is a count over hash buckets of a source plus a position within a bucket,
-so a source with any share of the rows never meets in one task.
+Weights are exact rationals, and releases and deadlines follow from them over the whole length of the
+schedule: nothing is rounded that would add up. The driver schedules the blocks that exist, one step per
+block of ``block`` documents; an ended source takes no steps. Windows of the blocks that remain are met as
+before, since leaving blocks out of a schedule by earliest deadline delays no other. A document's block
+follows from its rank within its source. The rank is a count over hash buckets of a source plus a position
+within a bucket, so a source with any share of the rows never meets in one task.
+
+A caller may ask for a repeated schedule instead: weights are then rounded to fractions k / K with one K,
+and the schedule of K slots repeats. Its deviation from the weights grows with the number of periods.
 """
 
 from __future__ import annotations
 
 import heapq
 from collections.abc import Mapping
+from fractions import Fraction
+from math import lcm
 
-from pyspark.sql import DataFrame, Window
+import numpy as np
+import pyarrow as pa
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from qacurate.llm.text import free_names
 
 RANK_BUCKETS = 4096
 MOST_SOURCES = 10_000
+BROADCAST_BLOCKS = 1_000_000
 
 
 def fractions(weights: Mapping[str, float], period: int) -> dict[str, int]:
@@ -54,12 +64,52 @@ def schedule(shares: Mapping[str, int], period: int) -> list[tuple[str, int, int
     return out
 
 
-def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: float = 0.5, block: int = 64, period: int = 1000) -> DataFrame:
+def whole_weights(weights: Mapping[str, float]) -> dict[str, int]:
+    """Whole numbers in exactly the proportions of the weights."""
+    exact = {s: Fraction(w) for s, w in weights.items()}
+    if min(exact.values(), default=0) < 0:
+        raise ValueError("a weight is below zero")
+    scale = lcm(*(w.denominator for w in exact.values()))
+    return {s: int(w * scale) for s, w in exact.items()}
+
+
+def exact_schedule(weights: Mapping[str, float], blocks: Mapping[str, int]) -> tuple[list[str], np.ndarray]:
+    """(sources, rows of (source's number, block, slot, release, deadline)) of all blocks, by earliest deadline first.
+
+    Sources without weight follow after the last slot of the others, in equal shares.
+    """
+    names = sorted(weights)
+    whole = whole_weights(weights)
+    out = np.empty((sum(blocks[s] for s in names), 5), np.int64)
+    n = start = 0
+    for part in ([k for k, s in enumerate(names) if whole[s]], [k for k, s in enumerate(names) if not whole[s]]):
+        own = {k: whole[names[k]] or 1 for k in part}
+        total = sum(own.values())
+        coming = [(0, k, 0) for k in part if blocks[names[k]]]
+        ready: list[tuple[int, int, int, int]] = []
+        slot = 0
+        while coming or ready:
+            if not ready:
+                slot = max(slot, coming[0][0])
+            while coming and coming[0][0] <= slot:
+                release, k, j = heapq.heappop(coming)
+                heapq.heappush(ready, (-(-(j + 1) * total // own[k]), k, j, release))
+            deadline, k, j, release = heapq.heappop(ready)
+            out[n] = k, j, start + slot, start + release, start + deadline
+            n, slot = n + 1, slot + 1
+            if j + 1 < blocks[names[k]]:
+                heapq.heappush(coming, ((j + 1) * total // own[k], k, j + 1))
+        start += slot
+    return names, out
+
+
+def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: float = 0.5, block: int = 64, period: int | None = None) -> DataFrame:
     """(doc_id, source, block_no, in_block, slot, release_slot, deadline_slot) of every row.
 
-    weights: target weight of each source; a source that is not named shares the least weight given.
+    weights: target weight of each source; a source that is not named has the least weight given.
     Without weights they are the sources' row counts to the power ``temper``. Every document keeps a
-    place: where a source has ended its slots stay empty and the others go on. A null source is a
+    place: where a source has ended its slots stay empty and the others go on. period: slots of a
+    schedule to repeat, by rounded weights; without it the weights hold exactly. A null source is a
     source of its own, shown as null. Rows that repeat an id have a rank each, in no fixed order among
     themselves; null ids rank first. Only doc_id and source are read. No rows: no rows.
     """
@@ -74,27 +124,47 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: flo
     else:
         least = min(weights.values(), default=1.0)
         target = {s: weights.get(s[1:], least) if s else least for s in sources}
-    period = max(period, 4 * len(sources))
-    shares = fractions(target, period) if sources else {}
-    table = schedule(shares, period) if sources else []
-    slots = F.broadcast(spark.createDataFrame([(s, shares[s], *x) for s, *x in table], "name string, share int, turn long, slot0 long, release0 long, deadline0 long"))
 
     before = F.sum("n").over(Window.partitionBy("name").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1))
     offsets = counts.select("name", "bucket", F.coalesce(before, F.lit(0)).alias("ahead"))
     place = F.row_number().over(Window.partitionBy("name", "bucket").orderBy("doc_id")) - 1
     ranked = rows.select("doc_id", "name", "bucket", place.alias("place")).join(offsets, ["name", "bucket"])
     ranked = ranked.select("doc_id", "name", (F.col("ahead") + F.col("place")).alias("rank"))
-    ranked = ranked.join(F.broadcast(spark.createDataFrame(list(shares.items()), "name string, own int")), "name")
-    dealt = ranked.select("doc_id", "name", F.expr(f"rank div {block}").alias("block_no"), (F.col("rank") % block).alias("in_block"), F.expr(f"(rank div {block}) % own").alias("turn"), F.expr(f"rank div {block} div own * {period}").alias("from"))
-    return dealt.join(slots, ["name", "turn"]).select(
+    dealt = ranked.select("doc_id", "name", F.expr(f"rank div {block}").alias("block_no"), (F.col("rank") % block).alias("in_block"))
+    if period is None:
+        slots = _slots(spark, target, {s: -(-n // block) for s, n in sources.items()})
+        placed = dealt.join(slots, ["name", "block_no"])
+    else:
+        placed = _repeated(dealt, target, max(period, 4 * len(sources)))
+    return placed.select(
         "doc_id",
         F.when(F.col("name") != "", F.expr("substring(name, 2)")).alias("source"),
         "block_no",
         "in_block",
-        *[(F.col("from") + F.col(a)).alias(b) for a, b in (("slot0", "slot"), ("release0", "release_slot"), ("deadline0", "deadline_slot"))],
+        "slot",
+        "release_slot",
+        "deadline_slot",
     )
 
 
+def _slots(spark: SparkSession, target: Mapping[str, float], blocks: Mapping[str, int]) -> DataFrame:
+    names, table = exact_schedule(target, blocks)
+    keys = pa.DictionaryArray.from_arrays(pa.array(table[:, 0]), pa.array(names, pa.string())).cast(pa.string())
+    columns = dict(zip(("block_no", "slot", "release_slot", "deadline_slot"), (pa.array(c) for c in table[:, 1:].T), strict=True))
+    slots = spark.createDataFrame(pa.table({"name": keys, **columns}))
+    return F.broadcast(slots) if len(table) <= BROADCAST_BLOCKS else slots
+
+
+def _repeated(dealt: DataFrame, target: Mapping[str, float], period: int) -> DataFrame:
+    spark = dealt.sparkSession
+    shares = fractions(target, period) if target else {}
+    table = schedule(shares, period) if target else []
+    slots = F.broadcast(spark.createDataFrame([(s, shares[s], *x) for s, *x in table], "name string, own int, turn long, slot0 long, release0 long, deadline0 long"))
+    own = F.broadcast(spark.createDataFrame(list(shares.items()), "name string, own int"))
+    met = dealt.join(own, "name").withColumns({"turn": F.expr("block_no % own"), "from": F.expr(f"block_no div own * {period}")})
+    return met.join(slots.drop("own"), ["name", "turn"]).withColumns({b: F.col("from") + F.col(a) for a, b in (("slot0", "slot"), ("release0", "release_slot"), ("deadline0", "deadline_slot"))})
+
+
 def interleave(docs: DataFrame, **options) -> DataFrame:
     """The input in mixed order: written files hold runs of the mixed stream, in its order."""
     id_, slot, place = free_names(docs, "_id", "_slot", "_in")
