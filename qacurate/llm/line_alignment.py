@@ -1,10 +1,12 @@
 """Line deduplication by pairwise alignment.
 
-Documents that share a line are found through its hash. A line of few documents (rare) pairs them all;
-a line of more documents pairs each with the first that has it, so that no line, however common, makes
-more pairs than it has rows, and none is left out. Whole copies are settled by the first copy. Each
-pair is aligned by patience diff over line hashes, and the blocks that align are cut from the later
-document.
+A block can only be cut where two documents share a run of adjacent lines with enough words. The
+shortest such runs from each line on, and up to each line, cover every line of any such block, so their
+hashes find all pairs that matter. A run of few documents (rare) pairs them all; a run of more documents
+pairs each with the first that has it. Where that alignment leaves lines of the run, the document meets
+all earlier holders of the run as well. The result is that of aligning all pairs that share a line.
+Whole copies are settled by the first copy. Each pair is aligned by patience diff over line hashes, and
+the blocks that align are cut from the later document.
 """
 
 from __future__ import annotations
@@ -15,6 +17,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
+import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
@@ -100,12 +103,67 @@ def candidate_pairs(tables: DataFrame, rare: int = RARE) -> DataFrame:
     return common.union(each.select("p.a", "p.b")).distinct()
 
 
-def align_lines(docs: DataFrame, least_words: int = 20, rare: int = RARE) -> DataFrame:
+def least_runs(lines: list[int], words: list[int], least_words: int) -> set[tuple[int, int]]:
+    """(first, last line) of the shortest runs of ``least_words`` words from each line on and up to each line."""
+    ends, out = np.cumsum([0, *words]), set()
+    for i in range(len(lines)):
+        k = int(np.searchsorted(ends, ends[i] + least_words))
+        if k <= len(lines):
+            out.add((i, max(k - 1, i)))
+        k = int(np.searchsorted(ends, ends[i + 1] - least_words, side="right")) - 1
+        if k >= 0:
+            out.add((min(k, i), i))
+    return out
+
+
+def line_runs(tables: DataFrame, least_words: int) -> DataFrame:
+    """(h, id, at, to): hash and place of the ``least_runs`` of every row of (id, lines, words)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            out = []
+            for i, lines, words in zip(*(batch.column(c).to_pylist() for c in ("id", "lines", "words")), strict=True):
+                raw = np.array(lines, np.int64).tobytes()
+                for a, b in least_runs(lines, words, least_words):
+                    h = xxhash.xxh3_64_intdigest(raw[8 * a : 8 * b + 8])
+                    out.append((h - (1 << 64) if h >> 63 else h, i, a, b))
+            columns = zip(*out, strict=True) if out else ([], [], [], [])
+            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.int32(), pa.int32()), strict=True)], names=["h", "id", "at", "to"])
+
+    return tables.select("id", "lines", "words").mapInArrow(run, "h long, id long, at int, to int")
+
+
+def _shared_runs(own: DataFrame, least_words: int) -> DataFrame:
+    """(h, id, at, to, n, first) of the runs that several documents hold."""
+    runs = Staged(line_runs(own, least_words), "line-runs").df
+    known = Staged(runs.select("h", "id").distinct().groupBy("h").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("first")).where("n > 1"), "shared-runs").df
+    return Staged(runs.join(known, "h"), "met-runs").df
+
+
+def _run_pairs(met: DataFrame, rare: int) -> DataFrame:
+    common = met.where((F.col("n") > rare) & (F.col("id") != F.col("first"))).select(F.col("first").alias("a"), F.col("id").alias("b"))
+    few = met.where(F.col("n") <= rare).groupBy("h").agg(F.sort_array(F.collect_set("id")).alias("ids"))
+    each = few.select(F.explode(F.expr("flatten(transform(ids, (x, i) -> transform(slice(ids, i + 2, size(ids)), y -> struct(x as a, y as b))))")).alias("p"))
+    return common.union(each.select("p.a", "p.b")).distinct()
+
+
+def _left_pairs(met: DataFrame, cut: DataFrame, rare: int) -> DataFrame:
+    """Pairs of documents that keep lines of a common run with the run's other earlier holders."""
+    common = met.where(F.col("n") > rare)
+    later = common.where("id <> first").join(cut, "id", "left")
+    whole = F.size(F.array_intersect(F.sequence("at", "to"), F.coalesce("cut", F.array().cast("array<int>")))) > F.col("to") - F.col("at")
+    left = Staged(later.where(~whole).select("h", F.col("id").alias("b")).distinct(), "left-runs").df
+    held = common.where("id <> first").select("h", F.col("id").alias("a")).distinct()
+    return left.join(held, "h").where("a < b").select("a", "b").distinct()
+
+
+def align_lines(docs: DataFrame, least_words: int = 20, rare: int | None = None) -> DataFrame:
     """(doc_id, n_lines, n_removed, words_removed, removed): positions, among the lines with a word, that are cut.
 
     One row per input row. Of copies of a whole text the smallest doc_id keeps its lines and the others
     lose all, if the text has ``least_words`` words. Lines are equal after trimming ASCII blanks; pairs
-    are judged on the input. Null texts have no lines. A null doc_id counts as larger than any; rows
+    are judged on the input. With ``rare`` given, only the pairs of ``candidate_pairs`` are aligned;
+    without it the result is that of all pairs. Null texts have no lines. A null doc_id counts as larger than any; rows
     that repeat a doc_id are one document: what is cut by its id is cut in each. Only doc_id and text
     are read.
     """
@@ -117,9 +175,7 @@ def align_lines(docs: DataFrame, least_words: int = 20, rare: int = RARE) -> Dat
     copy = F.coalesce(F.col("id") != F.col("first"), F.lit(False)) & (F.aggregate("words", F.lit(0), lambda x, y: x + y) >= least_words)
     marked = Staged(met.select("id", "lines", "words", copy.alias("copy")), "marked-lines").df
     own = marked.where("not copy").select("id", "lines", "words")
-    pairs = candidate_pairs(own, rare)
     one = own.dropDuplicates(["id"])
-    both = pairs.join(one.select(F.col("id").alias("a"), F.col("lines").alias("la")), "a").join(one.select(F.col("id").alias("b"), F.col("lines").alias("lb"), "words"), "b")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -130,7 +186,21 @@ def align_lines(docs: DataFrame, least_words: int = 20, rare: int = RARE) -> Dat
                 at += got
             yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(np.array(at, np.int32))], names=["id", "at"])
 
-    cut = both.select("b", "la", "lb", "words").mapInArrow(run, "id long, at int").groupBy("id").agg(F.sort_array(F.collect_set("at")).alias("cut"))
+    def cut_by(pairs: DataFrame) -> DataFrame:
+        both = pairs.join(one.select(F.col("id").alias("a"), F.col("lines").alias("la")), "a").join(one.select(F.col("id").alias("b"), F.col("lines").alias("lb"), "words"), "b")
+        return both.select("b", "la", "lb", "words").mapInArrow(run, "id long, at int")
+
+    def gathered(cuts: DataFrame) -> DataFrame:
+        return cuts.groupBy("id").agg(F.sort_array(F.collect_set("at")).alias("cut"))
+
+    if rare is not None:
+        cut = gathered(cut_by(candidate_pairs(own, rare)))
+    else:
+        one = Staged(one, "own-lines").df
+        met = _shared_runs(one, least_words)
+        cuts = Staged(cut_by(_run_pairs(met, RARE)), "cuts").df
+        more = cut_by(_left_pairs(met, Staged(gathered(cuts), "cut-lines").df, RARE))
+        cut = gathered(cuts.union(more))
     all_ = F.sequence(F.lit(0), F.size("lines") - 1)
     none = F.array().cast("array<int>")
     out = marked.join(cut, "id", "left").withColumn("removed", F.when(F.size("lines") == 0, none).when(F.col("copy"), all_).otherwise(F.coalesce(F.filter("cut", lambda x: x < F.size("lines")), none)))
