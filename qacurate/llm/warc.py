@@ -105,7 +105,7 @@ def plan_revisits(pages: DataFrame, least: int = 0) -> DataFrame:
     return rows.join(later, ["p", "sha"], "left").select("page_id", "url", "payload", "sha", copy.alias("copy"), "first")
 
 
-def write_warc(pages: DataFrame, path: str, segment: int = 256 << 10, chunk: int = 8 << 10, per_file: int = 20_000, least: int = 0) -> None:
+def write_warc(pages: DataFrame, path: str, segment: int = 16 << 10, chunk: int = 8 << 10, per_file: int = 20_000, least: int = 0) -> None:
     """Writes a record for every page row (page_id, url, html) as gzip archives under ``path``.
 
     Null html is an empty payload. segment, chunk: bytes from which blocks are cut into records and
