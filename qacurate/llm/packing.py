@@ -2,11 +2,12 @@
 
 Documents are tokenised and packed block by block: a block holds up to ``block`` tokens, so memory
 does not grow with the input and no text is shuffled. Whole windows of a document fill sequences of
-their own. The tails are counted by length class; combinations of up to ``depth`` classes that fill a
-window are enumerated, and non-negative least squares finds how often to use each so that the
-histogram is used up. Counts are rounded down; tails left over are packed greedily: they fill the gaps
-that rounding lengths to classes left, then sequences of their own. What does not fill a window goes on
-to the next block; at a partition's end it is cut into sequences whose lengths are powers of two.
+their own. The tails are counted by length class; combinations of up to ``depth`` classes whose members
+may fill a window are enumerated, and non-negative least squares finds how often to use each so that the
+histogram is used up. Counts are rounded down; each use takes members whose exact lengths sum up to the
+window, so nothing is cut. Tails left over are packed greedily, the longest first, and a sequence that no
+tails fill to the last token cuts one of them. What does not fill a window goes on to the next block; at
+a partition's end it is cut into sequences whose lengths are powers of two.
 """
 
 from __future__ import annotations
@@ -25,8 +26,8 @@ from pyspark.sql import DataFrame
 from qacurate.llm.text import docs_of, per_process, slices, texts
 from qacurate.staging import bound_batches
 
-SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, `offset` long"
-_NAMES = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset"]
+SCHEMA = "doc_id long, start long, length long, ids_crc32 long, doc_tokens long, sequence_id long, `offset` long, made string"
+_NAMES = ["doc_id", "start", "length", "ids_crc32", "doc_tokens", "sequence_id", "offset", "made"]
 Piece = tuple[int, int, int]  # document of the block, start, length
 
 
@@ -150,41 +151,106 @@ def nnls(a: np.ndarray, b: np.ndarray, rounds: int = 400) -> np.ndarray:
     return x
 
 
-def plan(sizes: list[int], window: int, unit: int, ways: tuple[tuple[int, ...], ...]) -> tuple[list[list[Piece]], list[Piece]]:
-    """Full sequences over documents of these sizes, and pieces that are left and do not fill one. ways: combinations of classes."""
-    full = [[(d, at, window)] for d, n in enumerate(sizes) for at in range(0, n - window + 1, window)]
-    classes = window // unit
-    queues: list[deque[Piece]] = [deque() for _ in range(classes + 1)]
+def ways_of(classes: int, depth: int) -> tuple[tuple[int, ...], ...]:
+    """Combinations of 2 to ``depth`` classes whose members may fill a window to the last token.
+
+    A class holds the lengths up to its number times the unit, so k pieces that fill a window have
+    classes that sum up to between 1 and k - 1 more than the window's (unless all are whole units).
+    """
+    found = (w for more in range(1, depth) for w in combinations(classes + more, depth))
+    return tuple(w for w in found if len(w) > sum(w) - classes and w[-1] <= classes)
+
+
+class Tails:
+    """Pieces shorter than a window, by their exact length."""
+
+    def __init__(self, window: int) -> None:
+        self.of: list[list[Piece]] = [[] for _ in range(window)]
+        self.n = np.zeros(window, np.int64)
+        self.total = 0
+
+    def add(self, piece: Piece) -> None:
+        self.of[piece[2]].append(piece)
+        self.n[piece[2]] += 1
+        self.total += piece[2]
+
+    def take(self, length: int) -> Piece:
+        self.n[length] -= 1
+        self.total -= length
+        return self.of[length].pop()
+
+    def largest(self, most: int) -> int:
+        """The largest length up to ``most`` that is there; 0 if there is none."""
+        at = np.flatnonzero(self.n[1 : most + 1])
+        return int(at[-1]) + 1 if len(at) else 0
+
+    def exact(self, room: int) -> list[int]:
+        """The lengths of one or two pieces that fill the room; empty if no such pieces are there."""
+        if self.n[room]:
+            return [room]
+        half = room // 2
+        at = np.flatnonzero((self.n[1 : half + 1] > 0) & (self.n[room - half : room][::-1] > 0)) + 1
+        return next(([room - a, a] for a in at.tolist() if 2 * a < room or self.n[a] > 1), [])
+
+    def members(self, way: tuple[int, ...], unit: int) -> list[int]:
+        """Lengths of one piece of each class of the way that fill a window together; empty if there are none."""
+        window, sums, owns = len(self.n), np.zeros(1, np.int64), []
+        for c in way[:-1]:
+            owns.append(np.flatnonzero(self.n[(c - 1) * unit + 1 : c * unit + 1]) + (c - 1) * unit + 1)
+            sums = (sums[:, None] + owns[-1]).ravel()
+        last = window - sums
+        fits = np.flatnonzero((last > (way[-1] - 1) * unit) & (last <= min(way[-1] * unit, window - 1)))
+        for i in fits[self.n[last[fits]] > 0].tolist():
+            at = np.unravel_index(i, [len(x) for x in owns])
+            found = [*(int(x[k]) for x, k in zip(owns, at, strict=True)), int(last[i])]
+            if all(found.count(x) <= self.n[x] for x in found):
+                return found
+        return []
+
+
+def plan(sizes: list[int], window: int, unit: int, ways: tuple[tuple[int, ...], ...]) -> tuple[list[tuple[str, list[Piece]]], list[Piece]]:
+    """Full sequences over documents of these sizes, each with how it was made, and pieces that are left.
+
+    ways: combinations of classes. What is left does not fill a window. A sequence cuts one tail at most.
+    """
+    out = [("window", [(d, at, window)]) for d, n in enumerate(sizes) for at in range(0, n - window + 1, window)]
+    classes, tails = window // unit, Tails(window)
     for d, n in enumerate(sizes):
         if tail := n % window:
-            queues[-(-tail // unit)].append((d, n - tail, tail))
-    counts = np.array([len(q) for q in queues[1:]], float)
+            tails.add((d, n - tail, tail))
+    ends = np.arange(classes + 1) * unit
+    upto = np.cumsum(tails.n)[np.minimum(ends, window - 1)]
+    counts = np.diff(upto).astype(float)
     matrix = np.zeros((classes, len(ways)))
     for k, way in enumerate(ways):
         for c in way:
             matrix[c - 1, k] += 1
     weight = np.sqrt(np.arange(1, classes + 1))[:, None]  # long tails are the harder ones to place later
-    packed: list[list[Piece]] = []
-    for way, times in zip(ways, np.floor(nnls(matrix * weight, counts * weight[:, 0]) + 1e-6).astype(int), strict=True):
+    for way, times in zip(ways, np.floor(nnls(matrix * weight, counts * weight[:, 0]) + 1e-6).astype(int).tolist(), strict=True):
         for _ in range(times):
-            if all(len(queues[c]) >= way.count(c) for c in way):
-                packed.append([queues[c].popleft() for c in way])
-    left = [p for q in reversed(queues) for p in q]
-    gaps = sum(window - sum(p[2] for p in s) for s in packed)
-    have = sum(p[2] for p in left)
-    while packed and have < gaps:  # too little is left to fill the gaps: one combination less
-        s = packed.pop()
-        used = sum(p[2] for p in s)
-        left, have, gaps = left + s, have + used, gaps - (window - used)
-    rest = deque(left)
-    for s in packed:
-        _fill(s, window, rest)
-    while have - gaps >= window:
-        s = []
-        _fill(s, window, rest)
-        packed.append(s)
-        gaps += window
-    return full + packed, list(rest)
+            found = tails.members(way, unit)
+            if not found:
+                break
+            out.append(("combination", [tails.take(x) for x in found]))
+    while tails.total >= window:
+        out.append(("greedy", _greedy(tails, window)))
+    return out, [p for own in reversed(tails.of) for p in own]
+
+
+def _greedy(tails: Tails, window: int) -> list[Piece]:
+    """A full sequence: the longest tails that fit, up to where one or two fill it; else the longest is cut."""
+    sequence, room = [tails.take(tails.largest(window - 1))], 0
+    while room := window - sum(p[2] for p in sequence):
+        lengths = tails.exact(room)
+        if not lengths and (most := tails.largest(room)):
+            lengths = [most]
+        if lengths:
+            sequence += [tails.take(x) for x in lengths]
+            continue
+        d, at, n = tails.take(tails.largest(window - 1))
+        sequence.append((d, at, room))
+        tails.add((d, at + room, n - room))
+    return sequence
 
 
 def _fill(sequence: list[Piece], window: int, rest: deque[Piece]) -> None:
@@ -213,31 +279,32 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, window: int = 2048, u
 
     tokenizer: path of the vocabulary on every node. Null and empty texts have the end id alone. Rows
     that repeat an id are documents of their own; a null doc_id stays null. Only doc_id and text are
-    read. Sequence ids hold the number of the partition, so a lost task makes the same ids again.
+    read. Sequence ids hold the number of the partition, so a lost task makes the same ids again. made:
+    window (a whole window of one document), combination (a solved one), greedy, or remainder.
     """
     bound_batches(docs.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        encoder, ways, sequence = per_process(f"ids of {tokenizer}", lambda: WordIds(tokenizer)), combinations(window // unit, depth), TaskContext.get().partitionId() << 36
+        encoder, ways, sequence = per_process(f"ids of {tokenizer}", lambda: WordIds(tokenizer)), ways_of(window // unit, depth), TaskContext.get().partitionId() << 36
         ids: list[int | None] = []
         tokens: list[np.ndarray] = []  # of the documents of the block
         base: list[tuple[int, int]] = []  # ids before what a document of the block holds, and all it has
         held = 0
 
-        def rows(sequences: list[list[Piece]]) -> pa.RecordBatch:
+        def rows(sequences: list[tuple[str, list[Piece]]]) -> pa.RecordBatch:
             nonlocal sequence
-            out: list[list] = [[] for _ in range(7 + with_ids)]
-            for s in sequences:
+            out: list[list] = [[] for _ in range(8 + with_ids)]
+            for made, s in sequences:
                 offset = 0
                 for d, at, n in s:
                     part = tokens[d][at : at + n]
-                    row = (ids[d], base[d][0] + at, n, zlib.crc32(part.tobytes()), base[d][1], sequence, offset)
+                    row = (ids[d], base[d][0] + at, n, zlib.crc32(part.tobytes()), base[d][1], sequence, offset, made)
                     for column, value in zip(out, (*row, part) if with_ids else row, strict=True):
                         column.append(value)
                     offset += n
                 sequence += 1
-            arrays = [pa.array(c, pa.int64()) for c in out[:7]]
-            return pa.RecordBatch.from_arrays(arrays + ([pa.array(out[7], pa.list_(pa.int32()))] if with_ids else []), names=_NAMES + ["ids"] * with_ids)
+            arrays = [*(pa.array(c, pa.int64()) for c in out[:7]), pa.array(out[7], pa.string())]
+            return pa.RecordBatch.from_arrays(arrays + ([pa.array(out[8], pa.list_(pa.int32()))] if with_ids else []), names=_NAMES + ["ids"] * with_ids)
 
         def close() -> tuple[pa.RecordBatch, tuple]:
             full, rest = plan([len(t) for t in tokens], window, unit, ways)
@@ -256,6 +323,6 @@ def pack(docs: DataFrame, tokenizer: str, end_id: int = 1, window: int = 2048, u
                 yield made
         made, (ids, tokens, base) = close()
         yield made
-        yield rows(powers_of_two([(d, 0, len(t)) for d, t in enumerate(tokens)]))
+        yield rows([("remainder", s) for s in powers_of_two([(d, 0, len(t)) for d, t in enumerate(tokens)])])
 
     return docs_of(docs, "doc_id", "text").mapInArrow(run, SCHEMA + (", ids array<int>" if with_ids else ""))
