@@ -6,8 +6,11 @@ bits cannot span all dimensions, so some v overlaps evenly with all of them: in
 fingerprints agree. Every pair within the radius thus meets in some table, with certainty.
 
 Equal fingerprints are one class from the start. A bucket emits the spanning links of its classes,
-not its pairs. A bucket of more than ``most`` classes is split by the same kind of masks over another
-numbering of the bits, which again loses no pair within the radius.
+not its pairs. A bucket of more than ``most`` classes is split by masks over the bits that its mask left
+free, which again loses no pair within the radius. Each split halves the free bits, and classes of f free
+bits are 2^f at most: for a radius of 4, buckets of the third level hold 2^8 classes at most, so that the
+memory of a task is bounded whatever the fingerprints are. A split deals every row of the bucket out to 31
+tables, so the cost of many dense buckets is time and disk, not memory.
 """
 
 from __future__ import annotations
@@ -25,6 +28,7 @@ from qacurate.operators.graph import components
 from qacurate.staging import Staged, bound_batches
 
 BITS, SEED = 64, 42
+_ALL = (1 << BITS) - 1
 
 
 def fingerprint(text: bytes, width: int = 4) -> int:
@@ -39,11 +43,16 @@ def fingerprint(text: bytes, width: int = 4) -> int:
     digest = xxhash.xxh64_intdigest
     n = len(ends)
     hashes = np.fromiter((digest(joined[a:b], SEED) for a, b in zip(starts[:n].tolist(), ends.tolist(), strict=True)), np.uint64, n)
+    return majority(hashes)
+
+
+def majority(hashes: np.ndarray) -> int:
+    """The bits that are set in over half of the hashes; no hashes: zero."""
     counts = np.zeros(BITS, np.int64)
-    for at in range(0, n, 8192):
+    for at in range(0, len(hashes), 8192):
         bits = np.unpackbits(hashes[at : at + 8192].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
         counts += bits.sum(axis=0, dtype=np.int64)
-    return int(np.packbits(2 * counts > n, bitorder="little").view(np.uint64)[0])
+    return int(np.packbits(2 * counts > len(hashes), bitorder="little").view(np.uint64)[0])
 
 
 def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
@@ -58,12 +67,16 @@ def fingerprints(docs: DataFrame, width: int = 4) -> DataFrame:
     return docs_of(docs, "doc_id", "text").mapInArrow(run, "doc_id long, fp long")
 
 
-def masks(radius: int, level: int = 0, bits: int = BITS) -> list[int]:
-    """The tables' bit masks. level: a numbering of the bits."""
+def masks(radius: int, free: int = _ALL) -> list[int]:
+    """The tables' bit masks over the free bits.
+
+    Odd vectors are dealt out first: any 2^radius of them meet every v in half their number at least, so
+    that few free bits are split as well as many; of f free bits a mask holds f - 2^(radius - 1) at least.
+    """
     top = (1 << (radius + 1)) - 1
-    stride = (1, 11, 7, 19)[level % 4]
-    vectors = [1 + (i * stride + 5 * level) % top for i in range(bits)]
-    return [sum(1 << i for i, m in enumerate(vectors) if (m & v).bit_count() % 2) for v in range(1, top + 1)]
+    order = [*range(1, top + 1, 2), *range(2, top + 1, 2)]
+    vectors = [(i, order[k % top]) for k, i in enumerate(i for i in range(BITS) if free >> i & 1)]
+    return [sum(1 << i for i, m in vectors if (m & v).bit_count() % 2) for v in range(1, top + 1)]
 
 
 def spanning(fp: np.ndarray, rep: np.ndarray, radius: int, block: int = 2048) -> list[tuple[int, int]]:
@@ -86,7 +99,7 @@ def spanning(fp: np.ndarray, rep: np.ndarray, radius: int, block: int = 2048) ->
     return links
 
 
-def _linker(radius: int, most: int | None):
+def _linker(radius: int, most: int):
     """Streams rows sorted by bucket: links of small buckets, the rows of larger ones for the next level."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -97,10 +110,11 @@ def _linker(radius: int, most: int | None):
         def close() -> None:
             if not spilt and size > 1:
                 fp, rep = (np.concatenate(x) for x in zip(*held, strict=True))
-                out.extend((a, b, None, None, None) for a, b in spanning(fp, rep, radius))
+                out.extend((a, b, None, None, None, None) for a, b in spanning(fp, rep, radius))
 
         for batch in batches:
             g, t, k = (batch.column(c).to_numpy(zero_copy_only=False) for c in ("g", "t", "k"))
+            free = batch.column("free").to_numpy()
             fp, rep = batch.column("fp").to_numpy().view(np.uint64), batch.column("rep").to_numpy()
             cut = np.flatnonzero((t[1:] != t[:-1]) | (k[1:] != k[:-1]) | (g[1:] != g[:-1])) + 1
             starts, ends = np.concatenate([[0], cut]), np.concatenate([cut, [len(t)]])
@@ -113,11 +127,12 @@ def _linker(radius: int, most: int | None):
                     held, key, size, spilt = [], here, 0, False
                 held.append((fp[a:b], rep[a:b]))
                 size += b - a
-                if most is not None and size > most:
-                    spilt = True
+                # A bucket of so few free bits is small, and splitting it might leave all of them free.
+                spilt = spilt or (size > most and (int(free[a]) & _ALL).bit_count() > 1 << max(radius - 1, 0))
                 if spilt:
                     name = f"{here[0]}/{here[1]}:{here[2]}"
-                    out.extend((None, None, name, x, y) for f, r in held for x, y in zip(f.view(np.int64).tolist(), r.tolist(), strict=True))
+                    left = int(free[a])
+                    out.extend((None, None, name, left, x, y) for f, r in held for x, y in zip(f.view(np.int64).tolist(), r.tolist(), strict=True))
                     held = []
             if len(out) > 20_000:
                 yield _rows(out)
@@ -128,7 +143,29 @@ def _linker(radius: int, most: int | None):
     return run
 
 
-_LINKS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("g", pa.string()), ("fp", pa.int64()), ("rep", pa.int64())])
+def _dealer(radius: int):
+    """Rows of split buckets, once for each mask over the bits that are free; ``free`` is what each mask leaves."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for at in range(0, batch.num_rows, 4096):
+                part = batch.slice(at, 4096)
+                free = part.column("free").to_numpy().view(np.uint64)
+                for f in np.unique(free).tolist():
+                    if f not in known:
+                        known[f] = np.array(masks(radius, f), np.uint64)
+                table = np.array([known[f] for f in free.tolist()])
+                n, width = table.shape
+                rows = np.repeat(np.arange(n), width)
+                fp = part.column("fp").to_numpy().view(np.uint64)
+                dealt = part.select(["g", "fp", "rep"]).take(pa.array(rows))
+                yield pa.RecordBatch.from_arrays([*dealt.columns, pa.array(np.tile(np.arange(width, dtype=np.int32), n)), pa.array((table & fp[:, None]).ravel().view(np.int64)), pa.array((free[:, None] & ~table).ravel().view(np.int64))], names=["g", "fp", "rep", "t", "k", "free"])
+
+    return run
+
+
+_LINKS = pa.schema([("a", pa.int64()), ("b", pa.int64()), ("g", pa.string()), ("free", pa.int64()), ("fp", pa.int64()), ("rep", pa.int64())])
 
 
 def _rows(out: list[tuple]) -> pa.RecordBatch:
@@ -136,18 +173,18 @@ def _rows(out: list[tuple]) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(list(c), f.type) for c, f in zip(columns, _LINKS, strict=True)], schema=_LINKS)
 
 
-def links(classes: DataFrame, radius: int = 4, most: int = 2048, levels: int = 3) -> DataFrame:
+def links(classes: DataFrame, radius: int = 4, most: int = 2048) -> DataFrame:
     """(a, b): enough links between the ``rep`` of classes (fp, rep) to connect all within the radius."""
-    rows, found = classes.select(F.lit("").alias("g"), "fp", "rep"), []
-    for level in range(levels):
-        keys = F.array(*[F.struct(F.lit(t).cast("byte").alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("k")) for t, m in enumerate(masks(radius, level))])
-        dealt = rows.select("g", "fp", "rep", F.inline(keys)).repartition("g", "t", "k").sortWithinPartitions("g", "t", "k")
-        last = level + 1 == levels
-        out = Staged(dealt.mapInArrow(_linker(radius, None if last else most), "a long, b long, g string, fp long, rep long"), f"links-{level}").df
+    keys = F.array(*[F.struct(F.lit(t).alias("t"), F.col("fp").bitwiseAND(F.lit(_signed(m))).alias("k"), F.lit(_signed(_ALL & ~m)).alias("free")) for t, m in enumerate(masks(radius))])
+    dealt, found = classes.select(F.lit("").alias("g"), "fp", "rep", F.inline(keys)), []
+    for level in range(BITS):
+        near = dealt.repartition("g", "t", "k").sortWithinPartitions("g", "t", "k")
+        out = Staged(near.select("g", "t", "k", "free", "fp", "rep").mapInArrow(_linker(radius, most), "a long, b long, g string, free long, fp long, rep long"), f"links-{level}").df
         found.append(out.where("a is not null").select("a", "b"))
-        rows = out.where("g is not null").select("g", "fp", "rep")
-        if last or rows.isEmpty():
+        rows = out.where("g is not null").select("g", "free", "fp", "rep")
+        if rows.isEmpty():
             break
+        dealt = rows.mapInArrow(_dealer(radius), "g string, fp long, rep long, t int, k long, free long")
     all_ = found[0]
     for part in found[1:]:
         all_ = all_.union(part)

@@ -426,11 +426,20 @@ def fingerprint_brute(text, width=4):
     return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hashes) > len(hashes))
 
 
-@given(st.integers(0, 2**64 - 1), st.sets(st.integers(0, 63), max_size=4), st.integers(0, 2))
+@given(st.integers(0, 2**64 - 1), st.sets(st.integers(0, 63), max_size=4), st.integers(0, 2**64 - 1))
 @settings(max_examples=200, deadline=None)
-def test_every_close_pair_meets(fp, bits, level):
-    other = fp ^ sum(1 << b for b in bits)
-    assert any(fp & m == other & m for m in simhash_cover.masks(4, level))
+def test_every_close_pair_meets(fp, bits, free):
+    for own in (free, 2**64 - 1):
+        other = fp ^ sum(1 << b for b in bits if own >> b & 1)
+        assert any(fp & m == other & m for m in simhash_cover.masks(4, own))
+        assert all(m & ~own == 0 and m.bit_count() >= own.bit_count() - 2**3 - own.bit_count() // 2 for m in simhash_cover.masks(4, own))
+
+
+def test_third_level_is_bounded():
+    free = {2**64 - 1}
+    for _ in range(2):
+        free = {f & ~m for f in free for m in simhash_cover.masks(4, f)}
+    assert max((f & ~m).bit_count() for f in free for m in simhash_cover.masks(4, f)) <= 8
 
 
 def classes_brute(prints, radius=4):
