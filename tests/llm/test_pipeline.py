@@ -5,7 +5,8 @@ from collections import Counter
 import corpus_pipeline
 import numpy as np
 from pyspark.sql import functions as F
-from test_llm_operators import check_packed, classes_brute, fingerprint_brute
+from test_llm_operators import check_packed
+from test_near_jaccard import groups_brute
 
 from qacurate.llm import quality_crf
 
@@ -24,8 +25,7 @@ def test_stages_by_brute_force(spark, sf):
     for i in sorted(good, reverse=True):
         low.setdefault("".join(c.lower() if "A" <= c <= "Z" else c for c in good[i] or ""), i)
     unique = {i: good[i] for i in low.values()}
-    names = classes_brute({i: fingerprint_brute(t) for i, t in unique.items()})
-    want = {i: unique[i] for i in set(names.values())}
+    want = {i: unique[i] for i in set(groups_brute(unique.items()).values())}
     assert check_packed(corpus_pipeline.run(spark, sf).collect(), sorted(want.items())) == 0
 
 
