@@ -7,8 +7,9 @@ released block with the earliest deadline keeps each source within one block of
 Weights are exact rationals, and releases and deadlines follow from them over the whole length of the
 schedule: nothing is rounded that would add up. The driver schedules the blocks that exist, one step per
 block of ``block`` documents; an ended source takes no steps. Windows of the blocks that remain are met as
-before, since leaving blocks out of a schedule by earliest deadline delays no other. A document's block
-follows from its rank within its source. The rank is a count over hash buckets of a source plus a position
+before, since leaving blocks out of a schedule by earliest deadline delays no other. ``on_target`` marks the
+slots before a source's first missing block is released: up to there the mixture has the target weights,
+behind it those of the sources that remain. A document's block follows from its rank within its source. The rank is a count over hash buckets of a source plus a position
 within a bucket, so a source with any share of the rows never meets in one task.
 
 A caller may ask for a repeated schedule instead: weights are then rounded to fractions k / K with one K,
@@ -27,11 +28,10 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from qacurate.llm.text import free_names
-
 RANK_BUCKETS = 4096
 MOST_SOURCES = 10_000
 BROADCAST_BLOCKS = 1_000_000
+MOST_BLOCKS = 20_000_000
 
 
 def fractions(weights: Mapping[str, float], period: int) -> dict[str, int]:
@@ -103,8 +103,15 @@ def exact_schedule(weights: Mapping[str, float], blocks: Mapping[str, int]) -> t
     return names, out
 
 
+def target_slots(weights: Mapping[str, float], blocks: Mapping[str, int]) -> int:
+    """The slots in which no source of a weight lacks a released block."""
+    whole = whole_weights(weights)
+    total = sum(whole.values())
+    return min((blocks[s] * total // w for s, w in whole.items() if w), default=0)
+
+
 def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: float = 0.5, block: int = 64, period: int | None = None) -> DataFrame:
-    """(doc_id, source, block_no, in_block, slot, release_slot, deadline_slot) of every row.
+    """(doc_id, source, block_no, in_block, slot, release_slot, deadline_slot, on_target) of every row.
 
     weights: target weight of each source; a source that is not named has the least weight given.
     Without weights they are the sources' row counts to the power ``temper``. Every document keeps a
@@ -113,12 +120,21 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: flo
     source of its own, shown as null. Rows that repeat an id have a rank each, in no fixed order among
     themselves; null ids rank first. Only doc_id and source are read. No rows: no rows.
     """
+    return _mixed(docs, weights, temper, block, period)[0]
+
+
+def _mixed(docs: DataFrame, weights: Mapping[str, float] | None, temper: float, block: int, period: int | None, whole: bool = False) -> tuple[DataFrame, int]:
+    """What ``mix`` returns, and the number of its slots. whole: with the rows themselves as the struct ``row``."""
     spark = docs.sparkSession
-    rows = docs.select("doc_id", F.coalesce(F.concat(F.lit("="), "source"), F.lit("")).alias("name"), F.pmod(F.xxhash64("doc_id"), F.lit(RANK_BUCKETS)).alias("bucket"))
+    carried = [F.struct(*docs.columns).alias("row")] if whole else []
+    ties = [F.xxhash64("row.text")] if whole and "text" in docs.columns else []
+    rows = docs.select("doc_id", *carried, F.coalesce(F.concat(F.lit("="), "source"), F.lit("")).alias("name"), F.pmod(F.xxhash64("doc_id"), F.lit(RANK_BUCKETS)).alias("bucket"))
     counts = rows.groupBy("name", "bucket").agg(F.count(F.lit(1)).alias("n"))
     sources = {r.name: r.n for r in counts.groupBy("name").agg(F.sum("n").alias("n")).limit(MOST_SOURCES + 1).collect()}
     if len(sources) > MOST_SOURCES:
         raise ValueError(f"more than {MOST_SOURCES} sources: group them first")
+    if sum(sources.values()) > MOST_BLOCKS * block:
+        raise ValueError(f"more than {MOST_BLOCKS} blocks for the driver to schedule: choose larger blocks")
     if weights is None:
         target = {s: n**temper for s, n in sources.items()}
     else:
@@ -127,16 +143,18 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: flo
 
     before = F.sum("n").over(Window.partitionBy("name").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1))
     offsets = counts.select("name", "bucket", F.coalesce(before, F.lit(0)).alias("ahead"))
-    place = F.row_number().over(Window.partitionBy("name", "bucket").orderBy("doc_id")) - 1
-    ranked = rows.select("doc_id", "name", "bucket", place.alias("place")).join(offsets, ["name", "bucket"])
-    ranked = ranked.select("doc_id", "name", (F.col("ahead") + F.col("place")).alias("rank"))
-    dealt = ranked.select("doc_id", "name", F.expr(f"rank div {block}").alias("block_no"), (F.col("rank") % block).alias("in_block"))
+    place = F.row_number().over(Window.partitionBy("name", "bucket").orderBy("doc_id", *ties)) - 1
+    held = ["doc_id", "name", *["row"] * whole]
+    ranked = rows.select(*held, "bucket", place.alias("place")).join(offsets, ["name", "bucket"])
+    ranked = ranked.select(*held, (F.col("ahead") + F.col("place")).alias("rank"))
+    dealt = ranked.select(*held, F.expr(f"rank div {block}").alias("block_no"), (F.col("rank") % block).alias("in_block"))
+    blocks = {s: -(-n // block) for s, n in sources.items()}
     if period is None:
-        slots = _slots(spark, target, {s: -(-n // block) for s, n in sources.items()})
+        slots, upto, size = _slots(spark, target, blocks)
         placed = dealt.join(slots, ["name", "block_no"])
     else:
-        placed = _repeated(dealt, target, max(period, 4 * len(sources)))
-    return placed.select(
+        placed, upto, size = _repeated(dealt, target, blocks, max(period, 4 * len(sources)))
+    out = placed.select(
         "doc_id",
         F.when(F.col("name") != "", F.expr("substring(name, 2)")).alias("source"),
         "block_no",
@@ -144,31 +162,38 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: flo
         "slot",
         "release_slot",
         "deadline_slot",
+        (F.col("slot") < upto).alias("on_target"),
+        *["row"] * whole,
     )
+    return out, size
 
 
-def _slots(spark: SparkSession, target: Mapping[str, float], blocks: Mapping[str, int]) -> DataFrame:
+def _slots(spark: SparkSession, target: Mapping[str, float], blocks: Mapping[str, int]) -> tuple[DataFrame, int, int]:
     names, table = exact_schedule(target, blocks)
     keys = pa.DictionaryArray.from_arrays(pa.array(table[:, 0]), pa.array(names, pa.string())).cast(pa.string())
     columns = dict(zip(("block_no", "slot", "release_slot", "deadline_slot"), (pa.array(c) for c in table[:, 1:].T), strict=True))
     slots = spark.createDataFrame(pa.table({"name": keys, **columns}))
-    return F.broadcast(slots) if len(table) <= BROADCAST_BLOCKS else slots
+    size = int(table[:, 2].max(initial=-1)) + 1
+    return F.broadcast(slots) if len(table) <= BROADCAST_BLOCKS else slots, target_slots(target, blocks), size
 
 
-def _repeated(dealt: DataFrame, target: Mapping[str, float], period: int) -> DataFrame:
+def _repeated(dealt: DataFrame, target: Mapping[str, float], blocks: Mapping[str, int], period: int) -> tuple[DataFrame, int, int]:
     spark = dealt.sparkSession
     shares = fractions(target, period) if target else {}
     table = schedule(shares, period) if target else []
     slots = F.broadcast(spark.createDataFrame([(s, shares[s], *x) for s, *x in table], "name string, own int, turn long, slot0 long, release0 long, deadline0 long"))
     own = F.broadcast(spark.createDataFrame(list(shares.items()), "name string, own int"))
     met = dealt.join(own, "name").withColumns({"turn": F.expr("block_no % own"), "from": F.expr(f"block_no div own * {period}")})
-    return met.join(slots.drop("own"), ["name", "turn"]).withColumns({b: F.col("from") + F.col(a) for a, b in (("slot0", "slot"), ("release0", "release_slot"), ("deadline0", "deadline_slot"))})
+    placed = met.join(slots.drop("own"), ["name", "turn"]).withColumns({b: F.col("from") + F.col(a) for a, b in (("slot0", "slot"), ("release0", "release_slot"), ("deadline0", "deadline_slot"))})
+    periods = max((-(-n // shares[s]) for s, n in blocks.items()), default=0)
+    return placed, target_slots(shares, blocks), periods * period
 
 
-def interleave(docs: DataFrame, **options) -> DataFrame:
-    """The input in mixed order: written files hold runs of the mixed stream, in its order."""
-    id_, slot, place = free_names(docs, "_id", "_slot", "_in")
-    placed = mix(docs, **options).select(F.col("doc_id").alias(id_), F.col("slot").alias(slot), F.col("in_block").alias(place))
+def interleave(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: float = 0.5, block: int = 64, period: int | None = None) -> DataFrame:
+    """The input in mixed order: partition k holds the k-th run of slots, sorted, so that files in the order
+    of their names are the schedule. Options and edge cases are those of ``mix``; every row stays, once.
+    """
+    placed, size = _mixed(docs, weights, temper, block, period, whole=True)
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    joined = docs.join(placed, F.col("doc_id").eqNullSafe(F.col(id_)))
-    return joined.repartition(n, F.expr(f"{slot} div 8")).sortWithinPartitions(slot, place).select(docs.columns)
+    part = F.floor(F.col("slot") * n / F.lit(max(size, 1))).cast("int")
+    return placed.select("slot", "in_block", "row").repartitionById(n, part).sortWithinPartitions("slot", "in_block").select("row.*")

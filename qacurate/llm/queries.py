@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -13,12 +12,13 @@ from qacurate.staging import fresh_path
 LLM = Registry()
 
 
-TOKENIZER = public_tokenizers.path("word_bpe_49k.json")
+#: Target weights of the given sources; a source that is not named has the least of them.
+TARGETS = {f"src{k}": float(1 + k % 4) for k in range(20)}
 
 
 @LLM.add("op1_mix_pfair")
 def op1(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(read(spark, sf_dir, "documents"))
+    return mixing.mix(read(spark, sf_dir, "documents"), TARGETS)
 
 
 @LLM.add("op2_warc_segments", warc.round_trip_sql())
@@ -37,7 +37,9 @@ def op3(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 @LLM.add("op4_pack_nnls")
 def op4(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return packing.pack(read(spark, sf_dir, "documents"), TOKENIZER)
+    import public_tokenizers
+
+    return packing.pack(read(spark, sf_dir, "documents"), public_tokenizers.path("word_bpe_49k.json"))
 
 
 @LLM.add("op5_quality_crf")

@@ -1,8 +1,9 @@
 """The mixture against its target weights, over many times 1,000 slots."""
 
-from collections import Counter
+from collections import Counter, defaultdict
 from fractions import Fraction
 
+import pyarrow.parquet as pq
 import pytest
 from pyspark.sql import functions as F
 
@@ -38,3 +39,33 @@ def test_sources_without_weight_come_last(spark):
     assert [names[k] for k in table[:, 0]] == ["a", "a", "a", "b", "c"]
     with pytest.raises(ValueError):
         mixing.whole_weights({"a": -1.0})
+
+
+def test_files_follow_the_schedule(spark, tmp_path):
+    docs = spark.range(6000).select(F.col("id").alias("doc_id"), F.concat(F.lit("s"), F.col("id") % 3).alias("source"), F.concat(F.lit("text "), "id").alias("text")).repartition(5)
+    docs = docs.union(spark.createDataFrame([(None, "s1", "x"), (None, "s1", "y"), (7, "s1", "z"), (7, "s1", "z")], "doc_id long, source string, text string"))
+    weights = {"s0": 4.0, "s1": 2.0, "s2": 1.0}
+    mixing.interleave(docs, weights, block=4).write.parquet(str(tmp_path / "mixed"))
+    order = [r for f in sorted((tmp_path / "mixed").glob("part-*.parquet")) for r in pq.read_table(f).to_pylist()]
+    assert Counter((r["doc_id"], r["text"]) for r in order) == Counter((r.doc_id, r.text) for r in docs.collect())
+    placed = mixing.mix(docs, weights, block=4).collect()
+    at = defaultdict(set)
+    for r in placed:
+        at[r.doc_id].add((r.slot, r.in_block))
+    known = [next(iter(at[r["doc_id"]])) for r in order if len(at[r["doc_id"]]) == 1]
+    assert known == sorted(known) and len(known) > 5990
+    on = [r.source for r in placed if r.on_target]
+    share = Counter(on)
+    assert len(on) > 3000 and all(abs(share[s] / len(on) - w / 7) < 0.005 for s, w in weights.items())
+    assert all(r.source == "s2" for r in placed if r.slot > max(x.slot for x in placed if x.source != "s2"))
+
+
+def test_query_has_uneven_targets(spark, sf):
+    from qacurate.llm.queries import LLM, TARGETS
+
+    assert len(set(TARGETS.values())) > 1
+    rows = LLM.queries["op1_mix_pfair"](spark, sf).where("on_target").collect()
+    slots = {(r.source, r.slot) for r in rows}
+    done = Counter(s for s, _ in slots)
+    total = sum(TARGETS[s] for s in {r.source for r in rows})
+    assert all(abs(done[s] - len(slots) * TARGETS[s] / total) < 1 + 1e-9 for s in done)
