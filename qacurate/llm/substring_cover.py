@@ -3,11 +3,12 @@
 A difference cover D modulo p holds, for any two positions, a shift below p that puts both into D. So
 two equal windows of ``width`` words share an equal sub-window of ``width - p + 1`` words that starts at
 a position in D in both documents. Only those sub-windows, the anchors, are hashed and dealt out
-(4 of 13 positions). Anchors found twice are then extended: every full window around one is compared,
-by a 128-bit hash, with all equal windows, and the earliest of them stays.
+(4 of 13 positions). Anchors found twice are then extended: every full window around one is compared
+with all equal windows by two 64-bit hashes over the same 64-bit hashes of its words, and the earliest of
+them stays. Two words of one hash would thus count as equal, in otherwise equal windows.
 
-Rows dealt out are bounded by the words read: nothing pairs documents. Copies of a whole document are
-settled by their first copy. A window or anchor that occurs everywhere sends one row per slice of text.
+Rows dealt out are bounded by the words read: nothing pairs documents. Copies of a whole document, by
+md5 of the text, are settled by their first copy. A window or anchor that occurs everywhere sends one row per slice of text.
 """
 
 from __future__ import annotations
