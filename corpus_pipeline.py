@@ -11,6 +11,7 @@ import public_tokenizers
 from pyspark.sql import DataFrame, SparkSession
 
 from qacurate.llm import mixing, near_jaccard, packing, quality_crf, radix_exact
+from qacurate.llm.queries import TARGETS
 from qacurate.registry import read
 from qacurate.staging import stage
 
@@ -26,13 +27,16 @@ def exact(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each group of near copies (five-word shingles, Jaccard of 0.8 or more) the smallest doc_id stays."""
+    """Of each group of near copies (five-word shingles, Jaccard of 0.8 or more) the smallest doc_id stays.
+
+    Candidates come from the covering tables of the SimHash operator and from MinHash bands; see near_jaccard.
+    """
     return near_jaccard.drop_near_copies(docs)
 
 
 def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents in the order of the Pfair schedule over their sources."""
-    return mixing.interleave(docs)
+    return mixing.interleave(docs, TARGETS)
 
 
 def packed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
