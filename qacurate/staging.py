@@ -1,23 +1,28 @@
 """Tables between jobs, in the shared folder of the cluster.
 
 A staged table cuts lineage: a lost executor makes later jobs read the table again instead of
-recomputing what led to it. Everything goes under ``spark.checkpoint.dir``; only a session that
-names none (tests) gets a folder of its own.
+recomputing what led to it. Everything goes under ``spark.checkpoint.dir``; only a local session that
+names none (tests, a bench) gets a folder of its own. On a cluster such a folder would not be shared, so
+a session without the setting is refused there.
 """
 
 from __future__ import annotations
 
+import re
 import uuid
 from collections.abc import Iterator
 from contextlib import contextmanager
 
 from pyspark.sql import DataFrame, SparkSession
 
-_FALLBACK = "/tmp/checkpoints/qacurate"
+_LOCAL = "/tmp/checkpoints/qacurate"
 
 
 def shared_dir(spark: SparkSession) -> str:
-    return (spark.conf.get("spark.checkpoint.dir", None) or _FALLBACK).rstrip("/")
+    named = spark.conf.get("spark.checkpoint.dir", None)
+    if not named and not re.fullmatch(r"local(\[.*\])?", spark.sparkContext.master):
+        raise RuntimeError("spark.checkpoint.dir must name a folder that all executors share")
+    return (named or _LOCAL).rstrip("/")
 
 
 def fresh_path(spark: SparkSession, name: str) -> str:
