@@ -1,6 +1,6 @@
 """Question-answer pairs from chunks, by a strict and a loose standard, and their statistics.
 
-The rules stand in for the extracting model: a line of some words is a question, the lines behind it
+A model lists the pairs of a chunk. Rules stand in for it: a line of some words is a question, the lines behind it
 its answer. The strict standard asks for a long question and a full worked answer.
 """
 
@@ -8,10 +8,11 @@ from __future__ import annotations
 
 from dataclasses import dataclass
 
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from qacurate.functions.text import n_sentences, n_tokens
+from qacurate.models.clients import Model, parsed
 
 
 @dataclass(frozen=True)
@@ -28,25 +29,40 @@ HIGH = Standard("high", 40, 250, 20, 5)
 STANDARDS = {s.name: s for s in (LOW, HIGH)}
 
 
-def extract_pairs(chunks: DataFrame, standard: str = "high") -> DataFrame:
-    """(qid, book_id, chunk_no, line, standard, question, answer)"""
+def extract_pairs(chunks: DataFrame, standard: str = "high", model: Model | None = None) -> DataFrame:
+    """(qid, book_id, chunk_no, line, standard, question, answer)
+
+    model: lists the pairs of a chunk as JSON; ``line`` is then a pair's place in the list, and a reply that
+    does not parse gives none.
+    """
     rule = STANDARDS[standard]
+    if model is not None:
+        asked = model.ask(chunks.select("book_id", "chunk_no", "text"), f"extract_{standard}", "_reply")
+        listed = asked.select("book_id", "chunk_no", F.posexplode(parsed(F.col("_reply"), "array<struct<question: string, answer: string>>")).alias("line", "p"))
+        return listed.where("p.question is not null and p.answer is not null").select(_qid(rule), "book_id", "chunk_no", "line", F.lit(rule.name).alias("standard"), "p.question", "p.answer")
     lines = chunks.select("book_id", "chunk_no", F.split("text", "\n").alias("lines"))
     each = lines.select("book_id", "chunk_no", "lines", F.posexplode("lines").alias("line", "question"))
     following = F.get("lines", F.col("line") + 1)
     candidate = each.where((n_tokens("question", "space") >= 6) & (n_tokens(following, "space") >= 6))
     made = candidate.select("book_id", "chunk_no", "line", "question", F.array_join(F.slice("lines", F.col("line") + 2, rule.answer_lines), "\n").alias("answer"))
     good = (n_tokens("question", "space") >= rule.question_words) & (n_tokens("answer", "space") >= rule.answer_words) & (n_sentences("answer") >= rule.answer_sentences)
-    return made.where(good).select(F.concat_ws(":", "book_id", "chunk_no", "line", F.lit(rule.name)).alias("qid"), "book_id", "chunk_no", "line", F.lit(rule.name).alias("standard"), "question", "answer")
+    return made.where(good).select(_qid(rule), "book_id", "chunk_no", "line", F.lit(rule.name).alias("standard"), "question", "answer")
+
+
+def _qid(rule: Standard) -> Column:
+    return F.concat_ws(":", "book_id", "chunk_no", "line", F.lit(rule.name)).alias("qid")
 
 
-def extract_dual(chunks: DataFrame) -> DataFrame:
+def extract_dual(chunks: DataFrame, model: Model | None = None) -> DataFrame:
     """Both standards; pairs found by both stay twice, as deduplication comes later."""
-    return extract_pairs(chunks, "high").unionByName(extract_pairs(chunks, "low"))
+    return extract_pairs(chunks, "high", model).unionByName(extract_pairs(chunks, "low", model))
 
 
-def synthesise_questions(chunks: DataFrame) -> DataFrame:
+def synthesise_questions(chunks: DataFrame, model: Model | None = None) -> DataFrame:
     """The contrast: a question made up about a chunk instead of taken from it."""
+    if model is not None:
+        asked = model.ask(chunks.select("book_id", "chunk_no", "text"), "synthesise", "question")
+        return asked.select(F.concat_ws(":", "book_id", "chunk_no", F.lit("synth")).alias("qid"), "book_id", "chunk_no", "question", F.col("text").alias("answer"))
     head = F.array_join(F.slice(F.split(F.trim("text"), "[ \\n]+"), 1, 8), " ")
     return chunks.select(F.concat_ws(":", "book_id", "chunk_no", F.lit("synth")).alias("qid"), "book_id", "chunk_no", F.concat(F.lit("What follows from: "), head, F.lit("?")).alias("question"), F.col("text").alias("answer"))
 

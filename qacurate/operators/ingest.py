@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from qacurate.functions.text import tokens
+from qacurate.models.clients import Model, parsed
 
 #: Subjects by source number modulo 7; books of the first carry two subjects.
 SUBJECTS = (
@@ -29,6 +30,13 @@ def drop_restricted(books_: DataFrame, rule: Column | None = None) -> DataFrame:
     return books_.where(~(F.col("restricted") if rule is None else rule))
 
 
+def classify(books_: DataFrame, model: Model) -> DataFrame:
+    """Adds ``subjects`` and ``level`` as a model gives them; none and null where its reply does not parse."""
+    reply = parsed(F.col("_reply"), "subjects array<string>, level string")
+    asked = model.ask(books_, "classify", "_reply")
+    return asked.withColumn("subjects", F.coalesce(reply["subjects"], F.array().cast("array<string>"))).withColumn("level", reply["level"]).drop("_reply")
+
+
 def assign_subjects(books_: DataFrame) -> DataFrame:
     """Adds ``subjects``; a book may carry several. Stand-in for the classifier: the source number."""
     table = F.array(*[F.array(*map(F.lit, s)) for s in SUBJECTS])
@@ -53,12 +61,15 @@ PAGE_CUTS = ("(?s)<!--.*?-->", "(?s)<head[ >].*?</head>", "(?s)<script[ >].*?</s
 ENTITIES = (("&nbsp;", " "), ("&lt;", "<"), ("&gt;", ">"), ("&quot;", '"'), ("&#39;", "'"), ("&amp;", "&"))
 
 
-def digitise(raw: DataFrame, backend: str = "html", column: str = "html") -> DataFrame:
-    """Adds ``text``. html: strips parts without text, marks and entities; text: takes it as it is."""
+def digitise(raw: DataFrame, backend: str = "html", column: str = "html", model: Model | None = None) -> DataFrame:
+    """Adds ``text``. html: strips parts without text, marks and entities; text: takes it as it is; scan: asks a
+    model about the page, whose column holds a reference to its image (or the image in base64)."""
+    if backend == "scan" and model is not None:
+        return model.ask(raw, "digitise", "text", page=column)
     if backend == "text":
         return raw.withColumn("text", F.col(column).cast("string"))
     if backend != "html":
-        raise ValueError(f"no backend {backend}: a scanner is reached through qacurate.models")
+        raise ValueError(f"no backend {backend}: html, text, or scan with a model")
     text = F.coalesce(F.col(column), F.lit(""))
     for cut in PAGE_CUTS:
         text = F.regexp_replace(text, cut, " ")

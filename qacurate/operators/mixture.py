@@ -9,6 +9,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from qacurate.functions.text import n_tokens
+from qacurate.models.clients import Model
 
 
 @dataclass(frozen=True)
@@ -25,9 +26,13 @@ class SourceSpec:
 SPECS = (SourceSpec("textbook"), SourceSpec("A", annotate=True, strategy="random"), SourceSpec("B", annotate=True, strategy="difficulty"), SourceSpec("C", include=False))
 
 
-def annotate(df: DataFrame, specs: tuple[SourceSpec, ...] = SPECS) -> DataFrame:
-    """Answers of sources marked so become step-by-step solutions (stand-in: a template); others stay."""
+def annotate(df: DataFrame, specs: tuple[SourceSpec, ...] = SPECS, model: Model | None = None) -> DataFrame:
+    """Answers of sources marked so become step-by-step solutions, by a model or a template; others stay."""
     names = [s.name for s in specs if s.annotate]
+    if model is not None:
+        mine = F.coalesce(F.col("dataset").isin(names), F.lit(False))
+        asked = model.ask(df.where(mine), "annotate", "_made")
+        return asked.withColumn("answer", F.coalesce("_made", "answer")).drop("_made").unionByName(df.where(~mine))
     made = F.concat(F.lit("Step 1: read the question. Step 2: "), "answer", F.lit(" Therefore the final answer is given above."))
     return df.withColumn("answer", F.when(F.col("dataset").isin(names), made).otherwise(F.col("answer")))
 

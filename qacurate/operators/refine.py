@@ -1,4 +1,4 @@
-"""Refinement, supplementary reasoning and defect filtering of pairs, with rule stand-ins."""
+"""Refinement, supplementary reasoning and defect filtering of pairs, by a model or by rules that stand in for it."""
 
 from __future__ import annotations
 
@@ -6,6 +6,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from qacurate.functions.text import containment, n_sentences, n_tokens, tokens
+from qacurate.models.clients import Model, parsed
 
 CITATION = "(see|in|from) (figure|table|section|equation|chapter|page) [0-9.]+"
 REFERENCE = "(figure|table|section|equation|chapter|appendix|page) [0-9]+|https?://|www\\."
@@ -17,12 +18,19 @@ def _clean(c: str) -> Column:
     return F.trim(F.regexp_replace(F.regexp_replace(F.col(c), f"(?i){CITATION}", ""), "[ \\t\\r\\n]+", " "))
 
 
-def refine(pairs: DataFrame, chunks: DataFrame, strength: str = "strong") -> DataFrame:
+def refine(pairs: DataFrame, chunks: DataFrame, strength: str = "strong", model: Model | None = None) -> DataFrame:
     """Questions made self-contained and answers made complete, with the source chunk at hand.
 
+    model: rewrites both; where its reply does not parse, the pair stays as it is. Without one, by rules:
+
     strong: drops citations, puts the first line of the chunk before the question and the last after the
     answer. weak: drops citations only.
     """
+    if model is not None:
+        source = chunks.select("book_id", "chunk_no", F.col("text").alias("_chunk"))
+        asked = model.ask(pairs.join(source, ["book_id", "chunk_no"], "left"), "refine", "_reply", chunk="_chunk")
+        reply = parsed(F.col("_reply"), "question string, answer string")
+        return asked.withColumn("question", F.coalesce(reply["question"], "question")).withColumn("answer", F.coalesce(reply["answer"], "answer")).drop("_chunk", "_reply")
     if strength == "weak":
         return pairs.withColumn("question", _clean("question")).withColumn("answer", _clean("answer"))
     ends = chunks.select("book_id", "chunk_no", F.substring_index(F.trim("text"), "\n", 1).alias("_head"), F.substring_index(F.trim("text"), "\n", -1).alias("_tail"))
@@ -38,12 +46,18 @@ def missing_reasoning() -> Column:
     return (n_sentences("answer") < 2) | (words < 20) | ((words < 60) & ~F.lower("answer").rlike(CONNECTIVES))
 
 
-def flag_missing_reasoning(pairs: DataFrame) -> DataFrame:
+def flag_missing_reasoning(pairs: DataFrame, model: Model | None = None) -> DataFrame:
+    """Adds ``lacks_reasoning``, by the gap checker or its rule."""
+    if model is not None:
+        return model.agrees(pairs, "gap", "lacks_reasoning")
     return pairs.withColumn("lacks_reasoning", F.coalesce(missing_reasoning(), F.lit(True)))
 
 
-def supplement(pairs: DataFrame) -> DataFrame:
-    """Adds steps and a final line to the flagged answers only; the others are not touched."""
+def supplement(pairs: DataFrame, model: Model | None = None) -> DataFrame:
+    """Adds steps and a final line to the flagged answers only; the others are not touched, nor asked about."""
+    if model is not None:
+        flagged = model.ask(pairs.where("lacks_reasoning"), "explain", "_more")
+        return flagged.withColumn("answer", F.coalesce("_more", "answer")).drop("_more").unionByName(pairs.where("not lacks_reasoning"))
     last = F.trim(F.regexp_extract("answer", "([^.!?]*)[.!?]?\\s*$", 1))
     longer = F.concat(F.lit("Step 1: the question states: "), "question", F.lit(" Step 2: "), "answer", F.lit(" Therefore the final answer is: "), last, F.lit("."))
     return pairs.withColumn("answer", F.when(F.col("lacks_reasoning"), longer).otherwise(F.col("answer")))
@@ -61,9 +75,18 @@ def defects() -> Column:
     return F.array_compact(F.array(*[F.when(tests[d], d) for d in DEFECTS]))
 
 
-def drop_defective(pairs: DataFrame) -> tuple[DataFrame, DataFrame]:
+def judge_defects(pairs: DataFrame, model: Model | None = None) -> DataFrame:
+    """Adds ``defects``: those of the known names that the judge gives (none where its reply does not parse), or by rules."""
+    if model is None:
+        return pairs.withColumn("defects", defects())
+    named = F.transform(parsed(F.col("_named"), "array<string>"), lambda x: F.replace(F.lower(F.trim(x)), F.lit(" "), F.lit("_")))
+    known = F.array_intersect(F.array(*map(F.lit, DEFECTS)), F.coalesce(named, F.array().cast("array<string>")))
+    return model.ask(pairs, "defects", "_named").withColumn("defects", known).drop("_named")
+
+
+def drop_defective(pairs: DataFrame, model: Model | None = None) -> tuple[DataFrame, DataFrame]:
     """(kept, removed); removed has ``defects``."""
-    judged = pairs.withColumn("defects", defects())
+    judged = judge_defects(pairs, model)
     return judged.where(F.size("defects") == 0).drop("defects"), judged.where(F.size("defects") > 0)
 
 
