@@ -9,6 +9,7 @@ from __future__ import annotations
 import hashlib
 import math
 from collections.abc import Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -44,25 +45,39 @@ def exact_dedup(df: DataFrame, id_: str, text: str, scope: list[str] | None = No
     return keyed.join(low, "key").select("id", "keep")
 
 
-def minhash(df: DataFrame, sets: str = "set", num_perm: int = 128, seed: int = 7) -> DataFrame:
+def minhash(df: DataFrame, sets: str = "set", num_perm: int = 128, seed: int = 7, drop: bool = False) -> DataFrame:
     """Adds ``signature``: the least value of each permutation over the set's hashes; null for an empty set.
 
-    The hashes are made by column expressions; numpy permutes them batch by batch.
+    The hashes are made by column expressions; numpy permutes them batch by batch. drop: leaves the sets out.
     """
     pairs = np.array(coefficients(num_perm, seed), np.uint64)
-    a, b = pairs[:, :1], pairs[:, 1:]
+    a, b, prime = pairs[:, :1], pairs[:, 1:], np.uint64(PRIME)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            out = []
-            for x in batch.column("_hashes").to_pylist():
-                x = np.array(x or [], np.uint64)
-                out.append(np.minimum.reduce([((a * x[i : i + 4096] + b) % np.uint64(PRIME)).min(axis=1) for i in range(0, len(x), 4096)]).astype(np.int64) if len(x) else None)
-            rest = batch.drop_columns(["_hashes"])
-            yield pa.RecordBatch.from_arrays([*rest.columns, pa.array(out, pa.list_(pa.int64()))], names=[*rest.schema.names, "signature"])
-
-    hashes = df.withColumn("_hashes", hashed(sets))
-    schema = T.StructType([*df.schema.fields, T.StructField("signature", T.ArrayType(T.LongType()))])
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
+                column = part.column("_hashes")
+                ends = np.cumsum(np.diff(column.offsets.to_numpy()))
+                flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.uint64)
+                low = np.full((part.num_rows, num_perm), PRIME, np.uint64)
+                row = np.repeat(np.arange(part.num_rows), np.diff(ends, prepend=0))
+                for k in range(0, len(flat), 8192):  # the matrix of one step is bounded, whatever the sets' sizes
+                    mine = row[k : k + 8192]
+                    starts = np.flatnonzero(np.diff(mine, prepend=-1))
+                    least = np.minimum.reduceat((a * flat[k : k + 8192] + b) % prime, starts, axis=1).T
+                    low[mine[starts]] = np.minimum(low[mine[starts]], least)
+                filled = np.flatnonzero(np.diff(ends, prepend=0) > 0)
+                sizes = np.zeros(part.num_rows + 1, np.int32)
+                sizes[filled + 1] = num_perm
+                values = pa.array(low[filled].ravel().astype(np.int64))
+                lists = pa.ListArray.from_arrays(pa.array(np.cumsum(sizes, dtype=np.int32)), values, mask=pa.array(np.diff(ends, prepend=0) == 0))
+                rest = part.drop_columns(["_hashes"])
+                yield pa.RecordBatch.from_arrays([*rest.columns, lists], names=[*rest.schema.names, "signature"])
+
+    hashes = df.withColumn("_hashes", F.coalesce(hashed(sets), F.array().cast("array<bigint>")))
+    hashes = hashes.drop(sets) if drop else hashes
+    schema = T.StructType([*[f for f in hashes.schema.fields if f.name != "_hashes"], T.StructField("signature", T.ArrayType(T.LongType()))])
     return hashes.mapInArrow(run, schema)
 
 
@@ -81,9 +96,9 @@ def candidate_pairs(banded: DataFrame) -> DataFrame:
 def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, most: int = 64) -> DataFrame:
     """(a, b): verified pairs with the same connected components as all verified candidate pairs.
 
-    Buckets of up to ``most`` rows give all their pairs. Larger ones are settled in two steps, neither of
-    which pairs a group with itself: every row with its bucket's smallest; then, where a bucket still holds
-    rows of several components, the rows outside its largest component with all rows of other components.
+    Buckets of up to ``most`` rows give all their pairs. Larger ones are settled in two steps: every row
+    with its bucket's smallest; then, where a bucket still holds rows of several components, rows of
+    different components by ``prefix_candidates``, so that rows which are not alike are not paired.
     """
     rows = Staged(banded, "bands").df
     sizes = Staged(rows.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("low")).where("n > 1"), "buckets").df
@@ -96,13 +111,12 @@ def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, mo
     first = Staged(verify(small.union(stars).distinct(), sets, threshold).select("a", "b"), "first-links").df
     named = held.join(components(first), F.col("id") == F.col("node"), "left").select("band", "key", "id", F.coalesce("component", "id").alias("c"))
     named = Staged(named, "named-rows").df
-    parts = named.groupBy("band", "key", "c").agg(F.count(F.lit(1)).alias("m"))
-    several = Staged(parts.groupBy("band", "key").agg(F.count(F.lit(1)).alias("k"), F.max_by("c", F.struct("m", "c")).alias("main")).where("k > 1"), "split-buckets").df
-    open_ = named.join(several, ["band", "key"])
-    minor = open_.where("c <> main").select("band", "key", F.col("id").alias("x"), F.col("c").alias("cx"))
-    other = open_.select("band", "key", F.col("id").alias("y"), F.col("c").alias("cy"))
-    cross = minor.join(other, ["band", "key"]).where("cx <> cy").select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")).distinct()
-    return first.union(verify(cross, sets, threshold).select("a", "b"))
+    several = Staged(named.groupBy("band", "key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x <> y").select("band", "key"), "split-buckets").df
+    if several.isEmpty():
+        return first
+    hset = F.col("hset") if "hset" in sets.columns else hash_set()
+    open_ = Staged(named.join(several, ["band", "key"], "left_semi").join(sets.select("id", hset.alias("hset")), "id"), "open-rows").df
+    return first.union(verify(prefix_candidates(open_, threshold, ("band", "key"), "c"), sets, threshold).select("a", "b"))
 
 
 def verify(pairs: DataFrame, sets: DataFrame, threshold: float = 0.6, mode: str = "exact") -> DataFrame:
@@ -145,7 +159,9 @@ def prepared(df: DataFrame, id_: str, text: str, n: int = 1, scope: list[str] |
     """(copies, sets): what exact copies keep, and a staged (id, scope..., set, signature) of those kept."""
     copies = Staged(exact_dedup(df, id_, text, scope), "exact").df
     kept = df.select(F.col(id_).alias("id"), *(scope or []), shingles(text, n).alias("set")).join(copies.where("id = keep").select("id"), "id", "left_semi")
-    return copies, Staged(minhash(kept).withColumn("hset", hash_set()), "signatures").df
+    # The words themselves stay behind: 31-bit hashes make the signature, 64-bit hashes the exact check.
+    coded = kept.select("id", *(scope or []), F.col("set").alias("_set"), hash_set().alias("hset"))
+    return copies, Staged(minhash(coded, "_set", drop=True), "signatures").df
 
 
 def similar_edges(df: DataFrame, id_: str, text: str, threshold: float = 0.6, n: int = 1, bands: int = 32, rows: int = 4, scope: list[str] | None = None) -> tuple[DataFrame, DataFrame]:
@@ -177,47 +193,68 @@ def minhash_dedup(df: DataFrame, id_: str, text: str, threshold: float = 0.6, ke
     return copies.join(gone, "keep", "left").select("id", F.coalesce("by", "keep").alias("keep_id"))
 
 
-def greedy_cover(edges: DataFrame, rounds: int = 200) -> DataFrame:
+def greedy_cover(edges: DataFrame) -> DataFrame:
     """(keep, by): rows dropped because a smaller kept id is similar, as an index filled in order of id would do.
 
-    A round keeps the rows without a smaller open neighbour and drops their neighbours.
+    A round keeps the rows without a smaller open neighbour and drops their neighbours. The smallest open
+    row is always settled, so the rounds end; they are as many as the longest chain of decisions.
     """
-    open_ = Staged(edges.select("a", "b").distinct(), "greedy-open").df
+    spark = edges.sparkSession
+    now = Staged(edges.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).where("a < b").distinct(), "greedy-open")
     dropped: list[DataFrame] = []
-    for _ in range(rounds):
-        if open_.isEmpty():
-            break
+    while not (open_ := now.df).isEmpty():
         heads = open_.select(F.col("a").alias("id")).join(open_.select(F.col("b").alias("id")), "id", "left_anti").distinct()
         hit = Staged(open_.join(heads, open_.a == heads.id).groupBy(F.col("b").alias("keep")).agg(F.min("a").alias("by")), "greedy-hit").df
         dropped.append(hit)
         settled = hit.select(F.col("keep").alias("id")).union(heads)
-        open_ = Staged(open_.join(settled, open_.a == settled.id, "left_anti").join(settled, F.col("b") == settled.id, "left_anti"), "greedy-open").df
-    if not dropped:
-        return edges.select(F.col("b").alias("keep"), F.col("a").alias("by")).limit(0)
-    out = dropped[0]
-    for d in dropped[1:]:
-        out = out.union(d)
-    return out
+        left = Staged(open_.join(settled, open_.a == settled.id, "left_anti").join(settled, F.col("b") == settled.id, "left_anti"), "greedy-open")
+        now.drop()
+        now = left
+        if len(dropped) == 32:  # a long chain keeps its plan short
+            dropped = [Staged(reduce(DataFrame.union, dropped), "greedy-dropped").df]
+    return reduce(DataFrame.union, dropped) if dropped else spark.createDataFrame([], edges.select(F.col("b").alias("keep"), F.col("a").alias("by")).schema)
+
+
+def prefix_candidates(rows: DataFrame, threshold: float, by: tuple[str, ...] = (), apart: str | None = None) -> DataFrame:
+    """(a, b), a < b: every pair that may reach the threshold; rows: (by ..., id, hset), one per group and id.
+
+    Members are ranked from rare to common. Two sets that similar share a member among the first
+    n - ceil(t n) + 1 of each, and their sizes differ by a factor of 1 / t at most. So a set meets only sets
+    of its own size class and of the next one (classes grow by 1 / t), by member and class. What both
+    prefixes share, and how much lies behind the last member they share, bounds the overlap of a pair;
+    only pairs that may reach what they need are returned. by: pairs stay within a group. apart: rows of
+    one value of this column do not pair.
+    """
+    keys = [*by, *([apart] if apart else [])]
+    words = rows.select(*keys, "id", F.size("hset").alias("n"), F.explode("hset").alias("word"))
+    ranks = words.groupBy("word").agg(F.count(F.lit(1)).alias("df"))
+    ranked = words.join(ranks, "word").groupBy(*keys, "id", "n").agg(F.sort_array(F.collect_list(F.struct("df", "word"))).alias("w"))
+    length = (F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1).cast("int")
+    level = F.floor(F.log("n") / math.log(1 / threshold) + 1e-9).cast("int") if threshold < 1 else F.col("n")
+    cut = ranked.select(*keys, "id", "n", level.alias("level"), F.posexplode(F.slice("w", 1, length)).alias("pos", "x"))
+    prefix = Staged(cut.select(*keys, "id", "n", "level", "pos", F.col("x.word").alias("word")), "prefixes").df
+    part = lambda c: [F.col(apart).alias(c)] if apart else []
+    x = prefix.select(*by, *part("ca"), "word", "level", F.col("id").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
+    y = prefix.select(*by, *part("cb"), "word", F.explode(F.array("level", F.col("level") - 1)).alias("level"), F.col("level").alias("own"), F.col("id").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
+    fits = ((F.col("own") > F.col("level")) | (F.col("a") < F.col("b"))) & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
+    # With any member they share, what lies before and behind it in both must allow the overlap that is needed.
+    needed = (F.col("na") + F.col("nb")) * (threshold / (1 + threshold)) - 1e-9
+    fits = fits & (F.least("pa", "pb") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= needed)
+    if apart:
+        fits = fits & (F.col("ca") != F.col("cb"))
+    met = x.join(y, [*by, "word", "level"]).where(fits).groupBy(*by, "a", "b").agg(F.count(F.lit(1)).alias("shared"), F.max("pa").alias("pa"), F.max("pb").alias("pb"), F.first("na").alias("na"), F.first("nb").alias("nb"))
+    may = met.where(F.col("shared") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1 >= needed)
+    out = may.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+    return out.distinct() if by else out
 
 
 def exact_similarity_join(sets: DataFrame, threshold: float = 0.6) -> DataFrame:
     """(a, b, similarity) of all pairs with a Jaccard of the threshold or more; sets: (id, set).
 
-    Words are ranked from rare to common. Two sets that similar share a word among the first
-    n - ceil(t n) + 1 of each, and their sizes differ by a factor of 1 / t at most.
+    Words count as their 64-bit hashes.
     """
-    words = sets.select("id", F.size("set").alias("n"), F.explode("set").alias("word"))
-    ranks = words.groupBy("word").agg(F.count(F.lit(1)).alias("df"))
-    # Words rise from rare to common within each set; only ids, sizes and positions of the prefix are dealt out.
-    ranked = words.join(ranks, "word").groupBy("id", "n").agg(F.collect_list(F.struct("df", "word")).alias("w")).select("id", "n", F.posexplode(F.transform(F.sort_array("w"), lambda x: x["word"])).alias("pos", "word"))
-    prefix = Staged(ranked.where(F.col("pos") < F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1), "prefixes").df
-    x = prefix.select("word", F.col("id").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
-    y = prefix.select("word", F.col("id").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
-    fits = (F.col("a") < F.col("b")) & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
-    # At their first shared word, what is left of both sets must still allow the overlap that is needed.
-    needed = (F.col("na") + F.col("nb")) * (threshold / (1 + threshold)) - 1e-9
-    fits = fits & (F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= needed)
-    return verify(x.join(y, "word").where(fits).select("a", "b").distinct(), sets, threshold)
+    coded = Staged(sets.select("id", hash_set().alias("hset")), "coded-sets").df
+    return verify(prefix_candidates(coded, threshold), coded, threshold)
 
 
 def jaccard_bruteforce(sets: DataFrame, threshold: float = 0.6, most: int = 3000) -> DataFrame:

@@ -1,5 +1,6 @@
 """Deduplication: keep-rules, components, band solver, recall, edge cases."""
 
+import hashlib
 import itertools
 import random
 
@@ -95,3 +96,35 @@ def test_large_buckets_keep_their_components(spark):
     df = spark.createDataFrame(rows, "id long, text string")
     runs = [{(r.id, r.keep_id) for r in M.minhash_dedup(df, "id", "text", most=m).collect()} for m in (2, 5, 10_000)]
     assert runs[0] == runs[1] == runs[2] and len({k for _, k in runs[0]}) < 60
+
+
+def test_greedy_reaches_the_end_of_a_long_chain(spark):
+    edges = spark.createDataFrame([(i, i + 1) for i in range(90)], "a long, b long")
+    assert {r.keep for r in M.greedy_cover(edges).collect()} == set(range(1, 91, 2))
+    assert M.greedy_cover(edges.limit(0)).count() == 0
+
+
+def test_large_bucket_of_rows_that_are_not_alike(spark):
+    """One bucket of 3,000 rows with 5 near copies in it: found, and hardly any other pair is made."""
+    rng = random.Random(6)
+    rows = [(i, [rng.randrange(1 << 40) for _ in range(30)] + [7]) for i in range(3000)]
+    for k in range(5):
+        rows.append((5000 + k, [*rows[100 * k][1][:-2], rng.randrange(1 << 40), 7]))
+    sets = spark.createDataFrame(rows, "id long, hset array<long>")
+    banded = sets.select("id", F.lit(0).alias("band"), F.lit("k").alias("key"))
+    assert {(r.a, r.b) for r in M.linking_edges(banded, sets, 0.8, 64).collect()} == {(100 * k, 5000 + k) for k in range(5)}
+    assert M.prefix_candidates(sets, 0.8).count() < 50
+
+
+def test_signatures_do_not_depend_on_batches(spark):
+    rng = random.Random(2)
+    rows = [(i, [f"w{rng.randrange(5000)}" for _ in range(rng.choice((0, 1, 7, 9000)))]) for i in range(40)] + [(90, None)]
+    df = spark.createDataFrame(rows, "id long, set array<string>")
+    got = {r.id: r.signature for r in M.minhash(df, num_perm=8).collect()}
+    pairs = M.coefficients(8)
+    for i, words in rows:
+        if not words:
+            assert got[i] is None
+            continue
+        codes = [(int(hashlib.md5(w.encode()).hexdigest()[:8], 16) & M.PRIME) % M.PRIME for w in words]
+        assert got[i] == [min((a * x + b) % M.PRIME for x in codes) for a, b in pairs]
