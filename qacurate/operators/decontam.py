@@ -15,9 +15,10 @@ from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
 from qacurate.functions.text import containment, let, md5_fraction, tokens
-from qacurate.operators.knn import checked
+from qacurate.models.clients import Model
+from qacurate.operators.knn import Best, checked
 
-WIDTH, JUDGE_CUT, JUDGE_WORDS = 256, 0.7, 8
+WIDTH, JUDGE_CUT, JUDGE_WORDS, TEXT_ROWS = 256, 0.7, 8, 5000
 
 
 def benchmark_pool(*sets: tuple[str, DataFrame]) -> DataFrame:
@@ -75,24 +76,28 @@ def topk_hashed(questions: DataFrame, items: DataFrame, keep: list[str], k: int
     """The questions' columns ``keep`` and ``found``: item_id, rank, similarity of the k best items.
 
     Questions and items have ``words``. The words become codes in the JVM; a batch becomes a matrix that
-    is multiplied with that of the items, whose number is checked before they go to every executor. No
-    question is moved. Sums are whole numbers, so the similarity does not depend on their order.
+    is multiplied with that of the items, whose bytes are checked before they go to every executor, tile
+    by tile. No question is moved. Sums are whole numbers, so the similarity does not depend on their order.
     """
-    rows = checked(items).select("item_id", codes().alias("c")).orderBy("item_id").collect()
-    matrix = _dense(pa.array([r.c for r in rows], pa.list_(pa.int32())))
-    shared = questions.sparkSession.sparkContext.broadcast((np.array([r.item_id for r in rows], np.int64), matrix, (matrix**2).sum(axis=1)))
+    rows = checked(items, 4 * WIDTH).select("item_id", codes().alias("c")).orderBy("item_id").collect()
+    # Whole numbers below 2^24, so that single precision holds every product exactly.
+    matrix = _dense(pa.array([r.c for r in rows], pa.list_(pa.int32()))).astype(np.float32)
+    shared = questions.sparkSession.sparkContext.broadcast((np.array([r.item_id for r in rows], np.int64), matrix, (matrix.astype(np.float64) ** 2).sum(axis=1)))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, m, norms = shared.value
         for batch in batches:
-            for at in range(0, batch.num_rows, 1024):
-                part = batch.slice(at, 1024)
+            for at in range(0, batch.num_rows, 512):
+                part = batch.slice(at, 512)
                 q = _dense(pa.concat_arrays([part.column("_codes")]))
-                both = np.sqrt((q**2).sum(axis=1)[:, None] * norms[None])
-                s = np.round(np.divide(q @ m.T, both, out=np.full(both.shape, -2.0), where=both > 0), 6)
-                top = np.argsort(-s, axis=1, kind="stable")[:, :k]
+                mine, best = (q**2).sum(axis=1), Best(part.num_rows, k)
+                q = q.astype(np.float32)
+                for tile in range(0, len(ids), 4096):
+                    both = np.sqrt(mine[:, None] * norms[None, tile : tile + 4096])
+                    best.add(np.divide((q @ m[tile : tile + 4096].T).astype(np.float64), both, out=np.full(both.shape, -2.0), where=both > 0), tile)
+                top, s = best.found()
                 n, rest = top.shape[1], part.drop_columns(["_codes"])
-                lists = pa.ListArray.from_arrays(pa.array(np.arange(part.num_rows + 1, dtype=np.int32) * n), pa.StructArray.from_arrays([pa.array(ids[top].ravel()), pa.array(np.tile(np.arange(1, n + 1, dtype=np.int32), part.num_rows)), pa.array(np.take_along_axis(s, top, axis=1).ravel())], names=["item_id", "rank", "similarity"]))
+                lists = pa.ListArray.from_arrays(pa.array(np.arange(part.num_rows + 1, dtype=np.int32) * n), pa.StructArray.from_arrays([pa.array(ids[top].ravel()), pa.array(np.tile(np.arange(1, n + 1, dtype=np.int32), part.num_rows)), pa.array(s.ravel())], names=["item_id", "rank", "similarity"]))
                 yield pa.RecordBatch.from_arrays([*rest.columns, lists], names=[*rest.schema.names, "found"])
 
     asked = questions.select(*keep, codes().alias("_codes"))
@@ -101,7 +106,12 @@ def topk_hashed(questions: DataFrame, items: DataFrame, keep: list[str], k: int
 
 
 def topk_text(questions: DataFrame, items: DataFrame, k: int = 5) -> DataFrame:
-    """Top-k by sparse vectors: questions (id, words), items (item_id, words). Whole-number sums, so any order gives the same."""
+    """Top-k by sparse vectors: questions (id, words), items (item_id, words). Whole-number sums, so any order gives the same.
+
+    Expressions only, for comparison with ``topk_hashed``: nearly every question shares a bucket with every
+    item, so a row is made for each such pair. Items above ``TEXT_ROWS`` are refused.
+    """
+    checked(items, most=TEXT_ROWS)
     q = sparse_embeddings(questions, ["id"])
     m = sparse_embeddings(items, ["item_id"])
     nq = q.groupBy("id").agg(F.sum(F.col("weight") * F.col("weight")).alias("nq"))
@@ -117,36 +127,48 @@ def judge_pairs(topk: DataFrame, questions: DataFrame, items: DataFrame) -> Data
     return topk.join(questions.select("id", F.col("words").alias("question")), "id").join(items.select("item_id", F.col("words").alias("item")), "item_id")
 
 
-def judge(pairs: DataFrame, cut: float = JUDGE_CUT, least: int = JUDGE_WORDS) -> DataFrame:
-    """Adds ``paraphrase``: enough distinct words on both sides, and enough of the smaller side shared."""
+def judge(pairs: DataFrame, cut: float = JUDGE_CUT, least: int = JUDGE_WORDS, model: Model | None = None) -> DataFrame:
+    """Adds ``paraphrase``: a model's yes, or enough distinct words on both sides and enough of the smaller side shared."""
+    if model is not None:
+        texts = pairs.withColumns({"_q": F.array_join("question", " "), "_i": F.array_join("item", " ")})
+        return model.agrees(texts, "paraphrase", "paraphrase", question="_q", item="_i").drop("_q", "_i")
     long_ = (F.size(F.array_distinct("question")) >= least) & (F.size(F.array_distinct("item")) >= least)
     return pairs.withColumn("paraphrase", long_ & (F.coalesce(containment("question", "item"), F.lit(0.0)) >= cut))
 
 
 def window_questions(df: DataFrame, id_: str, size: int = 32, stride: int = 16) -> DataFrame:
-    return windows(df, id_, size=size, stride=stride).select("doc_id", (F.col("doc_id") * 100_000 + F.col("win_no")).alias("id"), "words")
+    """(doc_id, id, words): a question per window; ids are text and number, so that texts of any length keep theirs apart."""
+    return windows(df, id_, size=size, stride=stride).select("doc_id", F.concat_ws(":", "doc_id", "win_no").alias("id"), "words")
+
+
+def judged_pairs(questions: DataFrame, items: DataFrame, k: int = 5, search: str = "block", model: Model | None = None) -> DataFrame:
+    """(doc_id, id, item_id, rank, question, item) of the k best items of each question.
+
+    Words travel as hashes, but for a model, which reads them.
+    """
+    if search != "block":
+        return judge_pairs(topk_text(questions, items, k), questions, items).join(questions.select("id", "doc_id"), "id")
+    read = (lambda: F.col("words")) if model is not None else hashed_words
+    found = topk_hashed(questions.withColumn("question", read()), items, ["doc_id", "id", "question"], k).select("doc_id", "id", "question", F.inline("found"))
+    return found.join(items.select("item_id", read().alias("item")), "item_id")
 
 
-def decontaminate(questions: DataFrame, items: DataFrame, k: int = 5, cascade: bool = False, search: str = "block") -> DataFrame:
+def decontaminate(questions: DataFrame, items: DataFrame, k: int = 5, cascade: bool = False, search: str = "block", model: Model | None = None) -> DataFrame:
     """(doc_id, item_id, rank): evidence, the best-ranked paraphrase of each leaked text.
 
     questions: (doc_id, id, words); items: (item_id, words). cascade judges rank by rank and stops
     asking about a text once it is settled: the same texts go, with fewer calls.
     """
-    if search == "block":
-        found = topk_hashed(questions.withColumn("question", hashed_words()), items, ["doc_id", "id", "question"], k).select("doc_id", "id", "question", F.inline("found"))
-        pairs = found.join(items.select("item_id", hashed_words().alias("item")), "item_id")
-    else:
-        pairs = judge_pairs(topk_text(questions, items, k), questions, items).join(questions.select("id", "doc_id"), "id")
+    pairs = judged_pairs(questions, items, k, search, model)
     if not cascade:
-        hits = judge(pairs).where("paraphrase")
+        hits = judge(pairs, model=model).where("paraphrase")
         return hits.groupBy("doc_id").agg(F.min(F.struct("rank", "item_id")).alias("e")).select("doc_id", F.col("e.item_id").alias("item_id"), F.col("e.rank").alias("rank"))
     out, settled = None, None
     for r in range(1, k + 1):
         asked = pairs.where(F.col("rank") == r)
         if settled is not None:
             asked = asked.join(settled, "doc_id", "left_anti")
-        now = judge(asked).where("paraphrase").groupBy("doc_id").agg(F.min("item_id").alias("item_id")).withColumn("rank", F.lit(r))
+        now = judge(asked, model=model).where("paraphrase").groupBy("doc_id").agg(F.min("item_id").alias("item_id")).withColumn("rank", F.lit(r))
         out = now if out is None else out.unionByName(now)
         settled = out.select("doc_id")
     return out

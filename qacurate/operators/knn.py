@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from qacurate.functions.text import cosine
 
-BROADCAST_ROWS = 200_000  # of items, at most, on each executor
+BROADCAST_ROWS, BROADCAST_BYTES = 200_000, 256 << 20  # of items, at most, on each executor
 SCHEMA = "id long, item_id long, rank int, similarity double"
 
 
@@ -31,7 +31,9 @@ def topk_exact(questions: DataFrame, items: DataFrame, k: int = 5) -> DataFrame:
     return _ranked(questions.join(F.broadcast(few.withColumnRenamed("vec", "other"))).select("id", "item_id", F.round(cosine("vec", "other"), 6).alias("similarity")), k)
 
 
-def checked(items: DataFrame, most: int = BROADCAST_ROWS) -> DataFrame:
+def checked(items: DataFrame, row_bytes: int = 0, most: int = BROADCAST_ROWS) -> DataFrame:
+    """The items, if they are few enough to go to every executor, by rows and by bytes."""
+    most = min(most, BROADCAST_BYTES // row_bytes) if row_bytes else most
     if items.limit(most + 1).count() > most:
         raise ValueError(f"more than {most} items: use the shards strategy")
     return items
@@ -42,41 +44,70 @@ def _matrix(column: pa.Array) -> np.ndarray:
     return flat.reshape(len(column), -1) if len(column) else np.empty((0, 1))
 
 
+class Best:
+    """The k best items of each question, tile by tile: by similarity in millionths, then by place."""
+
+    def __init__(self, n: int, k: int) -> None:
+        self.k, self.keys = k, np.empty((n, 0), np.int64)
+
+    def add(self, similarity: np.ndarray, first: int) -> None:
+        """Similarities (-2 where there is none) of a tile of items that begins at place ``first``."""
+        place = first + np.arange(similarity.shape[1])
+        keys = (np.round(similarity, 6) * 1e6).round().astype(np.int64) * (1 << 40) - place
+        if keys.shape[1] > self.k:
+            keys = -np.partition(-keys, self.k - 1, axis=1)[:, : self.k]
+        self.keys = np.concatenate([self.keys, keys], axis=1)
+        self.keys = -np.sort(-self.keys, axis=1)[:, : self.k]
+
+    def found(self) -> tuple[np.ndarray, np.ndarray]:
+        """Places and similarities, the best first."""
+        micro = -((-self.keys) >> 40)
+        return micro * (1 << 40) - self.keys, micro / 1e6
+
+
 def _best(q: np.ndarray, m: np.ndarray, ids: np.ndarray, k: int) -> tuple[np.ndarray, np.ndarray]:
     """Item ids and similarities of the k best items of each question; ties by id, as m is in order of id."""
-    norms = np.linalg.norm(q, axis=1)[:, None] * np.linalg.norm(m, axis=1)[None]
-    s = np.round(np.divide(q @ m.T, norms, out=np.full(norms.shape, -2.0), where=norms > 0), 6)
-    top = np.argsort(-s, axis=1, kind="stable")[:, :k]
-    return ids[top], np.take_along_axis(s, top, axis=1)
+    best, mine, other = Best(len(q), k), np.linalg.norm(q, axis=1), np.linalg.norm(m, axis=1)
+    for at in range(0, len(m), 4096):
+        norms = mine[:, None] * other[None, at : at + 4096]
+        best.add(np.divide(q @ m[at : at + 4096].T, norms, out=np.full(norms.shape, -2.0), where=norms > 0), at)
+    places, s = best.found()
+    return ids[places], s
 
 
 def topk_block(questions: DataFrame, items: DataFrame, k: int = 5) -> DataFrame:
-    """A matrix product per Arrow batch against the items on every executor; moves no question."""
-    rows = checked(items).orderBy("item_id").collect()
+    """A matrix product per Arrow batch against the items on every executor, tile by tile; moves no question."""
+    width = items.select(F.size("vec")).first()
+    rows = checked(items, 8 * max(width[0] if width else 1, 1)).orderBy("item_id").collect()
     ids = np.array([r.item_id for r in rows], np.int64)
     vectors = np.array([r.vec for r in rows], np.float64)
     shared = questions.sparkSession.sparkContext.broadcast((ids, vectors))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         ids, vectors = shared.value
-        for batch in batches:
-            if not batch.num_rows or not len(ids):
-                continue
-            found, sims = _best(_matrix(batch.column("vec")), vectors, ids, k)
-            got = found.shape[1]
-            mine = np.repeat(batch.column("id").to_numpy(), got)
-            yield pa.RecordBatch.from_arrays([pa.array(mine), pa.array(found.ravel()), pa.array(np.tile(np.arange(1, got + 1, dtype=np.int32), batch.num_rows)), pa.array(sims.ravel())], names=["id", "item_id", "rank", "similarity"])
+        for whole in batches:
+            for at in range(0, whole.num_rows if len(ids) else 0, 512):
+                batch = whole.slice(at, 512)
+                found, sims = _best(_matrix(batch.column("vec")), vectors, ids, k)
+                got = found.shape[1]
+                mine = np.repeat(batch.column("id").to_numpy(), got)
+                yield pa.RecordBatch.from_arrays([pa.array(mine), pa.array(found.ravel()), pa.array(np.tile(np.arange(1, got + 1, dtype=np.int32), batch.num_rows)), pa.array(sims.ravel())], names=["id", "item_id", "rank", "similarity"])
 
     return questions.select("id", "vec").mapInArrow(run, SCHEMA)
 
 
-def topk_sharded(questions: DataFrame, items: DataFrame, k: int = 5, shards: int = 4) -> DataFrame:
-    """Items dealt into shards; each question meets each shard, and the shards' lists merge."""
+def topk_sharded(questions: DataFrame, items: DataFrame, k: int = 5, shard_rows: int = 20_000, block_rows: int = 5_000) -> DataFrame:
+    """Items dealt into shards of some ``shard_rows``; each question meets each shard, and the shards' lists merge.
+
+    Questions are dealt into blocks of some ``block_rows``, so a group is one block and one shard whatever
+    the tables' sizes. Questions move once per shard and items once per block.
+    """
     import pandas as pd
 
+    shards = -(-max(items.count(), 1) // shard_rows)
+    blocks = -(-max(questions.count(), 1) // block_rows)
     dealt = items.withColumn("shard", F.pmod(F.xxhash64("item_id"), F.lit(shards)).cast("int"))
     asked = questions.select("id", "vec", F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"))
-    blocks = 16  # of questions per shard, so that a group is a bounded block
     asked = asked.withColumn("block", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int"))
     spread = dealt.withColumn("block", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
 
@@ -92,7 +123,11 @@ def topk_sharded(questions: DataFrame, items: DataFrame, k: int = 5, shards: int
 
 
 def topk_lsh(questions: DataFrame, items: DataFrame, k: int = 5, planes: int = 3, tables: int = 16, width: int = 64) -> DataFrame:
-    """Random hyperplanes: items in the same cell of some table are compared exactly."""
+    """Random hyperplanes: items in the same cell of some table are compared exactly.
+
+    The fewer planes, the larger the cells. The defaults suit vectors without clusters, where neighbours
+    are hardly nearer than other items; clustered vectors are found with many planes (see the tests).
+    """
     rng = np.random.default_rng(7)
     normals = rng.standard_normal((tables, planes, width))
 
@@ -113,7 +148,10 @@ def topk_lsh(questions: DataFrame, items: DataFrame, k: int = 5, planes: int = 3
 
 
 def topk_ivf(questions: DataFrame, items: DataFrame, k: int = 5, lists: int = 8, probes: int = 6) -> DataFrame:
-    """Coarse centres by k-means over the items; a question looks into the lists of its nearest centres."""
+    """Coarse centres by k-means over the items; a question looks into the lists of its nearest centres.
+
+    Vectors without clusters need most lists for a high recall; clustered ones a fraction (see the tests).
+    """
     from pyspark.ml.clustering import KMeans
     from pyspark.ml.functions import array_to_vector
 

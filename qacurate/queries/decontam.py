@@ -38,7 +38,7 @@ def _sparse_sql(table: str, key: str) -> str:
 
 _ITEMS = f"items as (select item_id, {words_sql('text')} as words from benchmark)"
 _WINDOWS = f"""w as (select doc_id, {words_sql('text')} as w from documents),
-questions as (select doc_id, doc_id * 100000 + i as id, list_slice(w, i * 16 + 1, i * 16 + 32) as words
+questions as (select doc_id, doc_id || ':' || i as id, list_slice(w, i * 16 + 1, i * 16 + 32) as words
   from w, unnest(range(0, case when len(w) = 0 then 0 else greatest(ceil((len(w) - 32) / 16.0) + 1, 1)::bigint end)) as u(i))"""
 _TOPK = f"""q as ({_sparse_sql('questions', 'id')}), m as ({_sparse_sql('items', 'item_id')}),
 nq as (select id, sum(weight * weight) as nq from q group by id), nm as (select item_id, sum(weight * weight) as nm from m group by item_id),
@@ -132,7 +132,7 @@ def judge_pairs(spark, d):
 
 @query("paraphrase_judge", f"{_ALL} select id, item_id, rank::int as rank from judged where paraphrase")
 def paraphrase_judge(spark, d):
-    return _judged(spark, d).where("paraphrase").select("id", "item_id", "rank")
+    return D.judge(D.judged_pairs(questions(spark, d), items(spark, d))).where("paraphrase").select("id", "item_id", "rank")
 
 
 @query("decontaminate", f"{_ALL} select * from {_EVIDENCE}")
@@ -169,8 +169,7 @@ def decontam_ngram_share(spark, d):
 
 @query("decontam_embedding", f"with {_ITEMS}, {_WINDOWS}, {_TOPK} select distinct doc_id from topk join questions using (id) where rank = 1 and similarity >= 0.72")
 def decontam_embedding(spark, d):
-    q = questions(spark, d)
-    return D.topk_text(q, items(spark, d), 1).where("similarity >= 0.72").join(q.select("id", "doc_id"), "id").select("doc_id").distinct()
+    return D.embedding_decontaminate(questions(spark, d), items(spark, d))
 
 
 @query("leakage_report", f"""{_ALL}, r as (select distinct doc_id, 1 as leak from judged where paraphrase)
