@@ -12,7 +12,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from qacurate.functions.text import md5_int, tokens
-from qacurate.operators.select import select_longest, select_random
+from qacurate.operators.select import select_by_difficulty, select_longest, select_random
+from qacurate.staging import stage
 
 
 def accuracy(train: DataFrame, test: DataFrame, buckets: int = 1 << 12) -> float:
@@ -23,18 +24,25 @@ def accuracy(train: DataFrame, test: DataFrame, buckets: int = 1 << 12) -> float
     return model.transform(test).agg(F.avg((F.col("prediction") == F.col("quality")).cast("double"))).first()[0] or 0.0
 
 
+def subsets(rows: DataFrame, id_: str = "doc_id") -> dict[str, DataFrame]:
+    """The subset of each strategy at the size that difficulty gives; rows carry length, total and n."""
+    dif = select_by_difficulty(rows)
+    n = dif.count()
+    return {"all": rows, "difficulty": dif, "length": select_longest(rows, n, id_=id_), "random": select_random(rows, n, id_)}
+
+
 def compare_strategies(df: DataFrame, proxies: tuple[int, ...] = (1 << 10, 1 << 14)) -> DataFrame:
-    """(proxy, strategy, n, accuracy, chosen): every strategy's subset, by every proxy; the best is chosen.
+    """(proxy, strategy, n, accuracy, chosen, tied, agreed): every strategy's subset, by every proxy.
 
-    Difficulty's stand-in keeps the middle of the lengths; length and random keep as many rows.
+    df: (doc_id, text, quality, length, total, n), with the summed scores of a row's draws. chosen: no other
+    strategy does better, keeping all rows included; tied: another does as well; agreed: all proxies choose alike.
     """
-    rows = df.select("doc_id", tokens("text").alias("words"), F.col("quality").cast("int").alias("quality"), "length")
+    rows = stage(df.select("doc_id", tokens("text").alias("words"), F.col("quality").cast("int").alias("quality"), "length", "total", "n"), "proxy-rows")
     held = md5_int(F.concat(F.lit("t:"), F.col("doc_id").cast("string"))) % 5 == 0
     train, test = rows.where(~held), rows.where(held)
-    low, high = train.approxQuantile("length", [0.2, 0.8], 0.0) or [0, 0]
-    dif = train.where(F.col("length").between(low, high))
-    n = dif.count()
-    subsets = {"all": train, "difficulty": dif, "length": select_longest(train, n, id_="doc_id"), "random": select_random(train, n, "doc_id")}
-    found = [(p, s, x.count(), accuracy(x, test, p)) for p in proxies for s, x in subsets.items()]
-    best = {p: max((a, s) for q, s, _, a in found if q == p)[1] for p in proxies}
-    return df.sparkSession.createDataFrame([(p, s, n_, round(a, 6), s == best[p]) for p, s, n_, a in found], "proxy int, strategy string, n long, accuracy double, chosen boolean")
+    found = [(p, s, x.count(), round(accuracy(x, test, p), 6)) for s, x in subsets(train).items() for p in proxies]
+    best = {p: max(a for q, _, _, a in found if q == p) for p in proxies}
+    chosen = {p: frozenset(s for q, s, _, a in found if q == p and a == best[p]) for p in proxies}
+    agreed = len(set(chosen.values())) == 1
+    out = [(p, s, n, a, s in chosen[p], s in chosen[p] and len(chosen[p]) > 1, agreed) for p, s, n, a in found]
+    return df.sparkSession.createDataFrame(out, "proxy int, strategy string, n long, accuracy double, chosen boolean, tied boolean, agreed boolean")

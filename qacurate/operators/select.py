@@ -5,39 +5,29 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from qacurate.functions.text import md5_fraction, md5_int, n_tokens, token_f1, tokens
+from qacurate.functions.text import let, md5_fraction, md5_int, n_tokens, token_f1, tokens
+from qacurate.models.clients import Model
 
 SMALL = 100_000  # rows up to which the top of an order is kept as it is read
 
 
 def select_longest(df: DataFrame, n: int, length: str = "length", id_: str = "qid") -> DataFrame:
-    """The n longest, ties to the smaller id.
-
-    For small n a bounded heap per task; for large n a histogram of lengths gives the length at the
-    cut, rows above it stay without a sort, and only rows of that very length are ranked.
-    """
+    """The n longest, ties to the smaller id: for small n a bounded heap per task, else by the histogram."""
     if n <= SMALL:
         return df.orderBy(F.col(length).desc(), id_).limit(n)
-    counts = df.groupBy(length).agg(F.count(F.lit(1)).alias("n"))
-    above = F.sum("n").over(Window.orderBy(F.col(length).desc()).rowsBetween(Window.unboundedPreceding, -1))
-    cut = counts.withColumn("above", F.coalesce(above, F.lit(0))).where((F.col("above") < n) & (F.col("above") + F.col("n") >= n)).first()
-    if cut is None:
-        return df
-    ties = df.where(F.col(length) == cut[length]).orderBy(id_).limit(n - cut["above"])
-    return df.where(F.col(length) > cut[length]).unionByName(ties)
+    return select_longest_hist(df, n, length, id_)
 
 
 def select_longest_hist(df: DataFrame, n: int, length: str = "length", id_: str = "qid") -> DataFrame:
-    """The same by the histogram at any size; only rows of the length at the cut are ranked."""
+    """The same at any size: a histogram of lengths gives the length at the cut, rows above it stay without a
+    sort, and only rows of that very length are ordered."""
     counts = df.groupBy(length).agg(F.count(F.lit(1)).alias("_n"))
     above = F.coalesce(F.sum("_n").over(Window.orderBy(F.col(length).desc()).rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    at = counts.select(length, "_n", above.alias("_above")).where(F.col("_above") < n)
-    met = df.join(F.broadcast(at), length)
-    sure = met.where(F.col("_above") + F.col("_n") <= n).drop("_n", "_above")
-    edge = met.where(F.col("_above") + F.col("_n") > n)
-    rank = F.row_number().over(Window.partitionBy(length).orderBy(id_))
-    ranked = edge.select(id_, length, "_above").withColumn("_r", rank).where(F.col("_r") <= n - F.col("_above")).select(id_)
-    return sure.unionByName(edge.drop("_n", "_above").join(ranked, id_, "left_semi"))
+    cut = counts.select(length, "_n", above.alias("_above")).where((F.col("_above") < n) & (F.col("_above") + F.col("_n") >= n)).first()
+    if cut is None:
+        return df
+    ties = df.where(F.col(length) == cut[length]).orderBy(id_).limit(n - cut["_above"])
+    return df.where(F.col(length) > cut[length]).unionByName(ties)
 
 
 def reference_answers(df: DataFrame) -> DataFrame:
@@ -48,15 +38,54 @@ def reference_answers(df: DataFrame) -> DataFrame:
     return df.withColumn("reference", rule)
 
 
-def sample_responses(df: DataFrame, m: int = 16) -> DataFrame:
-    """m responses per question; stand-in for the sampler: each drops words by md5, more so for later draws."""
+def hardness() -> Column:
+    """Stand-in for how hard a question is for the sampler: by md5, a little beyond both ends of [0, 1]."""
+    return F.lit(1.2) * md5_fraction("h", F.col("qid")) - F.lit(0.1)
+
+
+def _said(w: Column, k: Column) -> Column:
+    """Whether draw k of a question has a word of its reference."""
+    return md5_fraction(F.col("qid"), k, w) >= F.col("_hard")
+
+
+def sample_responses(df: DataFrame, m: int = 16, model: Model | None = None) -> DataFrame:
+    """m responses per question: ``k`` and ``response``.
+
+    Without a model a stand-in answers: each draw drops words of the reference by md5, the more the harder
+    the question. Some questions are always answered in full, some never.
+    """
     each = df.withColumn("k", F.explode(F.sequence(F.lit(1), F.lit(m))))
-    kept = F.filter(tokens("reference"), lambda w: md5_fraction(F.col("qid"), F.col("k"), w) * m >= F.col("k") - 1)
-    return each.withColumn("response", F.array_join(kept, " "))
+    if model is not None:
+        return model.ask(each, "sample", "response", question="question", k="k")
+    kept = F.filter(tokens("reference"), lambda w: _said(w, F.col("k")))
+    return each.withColumn("_hard", hardness()).withColumn("response", F.array_join(kept, " ")).drop("_hard")
+
+
+def mean_scores(df: DataFrame, m: int = 16) -> DataFrame:
+    """Adds ``n``, ``total`` and ``mean``: the stand-in's m responses, scored, in one row and without a shuffle.
+
+    The same as ``difficulty`` of ``score_responses`` of ``sample_responses``: a response holds words of the
+    reference only, so its overlap is the number of distinct words it has.
+    """
+
+    def total(words: Column) -> Column:
+        def score(k: Column) -> Column:
+            said = F.size(F.filter(words, lambda w: _said(w, k))).cast("double")
+            f1 = F.coalesce(F.try_divide(2.0 * said, said + F.size(words).cast("double")), F.lit(0.0))
+            return F.floor(f1 * 10 + 0.5).cast("long")
+
+        return F.aggregate(F.transform(F.sequence(F.lit(1), F.lit(m)), score), F.lit(0).cast("long"), lambda s, x: s + x)
+
+    scored = df.withColumn("_hard", hardness()).withColumn("total", let(F.array_distinct(tokens("reference")), total)).drop("_hard")
+    return scored.withColumn("n", F.lit(m).cast("long")).withColumn("mean", F.col("total") / F.col("n"))
 
 
-def score_responses(df: DataFrame) -> DataFrame:
-    """Adds ``score``: 0 to 10, ten times the token F1 of response and reference, half up."""
+def score_responses(df: DataFrame, model: Model | None = None) -> DataFrame:
+    """Adds ``score``: 0 to 10, by a model (null where its answer holds no number), or ten times the token
+    F1 of response and reference, half up."""
+    if model is not None:
+        found = F.regexp_extract("_score", "([0-9]+)", 1)
+        return model.ask(df, "score", "_score", reference="reference", response="response").withColumn("score", F.when(found != "", F.least(found.cast("int"), F.lit(10)))).drop("_score")
     return df.withColumn("score", F.floor(token_f1(tokens("response"), tokens("reference")) * 10 + 0.5).cast("int"))
 
 

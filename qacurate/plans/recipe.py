@@ -1,25 +1,34 @@
 """The textbook recipe and the mixture recipe, with flags for their ablations.
 
-Stages run in one order: pairs, deduplication, refinement, supplement, defect filter, decontamination.
-Each writes a table that the next reads, so a lost executor repeats one stage at most, and the counts
-by stage are counts of committed tables.
+Textbook: pairs by both standards, deduplication, refinement, supplement, defect filter, leak removal.
+Mixture: deduplication and leak removal of the sources that are not the textbook set, selection, annotation,
+length cut. Each stage that drops rows writes a table that the next reads, so a lost executor repeats one
+stage at most, and the counts by stage are counts of committed tables.
 """
 
 from __future__ import annotations
 
-from dataclasses import dataclass, field
+from collections.abc import Callable, Mapping
+from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from qacurate.functions.text import n_tokens
+from qacurate.models.clients import Model
 from qacurate.operators import decontam, extract, mixture, refine
 from qacurate.operators.minhash import minhash_dedup
 from qacurate.staging import stage
 
+Stages = list[tuple[str, DataFrame]]
+
 
 @dataclass(frozen=True)
 class Recipe:
-    standard: str = "high"  # or low, dual
+    """standard: high, low or dual. model: asked instead of the rules, in every part that a model plays."""
+
+    standard: str = "dual"
     dedup: bool = True
     threshold: float = 0.6
     refine: bool = True
@@ -28,51 +37,95 @@ class Recipe:
     filter: bool = True
     decontaminate: bool = True
     k: int = 5
-    stages: list[tuple[str, DataFrame]] = field(default_factory=list, compare=False)
+    model: Model | None = None
 
 
-def run_textbook(books: DataFrame, chunks: DataFrame, items: DataFrame, recipe: Recipe) -> list[tuple[str, DataFrame]]:
-    """(stage, pairs after it) in order; pairs carry ``subject``, a pair of two subjects once for each."""
-    made = extract.extract_dual(chunks) if recipe.standard == "dual" else extract.extract_pairs(chunks, recipe.standard)
+def mine_pairs(books: DataFrame, chunks: DataFrame, recipe: Recipe) -> Stages:
+    """The stages before refinement: pairs, and those that deduplication keeps. A pair of two subjects is there once for each."""
+    made = extract.extract_dual(chunks, recipe.model) if recipe.standard == "dual" else extract.extract_pairs(chunks, recipe.standard, recipe.model)
     pairs = stage(made.join(books.select("book_id", F.explode("subjects").alias("subject")), "book_id"), "pairs")
     out = [("pairs", pairs)]
+    if recipe.dedup:
+        kept = minhash_dedup(pairs.dropDuplicates(["qid"]), "qid", "question", recipe.threshold).where("id = keep_id").select(F.col("id").alias("qid"))
+        out.append(("dedup", stage(pairs.join(kept, "qid", "left_semi"), "dedup")))
+    return out
+
+
+def leaked(pairs: DataFrame, items: DataFrame, k: int = 5, model: Model | None = None) -> DataFrame:
+    """(qid) of the pairs whose question, or a window of a long one, is judged a paraphrase of one of its k items."""
+    asked = pairs.select("qid", F.col("question").alias("text")).dropDuplicates(["qid"])
+    return decontam.decontaminate(decontam.window_questions(asked, "qid"), items, k, model=model).select(F.col("doc_id").alias("qid"))
+
+
+def finish_pairs(mined: Stages, chunks: DataFrame, items: DataFrame, recipe: Recipe) -> Stages:
+    """The stages from refinement on, after those given."""
+    out, pairs = list(mined), mined[-1][1]
 
     def commit(name: str, df: DataFrame) -> DataFrame:
         df = stage(df, name)
         out.append((name, df))
         return df
 
-    if recipe.dedup:
-        kept = minhash_dedup(pairs.dropDuplicates(["qid"]), "qid", "question", recipe.threshold).where("id = keep_id").select(F.col("id").alias("qid"))
-        pairs = commit("dedup", pairs.join(kept, "qid", "left_semi"))
     if recipe.refine:
-        pairs = refine.refine(pairs, chunks, recipe.strength)
+        pairs = refine.refine(pairs, chunks, recipe.strength, recipe.model)
     if recipe.supplement:
-        pairs = refine.supplement(refine.flag_missing_reasoning(pairs)).drop("lacks_reasoning")
+        pairs = refine.supplement(refine.flag_missing_reasoning(pairs, recipe.model), recipe.model).drop("lacks_reasoning")
     if recipe.filter:
-        pairs = commit("filter", refine.drop_defective(pairs)[0])
+        pairs = commit("filter", refine.drop_defective(pairs, recipe.model)[0].drop("defects"))
     if recipe.decontaminate:
-        numbered = stage(pairs.select("qid").distinct().withColumn("no", F.monotonically_increasing_id()), "numbers")
-        asked = pairs.dropDuplicates(["qid"]).join(numbered, "qid").select(F.col("no").alias("doc_id"), F.col("question").alias("text"))
-        windows = decontam.windows(asked, "doc_id").select("doc_id", (F.col("doc_id") * 4096 + F.col("win_no")).alias("id"), "words")
-        leaks = decontam.decontaminate(windows, items, recipe.k).join(numbered, F.col("doc_id") == F.col("no")).select("qid")
-        pairs = commit("decontaminate", pairs.join(leaks, "qid", "left_anti"))
+        pairs = commit("decontaminate", pairs.join(leaked(pairs, items, recipe.k, recipe.model), "qid", "left_anti"))
+    elif not recipe.filter:
+        pairs = commit("refine", pairs)
     return out
 
 
-def funnel(stages: list[tuple[str, DataFrame]], by: str = "subject") -> DataFrame:
+def run_textbook(books: DataFrame, chunks: DataFrame, items: DataFrame, recipe: Recipe = Recipe()) -> Stages:
+    """(stage, pairs after it) in order; pairs carry ``subject``, a pair of two subjects once for each."""
+    return finish_pairs(mine_pairs(books, chunks, recipe), chunks, items, recipe)
+
+
+def run_mixture(
+    rows: DataFrame,
+    items: DataFrame,
+    choose: Mapping[str, Callable[[DataFrame], DataFrame]],
+    specs: tuple[mixture.SourceSpec, ...] = mixture.SPECS,
+    done: tuple[str, ...] = ("textbook",),
+    threshold: float = 0.6,
+    k: int = 5,
+    max_tokens: int = 4096,
+    model: Model | None = None,
+) -> Stages:
+    """(stage, rows after it) in order. rows: (qid, question, answer, dataset); sources of ``done`` went through
+    deduplication and leak removal before. choose: how each strategy picks the rows of a source.
+    """
+    raw = stage(rows.where(F.col("dataset").isin([s.name for s in specs if s.include])), "raw")
+    open_, settled = raw.where(~F.col("dataset").isin(*done)), raw.where(F.col("dataset").isin(*done))
+    kept = minhash_dedup(open_, "qid", "question", threshold, scope=["dataset"]).where("id = keep_id").select(F.col("id").alias("qid"))
+    unique = stage(open_.join(kept, "qid", "left_semi"), "unique")
+    clean = stage(unique.join(leaked(unique, items, k, model), "qid", "left_anti"), "clean")
+    free = clean.unionByName(settled)
+    parts = [choose[s.strategy](free.where(F.col("dataset") == s.name)) if s.strategy != "all" else free.where(F.col("dataset") == s.name) for s in specs if s.include]
+    chosen = stage(reduce(DataFrame.unionByName, [p.select(rows.columns) for p in parts]), "chosen")
+    final = stage(mixture.drop_overlong(mixture.annotate(chosen, specs, model), max_tokens), "mixture")
+    return [("raw", raw), ("dedup", unique.unionByName(settled)), ("decontaminate", free), ("selection", chosen), ("length", final)]
+
+
+def funnel(stages: Stages, by: str = "subject") -> DataFrame:
     return mixture.stage_counts(stages, by)
 
 
 def ablation(books: DataFrame, chunks: DataFrame, items: DataFrame, variants: dict[str, Recipe]) -> DataFrame:
-    """(variant, n, answer_words, n_lacking, n_defective): what each variant of the recipe leaves."""
-    from functools import reduce
-
-    from qacurate.functions.text import n_tokens
+    """(variant, n, answer_words, n_lacking, n_defective): what each variant of the recipe leaves.
 
+    Variants that mine alike share one table of mined pairs.
+    """
+    mined: dict[tuple, Stages] = {}
     rows = []
     for name, recipe in variants.items():
-        last = run_textbook(books, chunks, items, recipe)[-1][1].dropDuplicates(["qid"])
+        key = (recipe.standard, recipe.dedup, recipe.threshold, id(recipe.model))
+        if key not in mined:
+            mined[key] = mine_pairs(books, chunks, recipe)
+        last = finish_pairs(mined[key], chunks, items, recipe)[-1][1].dropDuplicates(["qid"])
         judged = last.select(n_tokens("answer").alias("w"), refine.missing_reasoning().alias("lack"), (F.size(refine.defects()) > 0).alias("bad"))
         rows.append(judged.agg(F.lit(name).alias("variant"), F.count(F.lit(1)).alias("n"), F.round(F.avg("w"), 4).alias("answer_words"), F.count_if("lack").alias("n_lacking"), F.count_if("bad").alias("n_defective")))
     return reduce(DataFrame.unionByName, rows)

@@ -28,10 +28,17 @@ def _clean_sql(c: str) -> str:
     return rf"trim(regexp_replace(regexp_replace({c}, '(?i){refine.CITATION}', '', 'g'), '[ \t\r\n]+', ' ', 'g'))"
 
 
-_WEAK = f"select qid, book_id, chunk_no, {_clean_sql('question')} as question, {_clean_sql('answer')} as answer from low"
-_STRONG = f"""select qid, w.book_id, w.chunk_no, case when contains(question, head) then question else head || ' ' || question end as question,
+def weak_sql(table: str = "low") -> str:
+    return f"select qid, book_id, chunk_no, {_clean_sql('question')} as question, {_clean_sql('answer')} as answer from {table}"
+
+
+def strong_sql(table: str = "low") -> str:
+    return f"""select qid, w.book_id, w.chunk_no, case when contains(question, head) then question else head || ' ' || question end as question,
   case when contains(answer, tail) then answer else answer || ' ' || tail end as answer
-from ({_WEAK}) w join (select book_id, chunk_no, string_split(trim(array_to_string(part, '')), chr(10))[1] as head, string_split(trim(array_to_string(part, '')), chr(10))[-1] as tail from chunks) c using (book_id, chunk_no)"""
+from ({weak_sql(table)}) w join (select book_id, chunk_no, string_split(trim(array_to_string(part, '')), chr(10))[1] as head, string_split(trim(array_to_string(part, '')), chr(10))[-1] as tail from chunks) c using (book_id, chunk_no)"""
+
+
+_WEAK, _STRONG = weak_sql(), strong_sql()
 
 
 def _n(c: str) -> str:
@@ -63,7 +70,13 @@ def missing_reasoning(spark, d):
 
 
 _LAST = r"trim(regexp_extract(answer, '([^.!?]*)[.!?]?\s*$', 1))"
-_SUPPLEMENTED = f"select qid, question, case when {_LACKS} then 'Step 1: the question states: ' || question || ' Step 2: ' || answer || ' Therefore the final answer is: ' || {_LAST} || '.' else answer end as answer from ({_STRONG})"
+
+
+def supplemented_sql(table: str) -> str:
+    return f"select qid, question, case when {_LACKS} then 'Step 1: the question states: ' || question || ' Step 2: ' || answer || ' Therefore the final answer is: ' || {_LAST} || '.' else answer end as answer from ({table})"
+
+
+_SUPPLEMENTED = supplemented_sql(_STRONG)
 
 
 @query("supplement_cot", f"{with_sql()} select qid, length(answer)::bigint as n_chars from ({_SUPPLEMENTED})")
@@ -97,14 +110,34 @@ def refiner_compare(spark, d):
 
 # ---- selection --------------------------------------------------------------------------------
 
-#: Pairs of turns in four slices that stand for the sources, by conversation.
+#: Pairs of turns in four slices that stand for the sources, by conversation. Answers of B end in an option, those of C
+#: are long and say things again. Planted: copies of questions of every fifth conversation, benchmark items as questions
+#: of A and B, and answers of B that are longer than the mixture allows.
 _SLICE = "case conv_id % 4 when 0 then 'textbook' when 1 then 'A' when 2 then 'B' else 'C' end"
-QA = f"qa as (select qid, question, answer, {_SLICE} as dataset from ({TURNS_SQL}))"
+_OPTION = "chr(10) || 'The correct option is ' || substr('ABCD', (turn % 4 + 1)::int, 1) || ' for the reasons that the text above has given in its own words'"
+_BASE_QA = f"""select qid, question, dataset, case dataset when 'B' then answer || {_OPTION} when 'C' then 'We repeat every step. ' || answer || ' ' || answer || ' ' || answer else answer end as answer, conv_id, turn
+  from (select *, {_SLICE} as dataset from ({TURNS_SQL}))"""
+_ITEM_ANSWER = "The answer to this question is known because the text above says so in its own words."
+_LONG_QUESTION = "'Describe case ' || md5('l' || qid) || ' and case ' || md5('m' || qid) || ' with all of their details'"
+QA = f"""base_qa as ({_BASE_QA}), qa as (select qid, question, answer, dataset from base_qa
+  union all select qid || ':copy', question || ' please', answer, dataset from base_qa where conv_id % 5 = 0
+  union all select 'leak:' || item_id, 'Please answer this. ' || text, '{_ITEM_ANSWER}', case item_id % 2 when 0 then 'A' else 'B' end from benchmark
+  union all select qid || ':long', {_LONG_QUESTION}, repeat('step ', 4200) || chr(10) || 'The correct option is the one that case ' || md5('l' || qid) || ' has by its rules', 'B' from base_qa where conv_id % 11 = 0)"""
 
 
 def qa(spark, d):
-    k = F.col("conv_id") % 4
-    return turns(spark, d).select("qid", "question", "answer", F.when(k == 0, "textbook").when(k == 1, "A").when(k == 2, "B").otherwise("C").alias("dataset"))
+    k, option = F.col("conv_id") % 4, F.substr(F.lit("ABCD"), (F.col("turn") % 4 + 1).cast("int"), F.lit(1))
+    named = turns(spark, d).withColumn("dataset", F.when(k == 0, "textbook").when(k == 1, "A").when(k == 2, "B").otherwise("C"))
+    b = F.concat("answer", F.lit("\nThe correct option is "), option, F.lit(" for the reasons that the text above has given in its own words"))
+    c = F.concat(F.lit("We repeat every step. "), "answer", F.lit(" "), "answer", F.lit(" "), "answer")
+    base = named.withColumn("answer", F.when(F.col("dataset") == "B", b).when(F.col("dataset") == "C", c).otherwise(F.col("answer")))
+    tag = lambda x: F.md5(F.concat(F.lit(x), "qid"))
+    copies = base.where("conv_id % 5 = 0").select(F.concat("qid", F.lit(":copy")).alias("qid"), F.concat("question", F.lit(" please")).alias("question"), "answer", "dataset")
+    items = read(spark, d, "benchmark").select(F.concat(F.lit("leak:"), F.col("item_id").cast("string")).alias("qid"), F.concat(F.lit("Please answer this. "), "text").alias("question"), F.lit(_ITEM_ANSWER).alias("answer"), F.when(F.col("item_id") % 2 == 0, "A").otherwise("B").alias("dataset"))
+    long_q = F.concat(F.lit("Describe case "), tag("l"), F.lit(" and case "), tag("m"), F.lit(" with all of their details"))
+    long_a = F.concat(F.repeat(F.lit("step "), F.lit(4200)), F.lit("\nThe correct option is the one that case "), tag("l"), F.lit(" has by its rules"))
+    long_ = base.where("conv_id % 11 = 0").select(F.concat("qid", F.lit(":long")).alias("qid"), long_q.alias("question"), long_a.alias("answer"), F.lit("B").alias("dataset"))
+    return base.select("qid", "question", "answer", "dataset").unionByName(copies).unionByName(items).unionByName(long_)
 
 
 def _by_length(spark, d):
@@ -125,8 +158,10 @@ def select_longest_hist(spark, d):
 
 
 _REF = r"""ref as (select *, case dataset when 'textbook' then trim(regexp_extract(answer, '([^.!?]*[.!?]?)\s*$', 1)) when 'B' then trim(string_split(answer, chr(10))[-1]) else answer end as reference from qa)"""
-_FRACTION = "(('0x' || substr(md5(qid || ':' || k || ':' || w), 1, 8))::bigint / 4294967296.0)"
-_RESP = f"""resp as (select qid, k, reference, list_filter({words_sql('reference')}, lambda w: {_FRACTION} * 16 >= k - 1) as r from ref, (select unnest(range(1, 17)) as k))"""
+_FRACTION = "(('0x' || substr(md5({}), 1, 8))::bigint / 4294967296.0)"
+_SAID = f"{_FRACTION.format("qid || ':' || k || ':' || w")} >= hard"
+_RESP = f"""resp as (select qid, k, reference, list_filter({words_sql('reference')}, lambda w: {_SAID}) as r
+  from (select *, 1.2::double * {_FRACTION.format("'h:' || qid")} - 0.1::double as hard from ref), (select unnest(range(1, 17)) as k))"""
 _A, _B = "list_distinct(r)", f"list_distinct({words_sql('reference')})"
 _SCORES = f"scores as (select qid, k, floor(coalesce(2.0 * len(list_intersect({_A}, {_B})) / nullif(len({_A}) + len({_B}), 0), 0) * 10 + 0.5)::int as score from resp)"
 _MEANS = "means as (select qid, count(*) as n, sum(score)::bigint as total, sum(score)::double / count(*) as mean from scores group by qid)"
@@ -138,7 +173,7 @@ def _scores(spark, d):
 
 
 def means(spark, d):
-    return select.difficulty(_scores(spark, d))
+    return select.mean_scores(select.reference_answers(qa(spark, d))).select("qid", "n", "total", "mean")
 
 
 @query("reference_policy", f"with {QA}, {_REF} select qid, dataset, md5(reference) as reference from ref")
@@ -158,6 +193,12 @@ def response_scores(spark, d):
 
 @query("difficulty_scores", f"{CHAIN} select qid, n, total, round(mean, 6) as mean from means")
 def difficulty_scores(spark, d):
+    """From the responses themselves, one row per draw."""
+    return select.difficulty(_scores(spark, d)).select("qid", "n", "total", F.round("mean", 6).alias("mean"))
+
+
+@query("difficulty_in_one_row", f"{CHAIN} select qid, n, total, round(mean, 6) as mean from means")
+def difficulty_in_one_row(spark, d):
     return means(spark, d).select("qid", "n", "total", F.round("mean", 6).alias("mean"))
 
 
@@ -232,15 +273,29 @@ def strategy_overlap(spark, d):
     return a.join(b, "qid").where("s1 < s2").groupBy("dataset", "s1", "s2").agg(F.count(F.lit(1)).alias("n"))
 
 
-@query("strategy_quality", f"""with m as (select d.doc_id, source, quality, {_n('text')} as length, {_KEY.format('d.doc_id')} as key from documents d join labels l using (doc_id)),
-r as (select *, row_number() over (order by length desc, doc_id) as rl, row_number() over (order by key, doc_id) as rr, count(*) over () as n from m)
-select 'all' as strategy, count(*) as n, sum(quality)::bigint as good from r union all select 'length', count(*), sum(quality)::bigint from r where rl <= n // 2
-union all select 'random', count(*), sum(quality)::bigint from r where rr <= n // 2""")
+_DOC_CHAIN = f"""with l as (select d.doc_id, d.text, quality from documents d join labels l using (doc_id)),
+ref as (select doc_id::varchar as qid, trim(regexp_extract(text, '([^.!?]*[.!?]?)\\s*$', 1)) as reference from l), {_RESP}, {_SCORES}, {_MEANS},
+m as (select l.*, total, n, {_n('text')} as length, {_KEY.format('doc_id')} as key from l join means on qid = doc_id::varchar),
+dif as (select * from m where total between n and 9 * n), size as (select count(*) as k from dif),
+r as (select *, row_number() over (order by length desc, doc_id) as rl, row_number() over (order by key, doc_id) as rr from m)"""
+
+
+def labelled(spark, d):
+    """(doc_id, text, quality, length, total, n, mean): labelled documents with the difficulty of their last sentence."""
+    rows = docs(spark, d).select("doc_id", "text").join(labels(spark, d).select("doc_id", "quality"), "doc_id")
+    asked = select.reference_answers(rows.withColumns({"qid": F.col("doc_id").cast("string"), "answer": F.col("text"), "dataset": F.lit("textbook")}))
+    return select.lengths(select.mean_scores(asked), "text").select("doc_id", "text", "quality", "length", "total", "n", "mean")
+
+
+@query("strategy_quality", f"""{_DOC_CHAIN} select 'all' as strategy, count(*) as n, sum(quality)::bigint as good from r
+union all select 'difficulty', count(*), sum(quality)::bigint from dif
+union all select 'length', count(*), sum(quality)::bigint from r, size where rl <= k
+union all select 'random', count(*), sum(quality)::bigint from r, size where rr <= k""")
 def strategy_quality(spark, d):
-    own = select.lengths(docs(spark, d).join(labels(spark, d), "doc_id"), "text")
-    n = own.count() // 2
-    chosen = {"all": own, "length": select.select_longest(own, n, id_="doc_id"), "random": select.select_random(own, n, "doc_id")}
-    parts = [df.agg(F.lit(s).alias("strategy"), F.count(F.lit(1)).alias("n"), F.sum("quality").cast("long").alias("good")) for s, df in chosen.items()]
+    from qacurate.operators.proxy import subsets
+
+    own = stage(labelled(spark, d).drop("text"), "labelled")
+    parts = [df.agg(F.lit(s).alias("strategy"), F.count(F.lit(1)).alias("n"), F.sum("quality").cast("long").alias("good")) for s, df in subsets(own).items()]
     return reduce(lambda x, y: x.unionByName(y), parts)
 
 
@@ -249,8 +304,7 @@ def strategy_choice(spark, d):
     """Proxy accuracy of each strategy's subset; see qacurate.operators.proxy."""
     from qacurate.operators.proxy import compare_strategies
 
-    own = select.lengths(docs(spark, d).join(labels(spark, d), "doc_id"), "text")
-    return compare_strategies(own)
+    return compare_strategies(labelled(spark, d))
 
 
 # ---- mixture ----------------------------------------------------------------------------------

@@ -2,51 +2,140 @@
 
 from __future__ import annotations
 
+from functools import reduce
+
 from pyspark.sql import functions as F
 
 from qacurate.operators import decontam as D
-from qacurate.operators.minhash import minhash_dedup
+from qacurate.operators import ingest, select
 from qacurate.operators.ngram import ngram_decontaminate
-from qacurate.plans.recipe import Recipe, ablation, funnel, run_textbook
+from qacurate.plans.recipe import Recipe, ablation, funnel, run_mixture, run_textbook
 from qacurate.queries import curate
-from qacurate.queries.common import books, chunks, docs
+from qacurate.queries.common import RECIPE_DOCS_SQL, dedup_sql, docs, leaks_sql, recipe_books, spaced_sql, with_sql, words_sql
 from qacurate.queries.decontam import items, questions
 from qacurate.registry import query, read
+from qacurate.staging import stage
+
+
+def _inputs(spark, d):
+    books = stage(recipe_books(spark, d), "recipe-books")
+    return books, ingest.chunk(books), items(spark, d)
+
+
+_MINED = f"""{with_sql(docs_sql=RECIPE_DOCS_SQL)}, asked as (select qid as id, question as text from pairs), {dedup_sql('asked', 'd_')},
+subject as (select book_id, unnest(subjects) as subject from books),
+mined as (select p.* from pairs p join d_kept using (qid))"""
+
 
+def _finished(p: str, refine: str | None = "strong", supplement: bool = True, decontaminate: bool = True) -> str:
+    """Tables that end in {p}last (qid, question, answer): what a variant of the recipe leaves of the mined pairs."""
+    made = {"strong": curate.strong_sql("mined"), "weak": curate.weak_sql("mined"), None: "select qid, question, answer from mined"}[refine]
+    made = curate.supplemented_sql(made) if supplement else made
+    sound = f"{p}sound as (select qid, question, answer from ({made}) where {curate._NAMES} = '')"
+    last = f"{p}last as (select * from {p}sound where qid not in (select qid from {p}leaks))" if decontaminate else f"{p}last as (select * from {p}sound)"
+    return ", ".join([sound, *([leaks_sql(f"{p}sound", p)] if decontaminate else []), last])
 
-def _run(spark, d, recipe):
-    return run_textbook(books(spark, d), chunks(spark, d), items(spark, d), recipe)
 
+_FUNNEL = f"""{_MINED}, {_finished('f_')}, st as (select 0 as stage_no, 'pairs' as stage, qid, book_id from pairs
+  union all select 1, 'dedup', qid, book_id from mined
+  union all select 2, 'filter', qid, book_id from mined join f_sound using (qid)
+  union all select 3, 'decontaminate', qid, book_id from mined join f_last using (qid)),
+counts as (select stage_no, stage, subject, count(*) as n from st join subject using (book_id) group by all)
+select * from counts union all select stage_no, stage, 'total', sum(n)::bigint from counts group by all"""
 
-@query("textbook_recipe")
+
+@query("textbook_recipe", _FUNNEL)
 def textbook_recipe(spark, d):
-    """Rows by subject after each stage, from extraction to leak removal."""
-    return funnel(_run(spark, d, Recipe()))
+    """Rows by subject after each stage, from extraction by both standards to leak removal."""
+    return funnel(run_textbook(*_inputs(spark, d)))
+
+
+_VARIANTS = {
+    "full": (Recipe(), {}),
+    "without decontamination": (Recipe(decontaminate=False), {"decontaminate": False}),
+    "without supplement": (Recipe(supplement=False), {"supplement": False}),
+    "without refinement": (Recipe(refine=False, supplement=False), {"refine": None, "supplement": False}),
+    "weaker refiner": (Recipe(strength="weak"), {"refine": "weak"}),
+}
+_ABLATED = ", ".join(_finished(f"v{i}_", **flags) for i, (_, flags) in enumerate(_VARIANTS.values()))
+_MEASURED = " union all ".join(
+    f"select '{name}' as variant, count(*) as n, round(avg({curate._n('answer')}), 4) as answer_words, count_if({curate._LACKS}) as n_lacking, count_if({curate._NAMES} <> '') as n_defective from v{i}_last"
+    for i, name in enumerate(_VARIANTS)
+)
 
 
-@query("recipe_ablation")
+@query("recipe_ablation", f"{_MINED}, {_ABLATED} {_MEASURED}")
 def recipe_ablation(spark, d):
-    variants = {"full": Recipe(), "without decontamination": Recipe(decontaminate=False), "without supplement": Recipe(supplement=False), "without refinement": Recipe(refine=False, supplement=False), "weaker refiner": Recipe(strength="weak")}
-    return ablation(books(spark, d), chunks(spark, d), items(spark, d), variants)
+    return ablation(*_inputs(spark, d), {name: recipe for name, (recipe, _) in _VARIANTS.items()})
+
+
+_CLEAN = f"""with recursive {curate.QA}, {curate._REF}, {curate._RESP}, {curate._SCORES}, {curate._MEANS},
+asked as (select qid as id, question as text, dataset from qa where dataset in ('A', 'B')), {dedup_sql('asked', 'd_', 'dataset')},
+uniq as (select qa.* from qa join d_kept using (qid)), {leaks_sql('uniq', 'l_')},
+clean as (select * from uniq where qid not in (select qid from l_leaks) union all select * from qa where dataset = 'textbook'),
+m as (select c.*, total, n, {curate._KEY.format('qid')} as key from clean c join means using (qid)),
+size as (select count(*) as k from m where dataset = 'A' and total between n and 9 * n),
+chosen as (select qid from m where dataset = 'textbook' union all select qid from m where dataset = 'B' and total between n and 9 * n
+  union all select qid from (select qid, row_number() over (order by key, qid) as r from m where dataset = 'A'), size where r <= k),
+made as ({curate._ANNOTATED}),
+final as (select made.* from made join chosen using (qid) where len({spaced_sql('answer')}) <= 4096)"""
+_MIXED = f"""{_CLEAN}, st as (select 0 as stage_no, 'raw' as stage, dataset from qa where dataset <> 'C' union all select 1, 'dedup', dataset from uniq
+  union all select 1, 'dedup', dataset from qa where dataset = 'textbook' union all select 2, 'decontaminate', dataset from clean
+  union all select 3, 'selection', dataset from qa join chosen using (qid) union all select 4, 'length', dataset from final),
+counts as (select stage_no, stage, dataset, count(*) as n from st group by all)
+select * from counts union all select stage_no, stage, 'total', sum(n)::bigint from counts group by all"""
+
 
+def _scored(df):
+    return select.mean_scores(select.reference_answers(df))
 
-@query("mixture_recipe")
+
+def _as_many(df):
+    """As many rows at random as the selection by difficulty would keep."""
+    return select.select_random(df, select.select_by_difficulty(_scored(df)).count())
+
+
+CHOOSE = {"random": _as_many, "difficulty": lambda df: select.select_by_difficulty(_scored(df))}
+
+
+@query("mixture_recipe", _MIXED)
 def mixture_recipe(spark, d):
-    """Rows by source: raw, deduplicated, free of leaks, selected."""
-    raw = curate.qa(spark, d).where("dataset <> 'C'")
-    kept = minhash_dedup(raw, "qid", "question").where("id = keep_id").select(F.col("id").alias("qid"))
-    unique = raw.join(kept, "qid", "left_semi")
-    leaks = ngram_decontaminate(unique.select(F.col("qid").alias("id"), F.col("question").alias("text")), read(spark, d, "benchmark"), 8).select(F.col("id").alias("qid"))
-    clean = unique.join(leaks, "qid", "left_anti")
-    final = curate.mixed(spark, d).join(clean.select("qid"), "qid", "left_semi")
-    return funnel([("raw", raw), ("dedup", unique), ("decontaminate", clean), ("selection", final)], "dataset")
+    """Rows by source: raw, deduplicated, free of leaks, selected, short enough."""
+    return funnel(run_mixture(curate.qa(spark, d), items(spark, d), CHOOSE), "dataset")
+
+
+@query("mixture_rows", f"{_CLEAN} select qid, dataset, md5(answer) as answer from final")
+def mixture_rows(spark, d):
+    """The rows of the finished mixture."""
+    return run_mixture(curate.qa(spark, d), items(spark, d), CHOOSE)[-1][1].select("qid", "dataset", F.md5("answer").alias("answer"))
+
+
+@query("decontam_before_after", f"""{_CLEAN}, scored as (select qid, dataset, total, qid in (select qid from l_leaks) as leak, mean from uniq join means using (qid))
+select dataset, count(*) as n_before, count_if(not leak) as n_after, count_if(leak) as n_leaked,
+  round(sum(total)::double / (16 * count(*)), 6) as score_before, round(sum(case when not leak then total end)::double / (16 * count_if(not leak)), 6) as score_after
+from scored group by dataset""")
+def decontam_before_after(spark, d):
+    """Each source before and after leak removal: rows, and the mean score of the stand-in's responses."""
+    from qacurate.operators.minhash import minhash_dedup
+    from qacurate.plans.recipe import leaked
+
+    open_ = curate.qa(spark, d).where(F.col("dataset").isin("A", "B"))
+    kept = minhash_dedup(open_, "qid", "question", scope=["dataset"]).where("id = keep_id").select(F.col("id").alias("qid"))
+    rows = stage(_scored(open_.join(kept, "qid", "left_semi")).select("qid", "question", "dataset", "total", "n"), "unique-scored")
+    marked = rows.join(leaked(rows, items(spark, d)).withColumn("leak", F.lit(True)), "qid", "left").withColumn("leak", F.coalesce("leak", F.lit(False)))
+    mean = lambda total, n: F.round(F.try_divide(F.sum(total).cast("double"), F.sum(n)), 6)
+    return marked.groupBy("dataset").agg(
+        F.count(F.lit(1)).alias("n_before"),
+        F.count_if(~F.col("leak")).alias("n_after"),
+        F.count_if("leak").alias("n_leaked"),
+        mean(F.col("total"), F.col("n")).alias("score_before"),
+        mean(F.when(~F.col("leak"), F.col("total")), F.when(~F.col("leak"), F.col("n"))).alias("score_after"),
+    )
 
 
 @query("leak_detectors")
 def leak_detectors(spark, d):
     """Leaked documents by detector: search with judge, n-grams, similarity alone."""
-    from functools import reduce
-
     q, m, t = questions(spark, d), items(spark, d), docs(spark, d)
     found = {"judge": D.decontaminate(q, m).select("doc_id"), "embedding": D.embedding_decontaminate(q, m)}
     for n in (5, 8, 13):
