@@ -6,15 +6,18 @@ watermark is set. Every query has a checkpoint of its own.
 
 from __future__ import annotations
 
+import json
+
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.types import StructType
 
+from qacurate.functions.text import shingles
 from qacurate.operators import minhash as M
 from qacurate.operators.decontam import decontaminate
-from qacurate.staging import fresh_path
+from qacurate.staging import Staged, fresh_path
 
 WATERMARK = "10 minutes"
 
@@ -35,8 +38,8 @@ def split_files(df: DataFrame, path: str, order: str, parts: int = 4) -> None:
         df.where(cell == k).coalesce(1).write.mode("append").parquet(path)
 
 
-def run_once(out: DataFrame, mode: str, name: str) -> DataFrame:
-    """Drains a stream into a table in the shared folder and returns it."""
+def drain(out: DataFrame, mode: str, name: str) -> tuple[DataFrame, list[dict]]:
+    """Runs a stream to its end into a table in the shared folder; returns it and the progress of each batch."""
     spark = out.sparkSession
     path = fresh_path(spark, name)
     if mode == "append":
@@ -47,7 +50,26 @@ def run_once(out: DataFrame, mode: str, name: str) -> DataFrame:
 
         q = out.writeStream.foreachBatch(keep).option("checkpointLocation", fresh_path(spark, f"{name}-state")).outputMode(mode).trigger(availableNow=True).start()
     q.awaitTermination()
-    return spark.read.schema(out.schema).parquet(path)
+    return spark.read.schema(out.schema).parquet(path), [json.loads(p.json) for p in q.recentProgress]
+
+
+def run_once(out: DataFrame, mode: str, name: str) -> DataFrame:
+    return drain(out, mode, name)[0]
+
+
+def counters(progress: list[dict]) -> dict[str, int]:
+    """Rows read and rows that came too late for the state, over all batches, and what ``observe`` counted by name."""
+    seen = {"rows_read": sum(p["numInputRows"] for p in progress), "rows_late": sum(o["numRowsDroppedByWatermark"] for p in progress for o in p["stateOperators"])}
+    for p in progress:
+        for stage, values in (p.get("observedMetrics") or {}).items():
+            for name, n in values.items():
+                seen[f"{stage}.{name}"] = seen.get(f"{stage}.{name}", 0) + (n or 0)
+    return seen
+
+
+def counted(df: DataFrame, stage: str) -> DataFrame:
+    """The same rows, counted as they pass: ``counters`` has the sum as ``<stage>.n``."""
+    return df.observe(stage, F.count(F.lit(1)).alias("n"))
 
 
 def tumbling(events: DataFrame, width: str = "1 day") -> DataFrame:
@@ -77,34 +99,43 @@ def join_streams(left: DataFrame, right: DataFrame, within: str = "1 hour") -> D
     return x.join(y, F.expr(f"u1 = u2 and t2 >= t1 and t2 <= t1 + interval {within}")).select(F.col("u1").alias("user_id"), "t1", "t2")
 
 
-def mean_scores(scores: DataFrame, full: int = 16) -> DataFrame:
-    """(qid, n, total): a question's scores, emitted once ``full`` have come; incomplete ones leave after a day."""
+def mean_scores(scores: DataFrame, full: int = 16, wait: str = "1 day") -> DataFrame:
+    """(qid, n, total): a question's scores, emitted once ``full`` have come, or by what has come when ``wait`` is over.
+
+    scores: (qid, score, ts). The wait is in event time, from a question's last score on. A finished question
+    is remembered until then, so that further scores of it count for nothing, and is forgotten afterwards:
+    state does not outlive the wait.
+    """
+    span = int(pd.Timedelta(wait).total_seconds() * 1000)
 
     def step(key: tuple, batches, state: GroupState):
+        n, total, last = state.get if state.exists else (0, 0, 0)
         if state.hasTimedOut:
-            n, total = state.get
             state.remove()
-            yield pd.DataFrame({"qid": [key[0]], "n": [n], "total": [total]})
+            if n < full:
+                yield pd.DataFrame({"qid": [key[0]], "n": [n], "total": [total]})
             return
-        n, total = state.get if state.exists else (0, 0)
-        done = False
+        before = n
         for pdf in batches:
-            for s in pdf.score:
-                if n < full:
-                    n, total = n + 1, total + int(s)
-                    done = n == full
-        if done:
+            for s in pdf.score.to_numpy()[: full - n]:
+                n, total = n + 1, total + int(s)
+            last = max(last, int(pdf.ts.max().value // 1_000_000))
+        if before < n == full:
             yield pd.DataFrame({"qid": [key[0]], "n": [n], "total": [total]})
-        state.update((n, total))
+        state.update((n, total, last))
+        state.setTimeoutTimestamp(max(last + span, state.getCurrentWatermarkMs() + 1))
 
-    return scores.groupBy("qid").applyInPandasWithState(step, "qid string, n long, total long", "n long, total long", "append", GroupStateTimeout.NoTimeout)
+    marked = scores.select("qid", "score", "ts").withWatermark("ts", WATERMARK)
+    return marked.groupBy("qid").applyInPandasWithState(step, "qid string, n long, total long", "n long, total long, last long", "append", GroupStateTimeout.EventTimeTimeout)
 
 
 class IncrementalDedup:
-    """MinHash deduplication by batches: a batch meets the stored bands and itself.
+    """MinHash deduplication by batches: a row goes if one that came before it is similar.
 
-    The index holds bands and sets of all rows (first wins) and is keyed by batch, so a repeated batch
-    overwrites what it wrote before.
+    Within a batch the smaller id comes first. A smaller id that comes late therefore goes when a larger one
+    was there before: what has been decided stays. The index holds bands and sets of all rows and is
+    keyed by batch, so a repeated batch overwrites what it wrote before. A batch reads the stored bands once,
+    keeps those it shares, and takes only the sets of rows that they name.
     """
 
     def __init__(self, spark: SparkSession, threshold: float = 0.6) -> None:
@@ -119,17 +150,17 @@ class IncrementalDedup:
 
     def add(self, batch: DataFrame, batch_id: int) -> None:
         """batch: (id, text)"""
-        from qacurate.functions.text import shingles
-        from qacurate.staging import Staged
-
-        signed = Staged(M.minhash(batch.select("id", shingles("text").alias("set"))), "batch-sets").df
-        bands = M.lsh_bands(signed)
-        sets = signed.select("id", "set")
-        all_bands = self._past(self.bands, bands, batch_id).unionByName(bands)
-        all_sets = self._past(self.sets, sets, batch_id).unionByName(sets)
-        x, y = all_bands.select(F.col("id").alias("a"), "band", "key"), bands.select(F.col("id").alias("b"), "band", "key")
-        pairs = x.join(y, ["band", "key"]).where("a < b").select("a", "b").distinct()
-        gone = M.verify(pairs, all_sets, self.threshold).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("by"))
+        coded = batch.select("id", shingles("text").alias("set")).withColumn("hset", M.hash_set())
+        signed = Staged(M.minhash(coded, drop=True), "batch-sets").df
+        bands, sets = Staged(M.lsh_bands(signed), "batch-bands").df, signed.select("id", "hset")
+        mine = bands.select(F.col("id").alias("b"), "band", "key")
+        before = self._past(self.bands, bands, batch_id).select(F.col("id").alias("a"), "band", "key")
+        earlier = before.join(mine, ["band", "key"]).select("a", "b")
+        among = bands.select(F.col("id").alias("a"), "band", "key").join(mine, ["band", "key"]).where("a < b").select("a", "b")
+        pairs = Staged(earlier.union(among).distinct(), "batch-pairs").df
+        named = pairs.select(F.col("a").alias("id")).distinct()
+        known = self._past(self.sets, sets, batch_id).join(named, "id", "left_semi").unionByName(sets)
+        gone = M.verify(pairs, known, self.threshold).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("by"))
         batch.select("id").join(gone, "id", "left").select("id", F.coalesce("by", "id").alias("keep_id")).write.mode("overwrite").parquet(f"{self.out}/batch={batch_id}")
         bands.write.mode("overwrite").parquet(f"{self.bands}/batch={batch_id}")
         sets.write.mode("overwrite").parquet(f"{self.sets}/batch={batch_id}")
