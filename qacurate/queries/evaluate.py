@@ -343,3 +343,18 @@ def call_budget(spark, d):
     n = F.col("n")
     rows = docs(spark, d).agg(F.count(F.lit(1)).alias("n"))
     return M.call_budget({"classify": n, "extract": 2 * n, "refine": n, "gap": n, "defects": n, "judge": 5 * n, "difficulty": 32 * n}, rows)
+
+
+@query("observed_calls", "select unnest(['defects', 'gap']) as role, unnest([count(distinct text), count(distinct text)])::bigint as calls from benchmark")
+def observed_calls(spark, d):
+    """Calls that a client was really asked for, by role: each distinct prompt once, although all runs twice."""
+    from qacurate.models.clients import Model, TableClient, usage
+    from qacurate.operators import refine
+    from qacurate.staging import fresh_path
+
+    items = read(spark, d, "benchmark").select(F.col("text").alias("question"), F.lit("It is so.").alias("answer"))
+    cache = fresh_path(spark, "calls")
+    for _ in range(2):
+        model = Model(TableClient((), "no"), cache)
+        refine.supplement(refine.flag_missing_reasoning(refine.judge_defects(items, model), model), model).count()
+    return usage(spark, cache).select("role", "calls")
