@@ -141,7 +141,9 @@ def call_model(df: DataFrame, role: str, text: F.Column, client: ModelClient, ca
     asked = keyed.select(F.col("_key").alias("key"), F.col("_prompt").alias("prompt")).dropDuplicates(["key"]).join(known, "key", "left_anti")
     asked.mapInArrow(ask, CACHE).write.mode("append").parquet(cache)
     answers = spark.read.schema(CACHE).parquet(cache).groupBy(F.col("key").alias("_key")).agg(F.min("answer").alias(output))
-    return keyed.join(answers, "_key", "left").drop("_key", "_prompt")
+    # Written at once: Spark takes two reads of one path for equal, though the table has grown between them, and a
+    # plan that holds the answers of two calls would use those of the first for both.
+    return Staged(keyed.join(answers, "_key", "left").drop("_key", "_prompt"), "answered").df
 
 
 def parsed(answer: F.Column, schema: str) -> F.Column:
