@@ -118,7 +118,7 @@ _OPTION = "chr(10) || 'The correct option is ' || substr('ABCD', (turn % 4 + 1):
 _BASE_QA = f"""select qid, question, dataset, case dataset when 'B' then answer || {_OPTION} when 'C' then 'We repeat every step. ' || answer || ' ' || answer || ' ' || answer else answer end as answer, conv_id, turn
   from (select *, {_SLICE} as dataset from ({TURNS_SQL}))"""
 _ITEM_ANSWER = "The answer to this question is known because the text above says so in its own words."
-_LONG_QUESTION = "'Describe case ' || md5('l' || qid) || ' and case ' || md5('m' || qid) || ' with all of their details'"
+_LONG_QUESTION = "'Describe ' || md5('l' || qid) || ' ' || md5('m' || qid) || ' ' || md5('n' || qid) || ' ' || md5('o' || qid) || ' in full'"
 QA = f"""base_qa as ({_BASE_QA}), qa as (select qid, question, answer, dataset from base_qa
   union all select qid || ':copy', question || ' please', answer, dataset from base_qa where conv_id % 5 = 0
   union all select 'leak:' || item_id, 'Please answer this. ' || text, '{_ITEM_ANSWER}', case item_id % 2 when 0 then 'A' else 'B' end from benchmark
@@ -134,7 +134,7 @@ def qa(spark, d):
     tag = lambda x: F.md5(F.concat(F.lit(x), "qid"))
     copies = base.where("conv_id % 5 = 0").select(F.concat("qid", F.lit(":copy")).alias("qid"), F.concat("question", F.lit(" please")).alias("question"), "answer", "dataset")
     items = read(spark, d, "benchmark").select(F.concat(F.lit("leak:"), F.col("item_id").cast("string")).alias("qid"), F.concat(F.lit("Please answer this. "), "text").alias("question"), F.lit(_ITEM_ANSWER).alias("answer"), F.when(F.col("item_id") % 2 == 0, "A").otherwise("B").alias("dataset"))
-    long_q = F.concat(F.lit("Describe case "), tag("l"), F.lit(" and case "), tag("m"), F.lit(" with all of their details"))
+    long_q = F.concat_ws(" ", F.lit("Describe"), tag("l"), tag("m"), tag("n"), tag("o"), F.lit("in full"))
     long_a = F.concat(F.repeat(F.lit("step "), F.lit(4200)), F.lit("\nThe correct option is the one that case "), tag("l"), F.lit(" has by its rules"))
     long_ = base.where("conv_id % 11 = 0").select(F.concat("qid", F.lit(":long")).alias("qid"), long_q.alias("question"), long_a.alias("answer"), F.lit("B").alias("dataset"))
     return base.select("qid", "question", "answer", "dataset").unionByName(copies).unionByName(items).unionByName(long_)
@@ -338,7 +338,7 @@ def mixed(spark, d):
 _PICK = "(select * from picked where (dataset = 'textbook' and strategy = 'all') or (dataset = 'A' and strategy = 'random') or (dataset = 'B' and strategy = 'difficulty'))"
 
 
-@query("mixture", f"{_SIZES} select qid, dataset, length(answer)::bigint as n_chars from ({_ANNOTATED}) join (select qid from {_PICK}) using (qid)")
+@query("mixture", f"{_SIZES} select qid, dataset, length(answer)::bigint as n_chars from ({_ANNOTATED}) join (select qid from {_PICK}) using (qid) where len({spaced_sql('answer')}) <= 4096")
 def mixture_(spark, d):
     return mixed(spark, d).select("qid", "dataset", F.length("answer").cast("long").alias("n_chars"))
 

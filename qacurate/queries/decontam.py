@@ -105,6 +105,23 @@ def topk_every_row(spark, d):
     return _others((knn.topk_sharded if large else knn.topk_exact)(q, m, 6))
 
 
+@query("topk_embeddings", _EVERY)
+def topk_embeddings(spark, d):
+    """The same by shards of items, the form for item tables of any size."""
+    q, m = _every_row(spark, d)
+    return _others(knn.topk_sharded(q, m, 6))
+
+
+@query("topk_ivf")
+def topk_ivf(spark, d):
+    return _others(knn.topk_ivf(*_every_row(spark, d), 6))
+
+
+@query("topk_lsh")
+def topk_lsh(spark, d):
+    return _others(knn.topk_lsh(*_every_row(spark, d), 6))
+
+
 @query("topk_lsh_recall")
 def topk_lsh_recall(spark, d):
     return knn.recall_at_k(_others(knn.topk_lsh(*_every_row(spark, d), 6)), topk_every_row(spark, d))
