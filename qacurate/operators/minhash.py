@@ -96,27 +96,58 @@ def candidate_pairs(banded: DataFrame) -> DataFrame:
 def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, most: int = 64) -> DataFrame:
     """(a, b): verified pairs with the same connected components as all verified candidate pairs.
 
-    Buckets of up to ``most`` rows give all their pairs. Larger ones are settled in two steps: every row
-    with its bucket's smallest; then, where a bucket still holds rows of several components, rows of
-    different components by ``prefix_candidates``, so that rows which are not alike are not paired.
+    Buckets of up to ``most`` rows give all their pairs. A larger one is settled in steps that are linear in
+    its rows. Every row meets the bucket's most central one, that with the fewest members no other row has:
+    two sets are alike only if both have few such members, so it links nearly all that can be linked. Rows
+    outside the bucket's largest component then meet the most central of them. What is still apart goes
+    through ``prefix_candidates``, which drops rows with too many members of their own at once.
     """
     rows = Staged(banded, "bands").df
-    sizes = Staged(rows.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n"), F.min("id").alias("low")).where("n > 1"), "buckets").df
+    sizes = Staged(rows.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "buckets").df
     small = candidate_pairs(rows.join(sizes.where(F.col("n") <= most), ["band", "key"], "left_semi"))
     large = sizes.where(F.col("n") > most)
     if large.isEmpty():
         return verify(small, sets, threshold).select("a", "b")
-    held = Staged(rows.join(large, ["band", "key"]).select("band", "key", "id", "low"), "large-buckets").df
-    stars = held.where("id > low").select(F.col("low").alias("a"), F.col("id").alias("b"))
-    first = Staged(verify(small.union(stars).distinct(), sets, threshold).select("a", "b"), "first-links").df
-    named = held.join(components(first), F.col("id") == F.col("node"), "left").select("band", "key", "id", F.coalesce("component", "id").alias("c"))
-    named = Staged(named, "named-rows").df
-    several = Staged(named.groupBy("band", "key").agg(F.min("c").alias("x"), F.max("c").alias("y")).where("x <> y").select("band", "key"), "split-buckets").df
-    if several.isEmpty():
-        return first
+    held = Staged(rows.join(large, ["band", "key"], "left_semi"), "large-buckets").df
     hset = F.col("hset") if "hset" in sets.columns else hash_set()
-    open_ = Staged(named.join(several, ["band", "key"], "left_semi").join(sets.select("id", hset.alias("hset")), "id"), "open-rows").df
-    return first.union(verify(prefix_candidates(open_, threshold, ("band", "key"), "c"), sets, threshold).select("a", "b"))
+    coded = sets.select("id", hset.alias("hset")).join(held.select("id").distinct(), "id", "left_semi")
+    own = Staged(_own_members(coded), "own-members").df
+    placed = Staged(held.join(own.select("id", "own"), "id").select("band", "key", "id", "own"), "placed-rows").df
+    first = Staged(verify(small.union(_stars(placed)).distinct(), sets, threshold).select("a", "b"), "first-links").df
+    apart = _apart(placed, first)
+    if apart is None:
+        return first
+    second = Staged(verify(_stars(apart.where("minor")).distinct(), sets, threshold).select("a", "b"), "second-links").df
+    both = first.union(second)
+    apart = _apart(placed, both)
+    if apart is None:
+        return both
+    open_ = Staged(coded.join(apart.groupBy("id").agg(F.max("c").alias("c"), F.max("minor").alias("minor")), "id"), "open-rows").df
+    return both.union(verify(prefix_candidates(open_, threshold, "c", "minor"), sets, threshold).select("a", "b"))
+
+
+def _own_members(coded: DataFrame) -> DataFrame:
+    """(id, own): how many members of each row no other row has."""
+    each = coded.select("id", F.explode("hset").alias("word"))
+    alone = each.groupBy("word").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("df")).where("df = 1")
+    return coded.select("id").join(alone.groupBy("id").agg(F.count(F.lit(1)).alias("own")), "id", "left").fillna(0, ["own"])
+
+
+def _stars(placed: DataFrame) -> DataFrame:
+    """(a, b): the rows of each bucket with its most central one."""
+    centres = Staged(placed.groupBy("band", "key").agg(F.min(F.struct("own", "id")).alias("x")).select("band", "key", F.col("x.id").alias("centre")), "centres").df
+    met = placed.join(centres, ["band", "key"]).where("id <> centre")
+    return met.select(F.least("id", "centre").alias("a"), F.greatest("id", "centre").alias("b"))
+
+
+def _apart(placed: DataFrame, links: DataFrame) -> DataFrame | None:
+    """The rows of buckets that hold several components, with their component ``c`` and whether it is a
+    ``minor`` one of the bucket; None if there are no such buckets."""
+    named = placed.join(components(links), F.col("id") == F.col("node"), "left").select("band", "key", "id", "own", F.coalesce("component", "id").alias("c"))
+    named = Staged(named, "named-rows").df
+    parts = named.groupBy("band", "key", "c").agg(F.count(F.lit(1)).alias("m"))
+    several = Staged(parts.groupBy("band", "key").agg(F.count(F.lit(1)).alias("k"), F.max_by("c", F.struct("m", "c")).alias("main")).where("k > 1").select("band", "key", "main"), "split-buckets").df
+    return None if several.isEmpty() else named.join(several, ["band", "key"]).withColumn("minor", F.col("c") != F.col("main"))
 
 
 def verify(pairs: DataFrame, sets: DataFrame, threshold: float = 0.6, mode: str = "exact") -> DataFrame:
@@ -215,37 +246,49 @@ def greedy_cover(edges: DataFrame) -> DataFrame:
     return reduce(DataFrame.union, dropped) if dropped else spark.createDataFrame([], edges.select(F.col("b").alias("keep"), F.col("a").alias("by")).schema)
 
 
-def prefix_candidates(rows: DataFrame, threshold: float, by: tuple[str, ...] = (), apart: str | None = None) -> DataFrame:
-    """(a, b), a < b: every pair that may reach the threshold; rows: (by ..., id, hset), one per group and id.
+def prefix_candidates(rows: DataFrame, threshold: float, apart: str | None = None, minor: str | None = None) -> DataFrame:
+    """(a, b), a < b: every pair that may reach the threshold; rows: (id, hset).
 
     Members are ranked from rare to common. Two sets that similar share a member among the first
     n - ceil(t n) + 1 of each, and their sizes differ by a factor of 1 / t at most. So a set meets only sets
-    of its own size class and of the next one (classes grow by 1 / t), by member and class. What both
-    prefixes share, and how much lies behind the last member they share, bounds the overlap of a pair;
-    only pairs that may reach what they need are returned. by: pairs stay within a group. apart: rows of
-    one value of this column do not pair.
+    of its own size class and of the next one (classes grow by 1 / t), by member and class. Members that one
+    row alone has come first and meet nothing; a row of too many has no other member in its prefix. What both
+    prefixes share, and how much lies behind the last member they share, bounds the overlap of a pair; only
+    pairs that may reach what they need are returned. apart: rows of one value of this column do not pair.
+    minor: one row of a pair at least has this flag.
     """
-    keys = [*by, *([apart] if apart else [])]
+    keys = [c for c in (apart, minor) if c]
     words = rows.select(*keys, "id", F.size("hset").alias("n"), F.explode("hset").alias("word"))
     ranks = words.groupBy("word").agg(F.count(F.lit(1)).alias("df"))
     ranked = words.join(ranks, "word").groupBy(*keys, "id", "n").agg(F.sort_array(F.collect_list(F.struct("df", "word"))).alias("w"))
     length = (F.col("n") - F.ceil(F.col("n") * threshold - 1e-9) + 1).cast("int")
     level = F.floor(F.log("n") / math.log(1 / threshold) + 1e-9).cast("int") if threshold < 1 else F.col("n")
-    cut = ranked.select(*keys, "id", "n", level.alias("level"), F.posexplode(F.slice("w", 1, length)).alias("pos", "x"))
-    prefix = Staged(cut.select(*keys, "id", "n", "level", "pos", F.col("x.word").alias("word")), "prefixes").df
-    part = lambda c: [F.col(apart).alias(c)] if apart else []
-    x = prefix.select(*by, *part("ca"), "word", "level", F.col("id").alias("a"), F.col("n").alias("na"), F.col("pos").alias("pa"))
-    y = prefix.select(*by, *part("cb"), "word", F.explode(F.array("level", F.col("level") - 1)).alias("level"), F.col("level").alias("own"), F.col("id").alias("b"), F.col("n").alias("nb"), F.col("pos").alias("pb"))
-    fits = ((F.col("own") > F.col("level")) | (F.col("a") < F.col("b"))) & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
-    # With any member they share, what lies before and behind it in both must allow the overlap that is needed.
+    alone = F.size(F.filter("w", lambda x: x["df"] == 1))
+    cut = ranked.select(*keys, "id", "n", level.alias("level"), alone.alias("own"), F.posexplode(F.slice("w", 1, length)).alias("pos", "x")).where("x.df > 1")
+    prefix = Staged(cut.select(*keys, "id", "n", "level", "own", "pos", F.col("x.word").alias("word")), "prefixes").df
+
+    def side(df: DataFrame, level_: Column, tag: str) -> DataFrame:
+        named = [F.col(c).alias(f"{what}{tag}") for c, what in ((apart, "c"), (minor, "m")) if c]
+        return df.select("word", level_.alias("level"), F.col("level").alias(f"l{tag}"), F.col("id").alias(tag), F.col("n").alias(f"n{tag}"), F.col("own").alias(f"o{tag}"), F.col("pos").alias(f"p{tag}"), *named)
+
+    near = F.explode(F.array(F.col("level") - 1, F.col("level"), F.col("level") + 1))
+    upper = F.explode(F.array(F.col("level") - 1, F.col("level")))
+    once = (F.col("lb") > F.col("la")) | (F.col("a") < F.col("b"))
+    if minor:  # rows of the flag on one side, all on the other
+        x, y = side(prefix.where(F.col(minor)), F.col("level"), "a"), side(prefix, near, "b")
+        once = (F.col("a") < F.col("b")) | ~F.col("mb")
+    else:
+        x, y = side(prefix, F.col("level"), "a"), side(prefix, upper, "b")
     needed = (F.col("na") + F.col("nb")) * (threshold / (1 + threshold)) - 1e-9
-    fits = fits & (F.least("pa", "pb") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) >= needed)
+    behind = F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb"))
+    fits = once & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
+    # With any member they share, what lies before and behind it in both must allow the overlap that is needed.
+    fits = fits & (F.least(F.col("pa") - F.col("oa"), F.col("pb") - F.col("ob")) + behind >= needed)
     if apart:
         fits = fits & (F.col("ca") != F.col("cb"))
-    met = x.join(y, [*by, "word", "level"]).where(fits).groupBy(*by, "a", "b").agg(F.count(F.lit(1)).alias("shared"), F.max("pa").alias("pa"), F.max("pb").alias("pb"), F.first("na").alias("na"), F.first("nb").alias("nb"))
-    may = met.where(F.col("shared") + F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb")) - 1 >= needed)
-    out = may.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    return out.distinct() if by else out
+    met = x.join(y, ["word", "level"]).where(fits).groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared"), F.max("pa").alias("pa"), F.max("pb").alias("pb"), F.first("na").alias("na"), F.first("nb").alias("nb"))
+    may = met.where(F.col("shared") + behind - 1 >= needed)
+    return may.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
 def exact_similarity_join(sets: DataFrame, threshold: float = 0.6) -> DataFrame:
