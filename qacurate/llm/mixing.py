@@ -124,7 +124,8 @@ def mix(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: flo
 
 
 def _mixed(docs: DataFrame, weights: Mapping[str, float] | None, temper: float, block: int, period: int | None, whole: bool = False) -> tuple[DataFrame, int]:
-    """What ``mix`` returns, and the number of its slots. whole: with the rows themselves as the struct ``row``."""
+    """What ``mix`` returns, and the number of places of its blocks. whole: with each block's place among those that
+    exist, ``place_no``, and the rows themselves as the struct ``row``."""
     spark = docs.sparkSession
     carried = [F.struct(*docs.columns).alias("row")] if whole else []
     ties = [F.xxhash64("row.text")] if whole and "text" in docs.columns else []
@@ -163,7 +164,7 @@ def _mixed(docs: DataFrame, weights: Mapping[str, float] | None, temper: float,
         "release_slot",
         "deadline_slot",
         (F.col("slot") < upto).alias("on_target"),
-        *["row"] * whole,
+        *["place_no", "row"] * whole,
     )
     return out, size
 
@@ -172,9 +173,8 @@ def _slots(spark: SparkSession, target: Mapping[str, float], blocks: Mapping[str
     names, table = exact_schedule(target, blocks)
     keys = pa.DictionaryArray.from_arrays(pa.array(table[:, 0]), pa.array(names, pa.string())).cast(pa.string())
     columns = dict(zip(("block_no", "slot", "release_slot", "deadline_slot"), (pa.array(c) for c in table[:, 1:].T), strict=True))
-    slots = spark.createDataFrame(pa.table({"name": keys, **columns}))
-    size = int(table[:, 2].max(initial=-1)) + 1
-    return F.broadcast(slots) if len(table) <= BROADCAST_BLOCKS else slots, target_slots(target, blocks), size
+    slots = spark.createDataFrame(pa.table({"name": keys, **columns, "place_no": pa.array(np.arange(len(table)))}))
+    return F.broadcast(slots) if len(table) <= BROADCAST_BLOCKS else slots, target_slots(target, blocks), len(table)
 
 
 def _repeated(dealt: DataFrame, target: Mapping[str, float], blocks: Mapping[str, int], period: int) -> tuple[DataFrame, int, int]:
@@ -185,15 +185,16 @@ def _repeated(dealt: DataFrame, target: Mapping[str, float], blocks: Mapping[str
     own = F.broadcast(spark.createDataFrame(list(shares.items()), "name string, own int"))
     met = dealt.join(own, "name").withColumns({"turn": F.expr("block_no % own"), "from": F.expr(f"block_no div own * {period}")})
     placed = met.join(slots.drop("own"), ["name", "turn"]).withColumns({b: F.col("from") + F.col(a) for a, b in (("slot0", "slot"), ("release0", "release_slot"), ("deadline0", "deadline_slot"))})
+    placed = placed.withColumn("place_no", F.col("slot"))
     periods = max((-(-n // shares[s]) for s, n in blocks.items()), default=0)
     return placed, target_slots(shares, blocks), periods * period
 
 
 def interleave(docs: DataFrame, weights: Mapping[str, float] | None = None, temper: float = 0.5, block: int = 64, period: int | None = None) -> DataFrame:
-    """The input in mixed order: partition k holds the k-th run of slots, sorted, so that files in the order
-    of their names are the schedule. Options and edge cases are those of ``mix``; every row stays, once.
+    """The input in mixed order: partition k holds the k-th run of blocks, sorted, so that files in the order
+    of their names are the schedule and as large as each other. Options and edge cases are those of ``mix``; every row stays, once.
     """
     placed, size = _mixed(docs, weights, temper, block, period, whole=True)
     n = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    part = F.floor(F.col("slot") * n / F.lit(max(size, 1))).cast("int")
-    return placed.select("slot", "in_block", "row").repartitionById(n, part).sortWithinPartitions("slot", "in_block").select("row.*")
+    part = F.floor(F.col("place_no") * n / F.lit(max(size, 1))).cast("int")
+    return placed.select("place_no", "slot", "in_block", "row").repartitionById(n, part).sortWithinPartitions("slot", "in_block").select("row.*")
