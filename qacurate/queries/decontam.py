@@ -168,18 +168,21 @@ def decontaminate_cascade(spark, d):
     return D.decontaminate(questions(spark, d), items(spark, d), cascade=True).select("doc_id", "rank")
 
 
-def _gram_sql(n: int) -> str:
+def _gram_sql(n: int, keep: str = "select distinct id from q join b using (g)") -> str:
     gram = f"case when len(w) = 0 then [] else list_distinct(list_transform(range(0, greatest(len(w) - {n - 1}, 1)), lambda i: array_to_string(list_slice(w, i + 1, i + {n}), ' '))) end"
     return f"""with b as (select distinct unnest({gram}) as g from (select {words_sql('text')} as w from benchmark)),
 q as (select doc_id as id, unnest({gram}) as g from (select doc_id, {words_sql('text')} as w from documents))
-select distinct id from q join b using (g)"""
+{keep}"""
 
 
 for _n in (5, 8, 13):
     query(f"decontam_ngram_{_n}", _gram_sql(_n))(lambda spark, d, n=_n: ngram_decontaminate(docs(spark, d).select(F.col("doc_id").alias("id"), "text"), read(spark, d, "benchmark"), n))
 
 
-@query("decontam_ngram_share")
+_SHARE = "select id from (select id, count(*) as n, count(b.g) as hit from q left join b on q.g = b.g group by id) where hit > 0 and hit >= 0.1::double * n"
+
+
+@query("decontam_ngram_share", _gram_sql(5, _SHARE))
 def decontam_ngram_share(spark, d):
     return ngram_decontaminate(docs(spark, d).select(F.col("doc_id").alias("id"), "text"), read(spark, d, "benchmark"), 5, 0.1)
 

@@ -13,9 +13,11 @@ from qacurate.plans.recipe import Recipe, ablation, funnel, run_mixture, run_tex
 from qacurate.queries import curate
 from qacurate.queries.common import RECIPE_DOCS_SQL, dedup_sql, docs, leaks_sql, recipe_books, spaced_sql, with_sql, words_sql
 from qacurate.queries.decontam import items, questions
-from qacurate.registry import query, read
+from qacurate.registry import REGISTRY, query
 from qacurate.staging import stage
 
+D_SQL = REGISTRY.oracles  # of the leak queries, which the import above has registered
+
 
 def _inputs(spark, d):
     books = stage(recipe_books(spark, d), "recipe-books")
@@ -133,7 +135,10 @@ def decontam_before_after(spark, d):
     )
 
 
-@query("leak_detectors")
+_DETECTORS = {"judge": D_SQL["decontaminate"], "embedding": D_SQL["decontam_embedding"], **{f"ngram_{n}": f"select id as doc_id from ({D_SQL[f'decontam_ngram_{n}']})" for n in (5, 8, 13)}}
+
+
+@query("leak_detectors", " union all ".join(f"select '{name}' as detector, count(distinct doc_id) as n from ({sql})" for name, sql in _DETECTORS.items()))
 def leak_detectors(spark, d):
     """Leaked documents by detector: search with judge, n-grams, similarity alone."""
     q, m, t = questions(spark, d), items(spark, d), docs(spark, d)
