@@ -282,7 +282,9 @@ def prefix_candidates(rows: DataFrame, threshold: float, apart: str | None = Non
     needed = (F.col("na") + F.col("nb")) * (threshold / (1 + threshold)) - 1e-9
     behind = F.least(F.col("na") - F.col("pa"), F.col("nb") - F.col("pb"))
     fits = once & (F.least("na", "nb") >= F.greatest("na", "nb") * threshold - 1e-9)
-    # With any member they share, what lies before and behind it in both must allow the overlap that is needed.
+    # Two sets of that overlap share a member among the first n - needed + 1 of each; and with any member they share,
+    # what lies before and behind it in both must allow the overlap.
+    fits = fits & (F.col("pa") <= F.col("na") - needed) & (F.col("pb") <= F.col("nb") - needed)
     fits = fits & (F.least(F.col("pa") - F.col("oa"), F.col("pb") - F.col("ob")) + behind >= needed)
     if apart:
         fits = fits & (F.col("ca") != F.col("cb"))
