@@ -20,23 +20,24 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from qacurate.llm.simhash_cover import links, majority
-from qacurate.llm.text import WordHashes, docs_of, mix, per_process, slices, texts, window_hashes
+from qacurate.llm.text import WordHashes, docs_of, mix, slices, texts, window_hashes
 from qacurate.operators.graph import components
 from qacurate.operators.minhash import linking_edges, verify
 from qacurate.staging import Staged, bound_batches
 
 BANDS, ROWS, BASE = 32, 4, 0x9E3779B97F4A7C15
+MOST_WORDS = 50_000  # whose hashes a task holds; a Python worker keeps none between tasks
 _RNG = np.random.default_rng(20)
 _TIMES = _RNG.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64) | np.uint64(1)
 _PLUS = _RNG.integers(0, 1 << 64, (BANDS * ROWS, 1), np.uint64)
 
 
-def shingles(words: list[bytes], width: int = 5) -> np.ndarray:
-    """Hashes of the runs of ``width`` words, repeats included; fewer words are one run."""
+def shingles(words: list[bytes], width: int = 5, known: WordHashes | None = None) -> np.ndarray:
+    """Hashes of the runs of ``width`` words, repeats included; fewer words are one run. known: hashes met before."""
     if not words:
         return np.empty(0, np.uint64)
-    hashes = per_process("near-jaccard-words", WordHashes).of(words)
-    return window_hashes(hashes, min(width, len(words)), BASE)
+    known = WordHashes() if known is None else known
+    return window_hashes(known.of(words), min(width, len(words)), BASE)
 
 
 def band_keys(shingles: np.ndarray) -> np.ndarray:
@@ -53,24 +54,28 @@ def _signed(docs: DataFrame, width: int) -> DataFrame:
     """(id, same, fp, keys): digest of the words, fingerprint and band keys of every row with an id."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = WordHashes(most=MOST_WORDS)
         for batch in slices(batches):
             split = [t.lower().split() for t in texts(batch.column("text"))]
             same = [xxhash.xxh3_128_digest(b" ".join(w)) for w in split]
             prints, keys = np.zeros(len(split), np.uint64), []
             for k, w in enumerate(split):
-                runs = shingles(w, width)
+                runs = shingles(w, width, known)
                 prints[k] = majority(runs)
                 keys.append(band_keys(np.unique(runs)).view(np.int64) if w else [])
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(same, pa.binary()), pa.array(prints.view(np.int64)), pa.array(keys, pa.list_(pa.int64()))], names=["id", "same", "fp", "keys"])
+        pa.default_memory_pool().release_unused()
 
     return docs_of(docs, "doc_id", "text").where("doc_id is not null").mapInArrow(run, "id long, same binary, fp long, keys array<long>")
 
 
 def _sets(docs: DataFrame, width: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        known = WordHashes(most=MOST_WORDS)
         for batch in slices(batches):
-            sets = [np.unique(shingles(t.lower().split(), width)).view(np.int64) for t in texts(batch.column("text"))]
+            sets = [np.unique(shingles(t.lower().split(), width, known)).view(np.int64) for t in texts(batch.column("text"))]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(sets, pa.list_(pa.int64()))], names=["id", "hset"])
+        pa.default_memory_pool().release_unused()
 
     return docs.mapInArrow(run, "id long, hset array<long>")
 
