@@ -62,10 +62,14 @@ def minhash(df: DataFrame, sets: str = "set", num_perm: int = 128, seed: int = 7
                 flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.uint64)
                 low = np.full((part.num_rows, num_perm), PRIME, np.uint64)
                 row = np.repeat(np.arange(part.num_rows), np.diff(ends, prepend=0))
-                for k in range(0, len(flat), 8192):  # the matrix of one step is bounded, whatever the sets' sizes
-                    mine = row[k : k + 8192]
+                for k in range(0, len(flat), 1024):  # the matrix of one step is bounded, whatever the sets' sizes
+                    mine = row[k : k + 1024]
                     starts = np.flatnonzero(np.diff(mine, prepend=-1))
-                    least = np.minimum.reduceat((a * flat[k : k + 8192] + b) % prime, starts, axis=1).T
+                    value = a * flat[k : k + 1024] + b
+                    for _ in range(2):  # 2^31 counts as 1; what is left is PRIME at most, which counts as 0
+                        value = (value & prime) + (value >> np.uint64(31))
+                    value[value == prime] = 0
+                    least = np.minimum.reduceat(value, starts, axis=1).T
                     low[mine[starts]] = np.minimum(low[mine[starts]], least)
                 filled = np.flatnonzero(np.diff(ends, prepend=0) > 0)
                 sizes = np.zeros(part.num_rows + 1, np.int32)
@@ -93,6 +97,107 @@ def candidate_pairs(banded: DataFrame) -> DataFrame:
     return x.join(y, ["band", "key"]).where("a < b").select("a", "b").distinct()
 
 
+def sketches(sets: DataFrame) -> DataFrame:
+    """(id, n, bits): size of ``hset`` and the parity of its members' counts by the low bits of their hashes, about 2 n bits.
+
+    Each place where two parities differ takes a member that one of the sets lacks. Halves of a sketch, combined by
+    exclusive or, are the sketch of half the width.
+    """
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            column = batch.column("hset")
+            n = np.diff(column.offsets.to_numpy())
+            flat = column.flatten().to_numpy(zero_copy_only=False).astype(np.uint64)
+            ends = np.cumsum(n)
+            bits = []
+            for size_, end in zip(n.tolist(), ends.tolist(), strict=True):
+                width = min(max(64, 1 << (2 * size_ - 1).bit_length()), 1 << 16) if size_ else 64
+                places = np.bincount((flat[end - size_ : end] & np.uint64(width - 1)).astype(np.int64), minlength=width)
+                bits.append(np.packbits((places & 1).astype(np.uint8), bitorder="little").tobytes())
+            yield pa.RecordBatch.from_arrays([batch.column("id"), pa.array(n.astype(np.int32)), pa.array(bits, pa.binary())], names=["id", "n", "bits"])
+
+    kept = sets.select("id", F.coalesce("hset", F.array().cast("array<bigint>")).alias("hset"))
+    return kept.mapInArrow(run, T.StructType([kept.schema["id"], T.StructField("n", T.IntegerType()), T.StructField("bits", T.BinaryType())]))
+
+
+def _may_reach(n: np.ndarray, bits: list[bytes], left: np.ndarray, right: np.ndarray | None, threshold: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Places (i, j) of the pairs whose sizes and sketches allow the threshold; right None: pairs within left."""
+    inner = right is None
+    right = left if inner else right
+    width = np.array([len(x) for x in bits])
+    share = threshold / (1 + threshold)
+    for w in np.unique(width):
+        for x, y in ((left[width[left] == w], right[width[right] >= w]), (left[width[left] > w], right[width[right] == w])):
+            if not len(x) or not len(y) or inner and width[x[0]] > w:  # inner: the first form has met these pairs
+                continue
+            p, q = (np.stack([_folded(bits[k], w) for k in z]) for z in (x, y))
+            step = max(1, (1 << 20) // (len(y) * p.shape[1]))
+            for at in range(0, len(x), step):
+                i, j = x[at : at + step, None], y[None, :]
+                both = n[i] + n[j]
+                differ = np.bitwise_count(p[at : at + step, None, :] ^ q[None, :, :]).sum(axis=2, dtype=np.int64)
+                fits = (np.minimum(n[i], n[j]) >= np.maximum(n[i], n[j]) * threshold - 1e-9) & ((both - differ) / 2 >= both * share - 1e-9)
+                if inner:
+                    fits &= (width[j] > w) | (i < j)
+                a, b = np.nonzero(fits)
+                yield x[at + a], y[b]
+
+
+def _folded(bits: bytes, width: int) -> np.ndarray:
+    return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, width // 8), axis=0)
+
+
+def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: int = 512) -> DataFrame:
+    """(a, b): the candidate pairs that may reach the threshold by sizes and sketches; none that reaches it is lost.
+
+    Rows meet in tiles of a bucket, so that a large bucket is dealt to many tasks; sets stay behind.
+    """
+    rows = Staged(banded.select("id", F.xxhash64("band", "key").alias("g")), "band-rows").df
+    sizes = rows.groupBy("g").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+    met = Staged(rows.join(sizes, "g"), "bucket-rows").df
+    k = F.ceil(F.col("m") / tile)
+    lone = met.where(F.col("m") <= tile).select("id", "g", F.lit(0).alias("side"))
+    mine = met.where(F.col("m") > tile).withColumn("t", F.pmod(F.xxhash64("id"), k)).select("id", "g", "t", F.explode(F.sequence(F.lit(0).cast("long"), k - 1)).alias("u"))
+    side = F.when(F.col("t") == F.col("u"), 0).when(F.col("t") < F.col("u"), 1).otherwise(2)
+    dealt = mine.select("id", F.xxhash64("g", F.least("t", "u"), F.greatest("t", "u")).alias("g"), side.alias("side"))
+    placed = lone.union(dealt).join(Staged(sketches(sets), "sketches").df, "id").repartition("g").sortWithinPartitions("g")
+
+    def pairs(group: pa.Table) -> Iterator[pa.RecordBatch]:
+        ids = group.column("id").combine_chunks()
+        n, sides, bits = group.column("n").to_numpy().astype(np.int64), group.column("side").to_numpy(), group.column("bits").to_pylist()
+        for left, right in ((0, None), (1, 2)):
+            x, y = np.flatnonzero(sides == left), None if right is None else np.flatnonzero(sides == right)
+            if len(x) > (right is None) and (y is None or len(y)):
+                for i, j in _may_reach(n, bits, x, y, threshold):
+                    if len(i):
+                        yield pa.RecordBatch.from_arrays([ids.take(pa.array(i)), ids.take(pa.array(j))], names=["a", "b"])
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held: list[pa.Table] = []
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            table = pa.Table.from_batches([batch])
+            g = batch.column("g").to_numpy()
+            cuts = [0, *(np.flatnonzero(np.diff(g)) + 1).tolist(), len(g)]
+            for at, end in zip(cuts, cuts[1:], strict=False):
+                part = table.slice(at, end - at)
+                if held and at == 0 and held[0].column("g")[0].as_py() != int(g[0]):
+                    yield from pairs(pa.concat_tables(held))
+                    held = []
+                held.append(part)
+                if end < len(g):
+                    yield from pairs(pa.concat_tables(held))
+                    held = []
+        if held:
+            yield from pairs(pa.concat_tables(held))
+
+    kind = sets.schema["id"].dataType
+    found = placed.mapInArrow(run, T.StructType([T.StructField("a", kind), T.StructField("b", kind)]))
+    return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
+
+
 def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, most: int = 64) -> DataFrame:
     """(a, b): verified pairs with the same connected components as all verified candidate pairs.
 
@@ -104,12 +209,12 @@ def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, mo
     """
     rows = Staged(banded, "bands").df
     sizes = Staged(rows.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "buckets").df
-    small = candidate_pairs(rows.join(sizes.where(F.col("n") <= most), ["band", "key"], "left_semi"))
+    hset = F.col("hset") if "hset" in sets.columns else hash_set()
+    small = sketched_pairs(rows.join(sizes.where(F.col("n") <= most), ["band", "key"], "left_semi"), sets.select("id", hset.alias("hset")), threshold)
     large = sizes.where(F.col("n") > most)
     if large.isEmpty():
         return verify(small, sets, threshold).select("a", "b")
     held = Staged(rows.join(large, ["band", "key"], "left_semi"), "large-buckets").df
-    hset = F.col("hset") if "hset" in sets.columns else hash_set()
     coded = sets.select("id", hset.alias("hset")).join(held.select("id").distinct(), "id", "left_semi")
     own = Staged(_own_members(coded), "own-members").df
     placed = Staged(held.join(own.select("id", "own"), "id").select("band", "key", "id", "own"), "placed-rows").df
@@ -198,7 +303,7 @@ def prepared(df: DataFrame, id_: str, text: str, n: int = 1, scope: list[str] |
 def similar_edges(df: DataFrame, id_: str, text: str, threshold: float = 0.6, n: int = 1, bands: int = 32, rows: int = 4, scope: list[str] | None = None) -> tuple[DataFrame, DataFrame]:
     """(copies, edges): edges (a, b, similarity) between texts that differ."""
     copies, sets = prepared(df, id_, text, n, scope)
-    found = verify(candidate_pairs(lsh_bands(sets, bands, rows, scope)), sets, threshold)
+    found = verify(sketched_pairs(lsh_bands(sets, bands, rows, scope), sets, threshold), sets, threshold)
     return copies, Staged(found, "similar").df
 
 

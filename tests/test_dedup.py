@@ -128,3 +128,21 @@ def test_signatures_do_not_depend_on_batches(spark):
             continue
         codes = [(int(hashlib.md5(w.encode()).hexdigest()[:8], 16) & M.PRIME) % M.PRIME for w in words]
         assert got[i] == [min((a * x + b) % M.PRIME for x in codes) for a, b in pairs]
+
+
+def test_sketches_drop_what_cannot_reach_the_threshold_only(spark):
+    """A bucket of sets of 1 to 900 members, in one tile and in many: no pair at the threshold is lost, few others are left."""
+    rng = random.Random(5)
+    rows = [(0, [])]
+    for g in range(12):
+        base = [rng.randrange(-(1 << 62), 1 << 62) for _ in range((1, 2, 5, 30, 200, 900)[g % 6])]
+        for k in range(8):
+            rows.append((len(rows), [x if rng.random() > 0.04 * k else rng.randrange(1 << 62) for x in base]))
+    sets = spark.createDataFrame(rows, "id long, hset array<long>")
+    banded = sets.select("id", F.lit(0).alias("band"), F.lit("k").alias("key"))
+    for threshold in (0.3, 0.6, 0.8):
+        want = {(a, b) for (a, x), (b, y) in itertools.combinations(rows[1:], 2) if len({*x} & {*y}) >= threshold * len({*x} | {*y})}
+        for tile in (10, 512):
+            got = {(r.a, r.b) for r in M.sketched_pairs(banded, sets, threshold, tile).collect()}
+            assert want <= got
+            assert threshold < 0.6 or len(got) < 2 * len(want) + 50 < len(rows) ** 2 / 4
