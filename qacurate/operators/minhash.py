@@ -22,6 +22,7 @@ from qacurate.operators.graph import components
 from qacurate.staging import Staged
 
 PRIME = (1 << 31) - 1
+SKETCH_BYTES = 32 << 20  # that go to each executor at once
 
 
 def coefficients(num_perm: int = 128, seed: int = 7) -> list[tuple[int, int]]:
@@ -398,13 +399,81 @@ def prefix_candidates(rows: DataFrame, threshold: float, apart: str | None = Non
     return may.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
 
 
+def scanned_pairs(sets: DataFrame, threshold: float) -> DataFrame:
+    """(a, b), a < b: every pair that may reach the threshold by sizes and sketches; sets: (id, hset).
+
+    Sketches, about 2 bits a member, go to every executor, ``SKETCH_BYTES`` of them at once in order of size; a row
+    meets those of its own size up to 1 / threshold of it. No row is made for a pair that sketches rule out,
+    however frequent a member is, and no bucket is formed. The comparisons grow with the square of the rows.
+    """
+    rows = Staged(sketches(sets).where("n > 0"), "sketches").df
+    total = rows.agg(F.count(F.lit(1)), F.sum(F.length("bits") + 16)).first()
+    chunks = max(1, -(-(total[1] or 0) // SKETCH_BYTES))
+    dealt = rows.repartition(max(1, -(-total[0] // 4096)))
+    found = [_met_sketches(rows.where(F.pmod(F.xxhash64("id"), F.lit(chunks)) == c) if chunks > 1 else rows, dealt, threshold) for c in range(chunks)]
+    return reduce(DataFrame.union, found)
+
+
+def _met_sketches(held: DataFrame, dealt: DataFrame, threshold: float) -> DataFrame:
+    kind = dealt.schema["id"].dataType
+    table = held.orderBy("n", "id").toArrow().combine_chunks()
+    shared = dealt.sparkSession.sparkContext.broadcast(table.to_batches())
+    slack = (1 - threshold) / (1 + threshold)  # of both sizes, at most, lies outside the overlap
+
+    def folded(bits: pa.Array, width: int) -> np.ndarray:
+        return np.ascontiguousarray(np.stack([_folded(x, width) for x in bits.to_pylist()]).T)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        large = pa.Table.from_batches(shared.value, table_schema)
+        big, ids = large.column("n").to_numpy().astype(np.int64), large.column("id").combine_chunks()
+        bits = large.column("bits").combine_chunks()
+        widths, matrices = np.array([len(x) for x in bits.to_pylist()], np.int64), {}
+
+        def of(width: int) -> tuple[int, np.ndarray]:
+            """The first row as wide (rows are in order of size, and so of width), and the sketches from there on."""
+            if width not in matrices:
+                first = int(np.searchsorted(widths, width))
+                matrices[width] = (first, folded(bits.slice(first), width) if first < len(widths) else np.empty((width // 8, 0), np.uint64))
+            return matrices[width]
+
+        for batch in batches:
+            if not len(big) or not batch.num_rows:
+                continue
+            part = pa.Table.from_batches([batch]).sort_by([("n", "ascending")]).combine_chunks()
+            n, mine, own = part.column("n").to_numpy().astype(np.int64), part.column("id").combine_chunks(), part.column("bits").combine_chunks()
+            width = np.array([len(x) for x in own.to_pylist()], np.int64)
+            cuts = [0, *(np.flatnonzero(np.diff(width)) + 1).tolist(), len(n)]
+            for start, end in zip(cuts, cuts[1:], strict=False):
+                w = int(width[start])
+                first, q = of(w)
+                for at in range(start, end, 64):
+                    stop = min(at + 64, end)
+                    p = folded(own.slice(at, stop - at), w)
+                    low, high = np.searchsorted(big, n[at]), np.searchsorted(big, n[stop - 1] / threshold + 1e-6, side="right")
+                    for j in range(max(int(low), first), int(high), 4096):
+                        upto = min(j + 4096, int(high))
+                        differ = np.zeros((stop - at, upto - j), np.uint16 if w < 8000 else np.uint32)
+                        for k in range(w // 8):
+                            differ += np.bitwise_count(p[k][:, None] ^ q[k, j - first : upto - first][None, :])
+                        both = n[at:stop, None] + big[None, j:upto]
+                        fits = (differ <= both * slack + 1e-6) & (n[at:stop, None] <= big[None, j:upto]) & (n[at:stop, None] >= big[None, j:upto] * threshold - 1e-6)
+                        x, y = np.nonzero(fits)
+                        if len(x):
+                            yield pa.RecordBatch.from_arrays([mine.take(pa.array(x + at)), ids.take(pa.array(y + j)), pa.array((n[x + at] == big[y + j]).astype(bool))], names=["a", "b", "even"])
+
+    table_schema = table.schema
+    met = dealt.mapInArrow(run, T.StructType([T.StructField("a", kind), T.StructField("b", kind), T.StructField("even", T.BooleanType())]))
+    # Rows of one size meet from both sides.
+    return met.where((F.col("a") < F.col("b")) | ((F.col("a") > F.col("b")) & ~F.col("even"))).select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
+
+
 def exact_similarity_join(sets: DataFrame, threshold: float = 0.6) -> DataFrame:
     """(a, b, similarity) of all pairs with a Jaccard of the threshold or more; sets: (id, set).
 
     Words count as their 64-bit hashes.
     """
     coded = Staged(sets.select("id", hash_set().alias("hset")), "coded-sets").df
-    return verify(prefix_candidates(coded, threshold), coded, threshold)
+    return verify(Staged(scanned_pairs(coded, threshold), "scanned-pairs").df, coded, threshold)
 
 
 def jaccard_bruteforce(sets: DataFrame, threshold: float = 0.6, most: int = 3000) -> DataFrame:
@@ -416,13 +485,22 @@ def jaccard_bruteforce(sets: DataFrame, threshold: float = 0.6, most: int = 3000
 
 
 def ml_minhash(sets: DataFrame, threshold: float = 0.6, tables: int = 64) -> DataFrame:
-    """(a, b, similarity) by the ML library's MinHash join, which works with distances."""
+    """(a, b, similarity) by the ML library's features and MinHash: pairs with an equal hash in some table.
+
+    The rows are those of the library's own join, which makes a row for each pair and table that agree, so for nearly
+    all pairs of texts. Here pairs that can be near enough are found first, and the model's hashes are asked for those.
+    """
     from pyspark.ml.feature import HashingTF, MinHashLSH
 
     vectors = HashingTF(inputCol="set", outputCol="features", numFeatures=1 << 18, binary=True).transform(sets.where(F.size("set") > 0))
     model = MinHashLSH(inputCol="features", outputCol="hashes", numHashTables=tables, seed=7).fit(vectors)
-    found = model.approxSimilarityJoin(vectors, vectors, 1 - threshold + 1e-9, "distance")
-    return found.select(F.col("datasetA.id").alias("a"), F.col("datasetB.id").alias("b"), (1 - F.col("distance")).alias("similarity")).where("a < b")
+    stored = lambda c, kind: F.from_json(F.to_json(F.struct(F.col(c).alias("x"))), f"x {kind}")["x"]  # noqa: E731  what a vector holds
+    hashed_ = model.transform(vectors.select("id", "features"))
+    rows = hashed_.select("id", stored("features", "struct<indices: array<bigint>>")["indices"].alias("hset"), F.transform(stored("hashes", "array<struct<values: array<double>>>"), lambda h: h["values"][0].cast("long")).alias("signature"))
+    coded = Staged(rows, "ml-features").df
+    near = Staged(verify(scanned_pairs(coded, threshold), coded, threshold), "ml-near").df
+    x, y = coded.select(F.col("id").alias("a"), F.col("signature").alias("sa")), coded.select(F.col("id").alias("b"), F.col("signature").alias("sb"))
+    return near.join(x, "a").join(y, "b").where(F.exists(F.zip_with("sa", "sb", lambda p, q: p == q), lambda e: e)).select("a", "b", "similarity")
 
 
 def dedup_quality(found: DataFrame, truth: DataFrame) -> DataFrame:
