@@ -152,24 +152,27 @@ def _folded(bits: bytes, width: int) -> np.ndarray:
 def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: int = 512) -> DataFrame:
     """(a, b): the candidate pairs that may reach the threshold by sizes and sketches; none that reaches it is lost.
 
-    Rows meet in tiles of a bucket, so that a large bucket is dealt to many tasks; sets stay behind.
+    Rows meet in tiles of a bucket, so that a large bucket is dealt to many tasks; sets stay behind. Rows that
+    ``banded`` marks as ``old`` do not meet each other.
     """
-    rows = Staged(banded.select("id", F.xxhash64("band", "key").alias("g")), "band-rows").df
+    old = F.col("old") if "old" in banded.columns else F.lit(False)
+    rows = Staged(banded.select("id", F.xxhash64("band", "key").alias("g"), old.alias("old")), "band-rows").df
     sizes = rows.groupBy("g").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
     met = Staged(rows.join(sizes, "g"), "bucket-rows").df
     k = F.ceil(F.col("m") / tile)
-    lone = met.where(F.col("m") <= tile).select("id", "g", F.lit(0).alias("side"))
-    mine = met.where(F.col("m") > tile).withColumn("t", F.pmod(F.xxhash64("id"), k)).select("id", "g", "t", F.explode(F.sequence(F.lit(0).cast("long"), k - 1)).alias("u"))
+    lone = met.where(F.col("m") <= tile).select("id", "g", "old", F.lit(0).alias("side"))
+    mine = met.where(F.col("m") > tile).withColumn("t", F.pmod(F.xxhash64("id"), k)).select("id", "g", "old", "t", F.explode(F.sequence(F.lit(0).cast("long"), k - 1)).alias("u"))
     side = F.when(F.col("t") == F.col("u"), 0).when(F.col("t") < F.col("u"), 1).otherwise(2)
-    dealt = mine.select("id", F.xxhash64("g", F.least("t", "u"), F.greatest("t", "u")).alias("g"), side.alias("side"))
+    dealt = mine.select("id", F.xxhash64("g", F.least("t", "u"), F.greatest("t", "u")).alias("g"), "old", side.alias("side"))
     placed = lone.union(dealt).join(Staged(sketches(sets), "sketches").df, "id").repartition("g").sortWithinPartitions("g")
 
     def pairs(group: pa.Table) -> Iterator[pa.RecordBatch]:
         ids = group.column("id").combine_chunks()
         n, sides, bits = group.column("n").to_numpy().astype(np.int64), group.column("side").to_numpy(), group.column("bits").to_pylist()
-        for left, right in ((0, None), (1, 2)):
-            x, y = np.flatnonzero(sides == left), None if right is None else np.flatnonzero(sides == right)
-            if len(x) > (right is None) and (y is None or len(y)):
+        fresh = ~group.column("old").to_numpy()
+        (lone, lone_old), (x1, o1), (x2, o2) = ((np.flatnonzero((sides == k) & fresh), np.flatnonzero((sides == k) & ~fresh)) for k in range(3))
+        for x, y in ((lone, None), (lone, lone_old), (x1, x2), (x1, o2), (o1, x2)):
+            if len(x) > (y is None) and (y is None or len(y)):
                 for i, j in _may_reach(n, bits, x, y, threshold):
                     if len(i):
                         yield pa.RecordBatch.from_arrays([ids.take(pa.array(i)), ids.take(pa.array(j))], names=["a", "b"])

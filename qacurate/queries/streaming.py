@@ -11,7 +11,7 @@ from qacurate.queries.common import docs
 from qacurate.queries.decontam import _ALL, _EVIDENCE
 from qacurate.queries.dedup import _BASE
 from qacurate.registry import query, read
-from qacurate.staging import fresh_path
+from qacurate.staging import fresh_path, released_shuffles, stage
 from qacurate.streaming import streams as S
 
 
@@ -95,9 +95,10 @@ def stream_minhash(spark, d):
     from qacurate.operators.minhash import exact_dedup
 
     t = docs(spark, d).select(F.col("doc_id").alias("id"), "text")
-    t = t.join(exact_dedup(t, "id", "text").where("id = keep").select("id"), "id", "left_semi")
+    t = t.join(stage(exact_dedup(t, "id", "text").where("id = keep").select("id"), "stream-ids"), "id", "left_semi")
     path = fresh_path(spark, "docs-in")
-    S.split_files(t, path, "id")
+    with released_shuffles(spark):
+        S.split_files(t, path, "id")
     return S.IncrementalDedup(spark).run(S.file_stream(spark, path, t.schema))
 
 
@@ -116,9 +117,9 @@ def stream_difficulty(spark, d):
     scores = curate._scores(spark, d).select("qid", "k", "score")
     short = F.conv(F.substring(F.md5(F.concat(F.lit("d:"), "qid")), 1, 2), 16, 10).cast("int") % 5 == 0
     begin = F.lit("2024-01-01 00:00:00").cast("timestamp")
-    timed = scores.where((F.col("k") <= 10) | ~short).withColumn("ts", F.timestamp_add("MINUTE", F.col("k"), begin))
+    timed = stage(scores.where((F.col("k") <= 10) | ~short).withColumn("ts", F.timestamp_add("MINUTE", F.col("k"), begin)), "scores-timed")
     path = fresh_path(spark, "scores-in")
     S.split_files(timed, path, "k")
     # A score that comes days later moves the watermark past the wait of all others; its own question stays open.
     spark.createDataFrame([("later", 99, 0)], "qid string, k int, score int").withColumn("ts", F.timestamp_add("DAY", F.lit(9), begin)).write.mode("append").parquet(path)
-    return S.run_once(S.mean_scores(S.file_stream(spark, path, timed.schema)), "append", "difficulty")
+    return S.IncrementalScores(spark).run(S.file_stream(spark, path, timed.schema))

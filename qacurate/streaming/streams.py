@@ -9,15 +9,14 @@ from __future__ import annotations
 import json
 
 import pandas as pd
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
-from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 from pyspark.sql.types import StructType
 
 from qacurate.functions.text import shingles
 from qacurate.operators import minhash as M
 from qacurate.operators.decontam import decontaminate
-from qacurate.staging import Staged, fresh_path
+from qacurate.staging import Staged, fresh_path, released_shuffles, remove
 
 WATERMARK = "10 minutes"
 
@@ -99,34 +98,64 @@ def join_streams(left: DataFrame, right: DataFrame, within: str = "1 hour") -> D
     return x.join(y, F.expr(f"u1 = u2 and t2 >= t1 and t2 <= t1 + interval {within}")).select(F.col("u1").alias("user_id"), "t1", "t2")
 
 
-def mean_scores(scores: DataFrame, full: int = 16, wait: str = "1 day") -> DataFrame:
+class IncrementalScores:
     """(qid, n, total): a question's scores, emitted once ``full`` have come, or by what has come when ``wait`` is over.
 
-    scores: (qid, score, ts). The wait is in event time, from a question's last score on. A finished question
+    Scores are (qid, score, ts). The wait is in event time, from a question's last score on. A finished question
     is remembered until then, so that further scores of it count for nothing, and is forgotten afterwards:
-    state does not outlive the wait.
+    state does not outlive the wait. Rows behind the watermark, that of the batches before, are left out. The
+    state is a table that each batch joins and writes anew, keyed by batch, so a repeated batch overwrites its own.
     """
-    span = int(pd.Timedelta(wait).total_seconds() * 1000)
-
-    def step(key: tuple, batches, state: GroupState):
-        n, total, last = state.get if state.exists else (0, 0, 0)
-        if state.hasTimedOut:
-            state.remove()
-            if n < full:
-                yield pd.DataFrame({"qid": [key[0]], "n": [n], "total": [total]})
-            return
-        before = n
-        for pdf in batches:
-            for s in pdf.score.to_numpy()[: full - n]:
-                n, total = n + 1, total + int(s)
-            last = max(last, int(pdf.ts.max().value // 1_000_000))
-        if before < n == full:
-            yield pd.DataFrame({"qid": [key[0]], "n": [n], "total": [total]})
-        state.update((n, total, last))
-        state.setTimeoutTimestamp(max(last + span, state.getCurrentWatermarkMs() + 1))
-
-    marked = scores.select("qid", "score", "ts").withWatermark("ts", WATERMARK)
-    return marked.groupBy("qid").applyInPandasWithState(step, "qid string, n long, total long", "n long, total long, last long", "append", GroupStateTimeout.EventTimeTimeout)
+
+    def __init__(self, spark: SparkSession, full: int = 16, wait: str = "1 day") -> None:
+        self.spark, self.full = spark, full
+        self.span, self.delay = (int(pd.Timedelta(x).total_seconds() * 1_000_000) for x in (wait, WATERMARK))
+        self.state, self.seen, self.out = (fresh_path(spark, x) for x in ("score-state", "score-seen", "score-out"))
+        self.batches = 0
+
+    def _mark(self, batch_id: int) -> int | None:
+        """The watermark of the batches before, in microseconds."""
+        if batch_id == 0:
+            return None
+        top = self.spark.read.schema("u long, batch int").parquet(self.seen).where(F.col("batch") < batch_id).agg(F.max("u")).first()[0]
+        return None if top is None else top - self.delay
+
+    def _held(self, batch_id: int, like: DataFrame) -> DataFrame:
+        schema = f"qid {like.schema['qid'].dataType.simpleString()}, n long, total long, last long"
+        return self.spark.createDataFrame([], schema) if batch_id == 0 else self.spark.read.schema(schema).parquet(f"{self.state}/batch={batch_id - 1}")
+
+    def add(self, batch: DataFrame, batch_id: int) -> None:
+        mark = self._mark(batch_id)
+        rows = batch.select("qid", "score", F.unix_micros("ts").alias("u"))
+        held = self._held(batch_id, batch)
+        timely = rows if mark is None else rows.where(F.col("u") > mark)
+        placed = timely.withColumn("r", F.row_number().over(Window.partitionBy("qid").orderBy("u")))
+        before = held.select("qid", F.col("n").alias("_n"), F.col("total").alias("_total"), F.col("last").alias("_last"))
+        room = F.col("r") <= self.full - F.coalesce("_n", F.lit(0))
+        came = placed.join(before.select("qid", "_n"), "qid", "left").groupBy("qid").agg(F.count_if(room).alias("more"), F.sum(F.when(room, F.col("score")).otherwise(0)).alias("plus"), F.max("u").alias("u"))
+        zero = F.lit(0).cast("long")
+        both = before.join(came, "qid", "full").select(
+            "qid", F.coalesce("_n", zero).alias("was"), (F.coalesce("_n", zero) + F.coalesce("more", zero)).alias("n"), (F.coalesce("_total", zero) + F.coalesce("plus", zero)).cast("long").alias("total"), F.greatest("_last", "u").alias("last"), F.col("u").isNull().alias("quiet")
+        )
+        over = F.lit(False) if mark is None else F.col("quiet") & (F.col("last") + self.span < mark)
+        table = Staged(both.withColumn("over", over), "score-batch")
+        done = (~F.col("over") & (F.col("was") < F.col("n")) & (F.col("n") == self.full)) | (F.col("over") & (F.col("n") < self.full))
+        table.df.where(done).select("qid", "n", "total").write.mode("overwrite").parquet(f"{self.out}/batch={batch_id}")
+        table.df.where(~F.col("over")).select("qid", "n", "total", "last").write.mode("overwrite").parquet(f"{self.state}/batch={batch_id}")
+        rows.agg(F.max("u").alias("u")).write.mode("overwrite").parquet(f"{self.seen}/batch={batch_id}")
+        table.drop()
+        if batch_id > 1:
+            remove(self.spark, f"{self.state}/batch={batch_id - 2}")
+        self.batches = batch_id + 1
+
+    def run(self, stream: DataFrame) -> DataFrame:
+        q = stream.writeStream.foreachBatch(self.add).option("checkpointLocation", fresh_path(self.spark, "score-checkpoint")).trigger(availableNow=True).start()
+        q.awaitTermination()
+        schema = f"qid {stream.schema['qid'].dataType.simpleString()}, n long, total long"
+        if not self.batches:
+            return self.spark.createDataFrame([], schema)
+        self.add(self.spark.createDataFrame([], stream.schema), self.batches)  # what the last batch's watermark ends
+        return self.spark.read.schema(schema).parquet(self.out).select("qid", "n", "total")
 
 
 class IncrementalDedup:
@@ -135,7 +164,8 @@ class IncrementalDedup:
     Within a batch the smaller id comes first. A smaller id that comes late therefore goes when a larger one
     was there before: what has been decided stays. The index holds bands and sets of all rows and is
     keyed by batch, so a repeated batch overwrites what it wrote before. A batch reads the stored bands once,
-    keeps those it shares, and takes only the sets of rows that they name.
+    keeps those it shares, and takes only the sets of rows that they name. Pairs are ruled out by sizes and
+    sketches before both sets of one meet; what a batch has staged goes with it.
     """
 
     def __init__(self, spark: SparkSession, threshold: float = 0.6) -> None:
@@ -151,19 +181,26 @@ class IncrementalDedup:
     def add(self, batch: DataFrame, batch_id: int) -> None:
         """batch: (id, text)"""
         coded = batch.select("id", shingles("text").alias("set")).withColumn("hset", M.hash_set())
-        signed = Staged(M.minhash(coded, drop=True), "batch-sets").df
-        bands, sets = Staged(M.lsh_bands(signed), "batch-bands").df, signed.select("id", "hset")
-        mine = bands.select(F.col("id").alias("b"), "band", "key")
-        before = self._past(self.bands, bands, batch_id).select(F.col("id").alias("a"), "band", "key")
-        earlier = before.join(mine, ["band", "key"]).select("a", "b")
-        among = bands.select(F.col("id").alias("a"), "band", "key").join(mine, ["band", "key"]).where("a < b").select("a", "b")
-        pairs = Staged(earlier.union(among).distinct(), "batch-pairs").df
-        named = pairs.select(F.col("a").alias("id")).distinct()
-        known = self._past(self.sets, sets, batch_id).join(named, "id", "left_semi").unionByName(sets)
-        gone = M.verify(pairs, known, self.threshold).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("by"))
-        batch.select("id").join(gone, "id", "left").select("id", F.coalesce("by", "id").alias("keep_id")).write.mode("overwrite").parquet(f"{self.out}/batch={batch_id}")
-        bands.write.mode("overwrite").parquet(f"{self.bands}/batch={batch_id}")
-        sets.write.mode("overwrite").parquet(f"{self.sets}/batch={batch_id}")
+        signed_table = Staged(M.minhash(coded, drop=True), "batch-sets")
+        signed = signed_table.df
+        bands_table = Staged(M.lsh_bands(signed), "batch-bands")
+        bands, sets = bands_table.df, signed.select("id", "hset")
+        before = self._past(self.bands, bands, batch_id)
+        met = Staged(before.join(bands.select("band", "key").distinct(), ["band", "key"], "left_semi"), "bands-met")
+        known = Staged(self._past(self.sets, sets, batch_id).join(met.df.select("id").distinct(), "id", "left_semi").unionByName(sets), "sets-met")
+        rows = met.df.withColumn("old", F.lit(True)).unionByName(bands.withColumn("old", F.lit(False)))
+        fits = M.sketched_pairs(rows, known.df, self.threshold)
+        # The row of this batch goes, of two such rows the larger id.
+        mine = signed.select(F.col("id").alias("b"), F.lit(True).alias("new"))
+        named = fits.join(mine, "b", "left").select(F.when(F.col("new"), F.col("a")).otherwise(F.col("b")).alias("a"), F.when(F.col("new"), F.col("b")).otherwise(F.col("a")).alias("b"))
+        pairs = Staged(named, "batch-pairs")
+        gone = Staged(M.verify(pairs.df, known.df, self.threshold).groupBy(F.col("b").alias("id")).agg(F.min("a").alias("by")), "batch-gone")
+        with released_shuffles(self.spark):
+            signed.select("id").join(gone.df, "id", "left").select("id", F.coalesce("by", "id").alias("keep_id")).write.mode("overwrite").parquet(f"{self.out}/batch={batch_id}")
+            bands.write.mode("overwrite").parquet(f"{self.bands}/batch={batch_id}")
+            sets.write.mode("overwrite").parquet(f"{self.sets}/batch={batch_id}")
+        for table in (signed_table, bands_table, met, known, pairs, gone):
+            table.drop()
 
     def run(self, stream: DataFrame) -> DataFrame:
         q = stream.writeStream.foreachBatch(self.add).option("checkpointLocation", fresh_path(self.spark, "index-state")).trigger(availableNow=True).start()
