@@ -145,6 +145,33 @@ def _may_reach(n: np.ndarray, bits: list[bytes], left: np.ndarray, right: np.nda
                 yield x[at + a], y[b]
 
 
+def _small_groups(g: np.ndarray, n: np.ndarray, bits: list[bytes], fresh: np.ndarray, threshold: float) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """The same for pairs within many groups, whose rows lie together: all rows meet the next one of their group, then the one behind it ..."""
+    width, share = np.array([len(x) for x in bits]), threshold / (1 + threshold)
+    place, own, folds = np.zeros(len(g), np.int64), {}, {}
+    for w in np.unique(width).tolist():
+        rows = np.flatnonzero(width == w)
+        place[rows] = np.arange(len(rows))
+        own[w] = np.frombuffer(b"".join(bits[k] for k in rows), np.uint64).reshape(len(rows), w // 8)
+
+    def folded(rows: np.ndarray, w: int, to: int) -> np.ndarray:
+        if (w, to) not in folds:
+            folds[w, to] = np.bitwise_xor.reduce(own[w].reshape(len(own[w]), -1, to // 8), axis=1)
+        return folds[w, to][place[rows]]
+
+    for d in range(1, len(g)):
+        i = np.flatnonzero(g[:-d] == g[d:])
+        if not len(i):
+            return
+        i = i[(fresh[i] | fresh[i + d]) & (np.minimum(n[i], n[i + d]) >= np.maximum(n[i], n[i + d]) * threshold - 1e-9)]
+        for pair in np.unique(np.stack([width[i], width[i + d]], axis=1), axis=0).tolist():
+            x = i[(width[i] == pair[0]) & (width[i + d] == pair[1])]
+            differ = np.bitwise_count(folded(x, pair[0], min(pair)) ^ folded(x + d, pair[1], min(pair))).sum(axis=1, dtype=np.int64)
+            both = n[x] + n[x + d]
+            x = x[(both - differ) / 2 >= both * share - 1e-9]
+            yield x, x + d
+
+
 def _folded(bits: bytes, width: int) -> np.ndarray:
     return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, width // 8), axis=0)
 
@@ -177,6 +204,21 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
                     if len(i):
                         yield pa.RecordBatch.from_arrays([ids.take(pa.array(i)), ids.take(pa.array(j))], names=["a", "b"])
 
+    def groups(rows: pa.Table) -> Iterator[pa.RecordBatch]:
+        """Of whole groups: the many small ones at once, the others one by one."""
+        g = rows.column("g").to_numpy()
+        cuts = np.concatenate([[0], np.flatnonzero(np.diff(g)) + 1, [len(g)]])
+        sizes = np.diff(cuts)
+        whole = np.bincount(np.repeat(np.arange(len(sizes)), sizes), rows.column("side").to_numpy() > 0, len(sizes)) == 0
+        for k in np.flatnonzero((sizes > 1) & ~((sizes <= 32) & whole)).tolist():
+            yield from pairs(rows.slice(int(cuts[k]), int(sizes[k])))
+        small = rows.filter(pa.array(np.repeat((sizes > 1) & (sizes <= 32) & whole, sizes)))
+        if small.num_rows:
+            ids, fresh = small.column("id").combine_chunks(), ~small.column("old").combine_chunks().to_numpy(zero_copy_only=False)
+            for i, j in _small_groups(small.column("g").to_numpy(), small.column("n").to_numpy().astype(np.int64), small.column("bits").to_pylist(), fresh, threshold):
+                if len(i):
+                    yield pa.RecordBatch.from_arrays([ids.take(pa.array(i)), ids.take(pa.array(j))], names=["a", "b"])
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[pa.Table] = []
         for batch in batches:
@@ -184,18 +226,13 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
                 continue
             table = pa.Table.from_batches([batch])
             g = batch.column("g").to_numpy()
-            cuts = [0, *(np.flatnonzero(np.diff(g)) + 1).tolist(), len(g)]
-            for at, end in zip(cuts, cuts[1:], strict=False):
-                part = table.slice(at, end - at)
-                if held and at == 0 and held[0].column("g")[0].as_py() != int(g[0]):
-                    yield from pairs(pa.concat_tables(held))
-                    held = []
-                held.append(part)
-                if end < len(g):
-                    yield from pairs(pa.concat_tables(held))
-                    held = []
+            last = int(np.searchsorted(g, g[-1]))  # the last group may go on
+            if last or (held and held[0].column("g")[0].as_py() != int(g[0])):
+                yield from groups(pa.concat_tables([*held, table.slice(0, last)]))
+                held = []
+            held.append(table.slice(last))
         if held:
-            yield from pairs(pa.concat_tables(held))
+            yield from groups(pa.concat_tables(held))
 
     kind = sets.schema["id"].dataType
     found = placed.mapInArrow(run, T.StructType([T.StructField("a", kind), T.StructField("b", kind)]))
