@@ -10,6 +10,7 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterable, Iterator
+from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -167,15 +168,13 @@ def kept_questions(lines: DataFrame, threshold: float = 0.6, bands: int = 32, at
     for first in range(0, bands, at_once):
         rows = Staged(band_rows(reps.df, first, min(first + at_once, bands)), "some-bands")
         several = Staged(rows.df.groupBy("band", "key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("band", "key"), "shared-bands")
-        shared.append(Staged(rows.df.join(several.df, ["band", "key"]).select("id", "band", "key"), "shared-rows").df)
+        shared.append(Staged(rows.df.join(several.df, ["band", "key"]).select("id", "band", "key"), "shared-rows"))
         rows.drop()
         several.drop()
-    banded = shared[0]
-    for more in shared[1:]:
-        banded = banded.union(more)
+    banded = reduce(DataFrame.union, [s.df for s in shared])
     sets = Staged(reps.df.select("id", "hset").join(banded.select("id").distinct(), "id", "left_semi"), "shared-sets").df
     reps.drop()
-    named = Staged(components(linking_edges(banded, sets, threshold)), "question-components").df
+    named = Staged(components(linking_edges(banded, sets, threshold, spent=shared)), "question-components").df
     best = named.join(names, F.col("node") == F.col("id")).groupBy("component").agg(F.min("qid").alias("qid")).select("qid")
     lone = names.join(named.select(F.col("node").alias("id")), "id", "left_anti").select("qid")
     return Staged(best.union(lone), "kept-questions").df

@@ -176,22 +176,28 @@ def _folded(bits: bytes, width: int) -> np.ndarray:
     return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, width // 8), axis=0)
 
 
-def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: int = 512) -> DataFrame:
+def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: int = 512, spent: list[Staged] | None = None) -> DataFrame:
     """(a, b): the candidate pairs that may reach the threshold by sizes and sketches; none that reaches it is lost.
 
     Rows meet in tiles of a bucket, so that a large bucket is dealt to many tasks; sets stay behind. Rows that
-    ``banded`` marks as ``old`` do not meet each other.
+    ``banded`` marks as ``old`` do not meet each other. spent: gets the tables that the pairs are read from.
     """
+    spent = [] if spent is None else spent
+
+    def put(df: DataFrame, name: str) -> DataFrame:
+        spent.append(Staged(df, name))
+        return spent[-1].df
+
     old = F.col("old") if "old" in banded.columns else F.lit(False)
-    rows = Staged(banded.select("id", F.xxhash64("band", "key").alias("g"), old.alias("old")), "band-rows").df
+    rows = put(banded.select("id", F.xxhash64("band", "key").alias("g"), old.alias("old")), "band-rows")
     sizes = rows.groupBy("g").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    met = Staged(rows.join(sizes, "g"), "bucket-rows").df
+    met = put(rows.join(sizes, "g"), "bucket-rows")
     k = F.ceil(F.col("m") / tile)
     lone = met.where(F.col("m") <= tile).select("id", "g", "old", F.lit(0).alias("side"))
     mine = met.where(F.col("m") > tile).withColumn("t", F.pmod(F.xxhash64("id"), k)).select("id", "g", "old", "t", F.explode(F.sequence(F.lit(0).cast("long"), k - 1)).alias("u"))
     side = F.when(F.col("t") == F.col("u"), 0).when(F.col("t") < F.col("u"), 1).otherwise(2)
     dealt = mine.select("id", F.xxhash64("g", F.least("t", "u"), F.greatest("t", "u")).alias("g"), "old", side.alias("side"))
-    placed = lone.union(dealt).join(Staged(sketches(sets), "sketches").df, "id").repartition("g").sortWithinPartitions("g")
+    placed = lone.union(dealt).join(put(sketches(sets), "sketches"), "id").repartition("g").sortWithinPartitions("g")
 
     def pairs(group: pa.Table) -> Iterator[pa.RecordBatch]:
         ids = group.column("id").combine_chunks()
@@ -239,27 +245,53 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, most: int = 64) -> DataFrame:
+def may_reach(pairs: DataFrame, sketched: DataFrame, threshold: float) -> DataFrame:
+    """(a, b): those of the pairs that sizes and sketches allow. Sketches move for it, a small part of what the sets take."""
+    side = lambda x: sketched.select(F.col("id").alias(x), F.col("n").alias(f"n{x}"), F.col("bits").alias(f"s{x}"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            m = batch.num_rows
+            if m:
+                n, bits = np.empty(2 * m, np.int64), [b""] * (2 * m)
+                for k, x in enumerate("ab"):
+                    n[k::2], bits[k::2] = batch.column(f"n{x}").to_numpy(), batch.column(f"s{x}").to_pylist()
+                found = [i for i, _ in _small_groups(np.repeat(np.arange(m), 2), n, bits, np.ones(2 * m, bool), threshold)]
+                yield batch.select(["a", "b"]).take(pa.array(np.concatenate(found) // 2 if found else np.empty(0, np.int64)))
+
+    met = pairs.join(side("a"), "a").join(side("b"), "b").select("a", "b", "na", "sa", "nb", "sb")
+    return met.mapInArrow(run, T.StructType(met.schema.fields[:2]))
+
+
+def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, most: int = 64, spent: list[Staged] | None = None) -> DataFrame:
     """(a, b): verified pairs with the same connected components as all verified candidate pairs.
 
     Buckets of up to ``most`` rows give all their pairs. A larger one is settled in steps that are linear in
     its rows. Every row meets the bucket's most central one, that with the fewest members no other row has:
     two sets are alike only if both have few such members, so it links nearly all that can be linked. Rows
     outside the bucket's largest component then meet the most central of them. What is still apart goes
-    through ``prefix_candidates``, which drops rows with too many members of their own at once.
+    through ``prefix_candidates``, which drops rows with too many members of their own at once. Tables go as soon as
+    nothing reads them any more; spent: those that hold ``banded``, if it is written already.
     """
-    rows = Staged(banded, "bands").df
+    if spent is None:
+        spent = [Staged(banded, "bands")]
+        banded = spent[0].df
+    rows = banded
     sizes = Staged(rows.groupBy("band", "key").agg(F.count(F.lit(1)).alias("n")).where("n > 1"), "buckets").df
     hset = F.col("hset") if "hset" in sets.columns else hash_set()
-    small = sketched_pairs(rows.join(sizes.where(F.col("n") <= most), ["band", "key"], "left_semi"), sets.select("id", hset.alias("hset")), threshold)
+    small = sketched_pairs(rows.join(sizes.where(F.col("n") <= most), ["band", "key"], "left_semi"), sets.select("id", hset.alias("hset")), threshold, spent=spent)
     large = sizes.where(F.col("n") > most)
     if large.isEmpty():
-        return verify(small, sets, threshold).select("a", "b")
+        links = Staged(verify(small, sets, threshold).select("a", "b"), "links").df
+        _drop(spent)
+        return links
     held = Staged(rows.join(large, ["band", "key"], "left_semi"), "large-buckets").df
     coded = sets.select("id", hset.alias("hset")).join(held.select("id").distinct(), "id", "left_semi")
-    own = Staged(_own_members(coded), "own-members").df
+    spent.append(Staged(_own_members(coded), "own-members"))
+    own = spent[-1].df
     placed = Staged(held.join(own.select("id", "own"), "id").select("band", "key", "id", "own"), "placed-rows").df
     first = Staged(verify(small.union(_stars(placed)).distinct(), sets, threshold).select("a", "b"), "first-links").df
+    _drop(spent)
     apart = _apart(placed, first)
     if apart is None:
         return first
@@ -269,7 +301,13 @@ def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, mo
     if apart is None:
         return both
     open_ = Staged(coded.join(apart.groupBy("id").agg(F.max("c").alias("c"), F.max("minor").alias("minor")), "id"), "open-rows").df
-    return both.union(verify(prefix_candidates(open_, threshold, "c", "minor"), sets, threshold).select("a", "b"))
+    may = Staged(may_reach(prefix_candidates(open_, threshold, "c", "minor"), Staged(sketches(open_), "open-sketches").df, threshold), "open-pairs").df
+    return both.union(verify(may, sets, threshold).select("a", "b"))
+
+
+def _drop(spent: list[Staged]) -> None:
+    while spent:
+        spent.pop().drop()
 
 
 def _own_members(coded: DataFrame) -> DataFrame:

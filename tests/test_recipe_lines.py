@@ -78,6 +78,14 @@ def test_no_signature_and_no_text_is_staged(spark, sf, monkeypatch):
     assert seen and not any(columns & {"text", "question", "answer", "signature"} for _, columns in seen)
 
 
+def test_large_buckets_keep_their_components(spark, sf):
+    sets = stage(lines.question_lines(given(spark, sf)).select(F.col("id"), "hset").where(F.size("hset") > 0), "sets")
+    banded = lines.band_rows(sets, 0, 32)
+    want = minhash.components(minhash.verify(minhash.candidate_pairs(banded), sets).select("a", "b"))
+    got = minhash.components(minhash.linking_edges(banded, sets, most=2))
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
 def test_small_groups_lose_no_pair():
     rng = np.random.default_rng(3)
     sets = [rng.choice(60, rng.integers(1, 50), replace=False) for _ in range(300)]
