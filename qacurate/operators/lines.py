@@ -10,7 +10,6 @@ from __future__ import annotations
 import hashlib
 import re
 from collections.abc import Iterable, Iterator
-from functools import reduce
 
 import numpy as np
 import pyarrow as pa
@@ -23,7 +22,7 @@ from qacurate.operators import decontam, refine
 from qacurate.operators.extract import STANDARDS, Standard
 from qacurate.operators.graph import components
 from qacurate.operators.knn import Best, checked
-from qacurate.operators.minhash import PRIME, coefficients, linking_edges
+from qacurate.operators.minhash import PRIME, coefficients, linked
 from qacurate.staging import Staged
 
 STEP = 128  # chunks that are worked on at once
@@ -159,22 +158,15 @@ def band_rows(sets: DataFrame, first: int, upto: int, rows: int = 4, num_perm: i
 def kept_questions(lines: DataFrame, threshold: float = 0.6, bands: int = 32, at_once: int = 8) -> DataFrame:
     """(qid): what ``minhash_dedup`` keeps of ``question_lines``.
 
-    Most bands of a short question are its own. So bands are made from the sets ``at_once`` at a time and only those
-    that two questions share are written; sets go on for these questions alone. No signature is stored.
+    Most bands of a short question are its own. So bands are made from the sets ``at_once`` at a time and are gone before the
+    next ones are made: what stays of them is the pairs that sketches allow. No signature is stored.
     """
     reps = Staged(lines.groupBy("key").agg(F.min("id").alias("qid"), F.first("hset").alias("hset")).select("qid", "hset", F.monotonically_increasing_id().alias("id")), "questions")
     names = Staged(reps.df.select("id", "qid"), "question-ids").df
-    shared = []
-    for first in range(0, bands, at_once):
-        rows = Staged(band_rows(reps.df, first, min(first + at_once, bands)), "some-bands")
-        several = Staged(rows.df.groupBy("band", "key").agg(F.count(F.lit(1)).alias("m")).where("m > 1").select("band", "key"), "shared-bands")
-        shared.append(Staged(rows.df.join(several.df, ["band", "key"]).select("id", "band", "key"), "shared-rows"))
-        rows.drop()
-        several.drop()
-    banded = reduce(DataFrame.union, [s.df for s in shared])
-    sets = Staged(reps.df.select("id", "hset").join(banded.select("id").distinct(), "id", "left_semi"), "shared-sets").df
+    parts = (Staged(band_rows(reps.df, first, min(first + at_once, bands)), "some-bands") for first in range(0, bands, at_once))
+    links = linked(parts, reps.df.select("id", "hset"), threshold, dense=True)
     reps.drop()
-    named = Staged(components(linking_edges(banded, sets, threshold, spent=shared)), "question-components").df
+    named = Staged(components(links), "question-components").df
     best = named.join(names, F.col("node") == F.col("id")).groupBy("component").agg(F.min("qid").alias("qid")).select("qid")
     lone = names.join(named.select(F.col("node").alias("id")), "id", "left_anti").select("qid")
     return Staged(best.union(lone), "kept-questions").df

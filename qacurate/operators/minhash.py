@@ -8,7 +8,7 @@ from __future__ import annotations
 
 import hashlib
 import math
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 from functools import reduce
 
 import numpy as np
@@ -176,11 +176,13 @@ def _folded(bits: bytes, width: int) -> np.ndarray:
     return np.bitwise_xor.reduce(np.frombuffer(bits, np.uint64).reshape(-1, width // 8), axis=0)
 
 
-def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: int = 512, spent: list[Staged] | None = None) -> DataFrame:
+def sketched_pairs(banded: DataFrame, sets: DataFrame | None, threshold: float, tile: int = 512, spent: list[Staged] | None = None, sketched: DataFrame | None = None) -> DataFrame:
     """(a, b): the candidate pairs that may reach the threshold by sizes and sketches; none that reaches it is lost.
 
     Rows meet in tiles of a bucket, so that a large bucket is dealt to many tasks; sets stay behind. Rows that
-    ``banded`` marks as ``old`` do not meet each other. spent: gets the tables that the pairs are read from.
+    ``banded`` marks as ``old`` do not meet each other, nor do those of one component ``c``. Where it has the number of rows of
+    each bucket (``m``), it is taken as it is. sketched: the sketches of the sets, if they are written already. spent: gets the
+    tables that the pairs are read from.
     """
     spent = [] if spent is None else spent
 
@@ -189,15 +191,28 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
         return spent[-1].df
 
     old = F.col("old") if "old" in banded.columns else F.lit(False)
-    rows = put(banded.select("id", F.xxhash64("band", "key").alias("g"), old.alias("old")), "band-rows")
-    sizes = rows.groupBy("g").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
-    met = put(rows.join(sizes, "g"), "bucket-rows")
+    part = [F.xxhash64("c").alias("c")] if "c" in banded.columns else []
+    rows = banded.select("id", F.xxhash64("band", "key").alias("g"), old.alias("old"), *part, *(["m"] if "m" in banded.columns else []))
+    met = rows
+    if "m" not in banded.columns:
+        rows = put(rows, "band-rows")
+        sizes = rows.groupBy("g").agg(F.count(F.lit(1)).alias("m")).where("m > 1")
+        met = put(rows.join(sizes, "g"), "bucket-rows")
+    c = ["c"] if part else []
+    if sketched is None:
+        sketched = put(sketches(sets), "sketches")
     k = F.ceil(F.col("m") / tile)
-    lone = met.where(F.col("m") <= tile).select("id", "g", "old", F.lit(0).alias("side"))
-    mine = met.where(F.col("m") > tile).withColumn("t", F.pmod(F.xxhash64("id"), k)).select("id", "g", "old", "t", F.explode(F.sequence(F.lit(0).cast("long"), k - 1)).alias("u"))
+    lone = met.where(F.col("m") <= tile).select("id", "g", "old", *c, F.lit(0).alias("side"))
+    mine = met.where(F.col("m") > tile).withColumn("t", F.pmod(F.xxhash64("id"), k)).select("id", "g", "old", *c, "t", F.explode(F.sequence(F.lit(0).cast("long"), k - 1)).alias("u"))
     side = F.when(F.col("t") == F.col("u"), 0).when(F.col("t") < F.col("u"), 1).otherwise(2)
-    dealt = mine.select("id", F.xxhash64("g", F.least("t", "u"), F.greatest("t", "u")).alias("g"), "old", side.alias("side"))
-    placed = lone.union(dealt).join(put(sketches(sets), "sketches"), "id").repartition("g").sortWithinPartitions("g")
+    dealt = mine.select("id", F.xxhash64("g", F.least("t", "u"), F.greatest("t", "u")).alias("g"), "old", *c, side.alias("side"))
+    placed = lone.union(dealt).join(sketched, "id").repartition("g").sortWithinPartitions("g")
+
+    def apart(rows: pa.Table, i: np.ndarray, j: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        if not c or not len(i):
+            return i, j
+        of = rows.column("c").to_numpy()
+        return i[of[i] != of[j]], j[of[i] != of[j]]
 
     def pairs(group: pa.Table) -> Iterator[pa.RecordBatch]:
         ids = group.column("id").combine_chunks()
@@ -207,6 +222,7 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
         for x, y in ((lone, None), (lone, lone_old), (x1, x2), (x1, o2), (o1, x2)):
             if len(x) > (y is None) and (y is None or len(y)):
                 for i, j in _may_reach(n, bits, x, y, threshold):
+                    i, j = apart(group, i, j)
                     if len(i):
                         yield pa.RecordBatch.from_arrays([ids.take(pa.array(i)), ids.take(pa.array(j))], names=["a", "b"])
 
@@ -222,6 +238,7 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
         if small.num_rows:
             ids, fresh = small.column("id").combine_chunks(), ~small.column("old").combine_chunks().to_numpy(zero_copy_only=False)
             for i, j in _small_groups(small.column("g").to_numpy(), small.column("n").to_numpy().astype(np.int64), small.column("bits").to_pylist(), fresh, threshold):
+                i, j = apart(small, i, j)
                 if len(i):
                     yield pa.RecordBatch.from_arrays([ids.take(pa.array(i)), ids.take(pa.array(j))], names=["a", "b"])
 
@@ -240,7 +257,7 @@ def sketched_pairs(banded: DataFrame, sets: DataFrame, threshold: float, tile: i
         if held:
             yield from groups(pa.concat_tables(held))
 
-    kind = sets.schema["id"].dataType
+    kind = sketched.schema["id"].dataType
     found = placed.mapInArrow(run, T.StructType([T.StructField("a", kind), T.StructField("b", kind)]))
     return found.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
@@ -305,11 +322,101 @@ def linking_edges(banded: DataFrame, sets: DataFrame, threshold: float = 0.6, mo
     return both.union(verify(may, sets, threshold).select("a", "b"))
 
 
+def linked(parts: Iterable[Staged], sets: DataFrame, threshold: float = 0.6, most: int = 64, wide: int = 1 << 14, dense: bool = False) -> DataFrame:
+    """The edges of ``linking_edges`` with less on disk. Bands come in parts, each (id, band, key) of whole bands, which goes before
+    the next one is made; what stays of it are pairs that sketches allow and rows of large buckets.
+
+    Rows that are still apart after both rounds of central rows meet by sketches in buckets of up to ``wide`` rows, and by
+    ``prefix_candidates`` in those above. Sketches rule pairs out before sets move, and sets move for pairs that are left
+    only. dense: ids count up within a few ranges; see ``_only``.
+    """
+    coded = sets.select("id", (F.col("hset") if "hset" in sets.columns else hash_set()).alias("hset"))
+    sketched = Staged(sketches(coded), "sketches")
+    near, large = [], []
+    for part in parts:
+        several = Staged(part.df.groupBy("band", "key").agg(F.count(F.lit(1)).alias("m")).where("m > 1"), "buckets")
+        met = Staged(part.df.join(several.df, ["band", "key"]), "bucket-rows")
+        _drop([part, several])
+        near.append(Staged(sketched_pairs(met.df.where(F.col("m") <= most), None, threshold, sketched=sketched.df), "near-pairs"))
+        large.append(Staged(met.df.where(F.col("m") > most).select("band", "key", "id"), "large-buckets"))
+        met.drop()
+    pairs = reduce(DataFrame.union, [x.df for x in near])
+    held = reduce(DataFrame.union, [x.df for x in large])
+    check = lambda pairs: _verified(pairs, coded, sketched.df, threshold, dense)
+    if held.isEmpty():
+        links = check(pairs)
+        _drop([*near, *large, sketched])
+        return links
+    own = _own_in_turns(_only(coded, held.select("id"), dense))
+    placed = Staged(held.join(own.df, "id", "left").fillna(0, ["own"]).select("band", "key", "id", "own"), "placed-rows")
+    _drop([*large, own])
+    links = check(pairs.union(may_reach(_stars(placed.df).distinct(), sketched.df, threshold)))
+    _drop(near)
+    apart = _apart(placed.df, links)
+    if apart is not None:
+        links = links.union(check(may_reach(_stars(apart.where("minor")).distinct(), sketched.df, threshold)))
+        apart = _apart(placed.df, links)
+    if apart is not None:
+        mid = Staged(apart.where(F.col("m") <= wide).select("band", "key", "id", "c", (~F.col("minor")).alias("old"), "m"), "apart-rows")
+        last = sketched_pairs(mid.df, None, threshold, 2048, sketched=sketched.df)
+        open_ = apart.where(F.col("m") > wide).groupBy("id").agg(F.max("c").alias("c"), F.max("minor").alias("minor"))
+        if not open_.isEmpty():
+            open_ = Staged(_only(coded, open_.select("id"), dense).join(open_, "id"), "open-rows").df
+            last = last.union(may_reach(prefix_candidates(open_, threshold, "c", "minor"), sketched.df, threshold))
+        links = links.union(check(last))
+        mid.drop()
+    _drop([placed, sketched])
+    return links
+
+
 def _drop(spent: list[Staged]) -> None:
     while spent:
         spent.pop().drop()
 
 
+def _only(sets: DataFrame, ids: DataFrame, dense: bool) -> DataFrame:
+    """The sets of the ids. dense: a bit for each id up to the largest of its range goes to every executor, and no set moves."""
+    if not dense:
+        return sets.join(ids.distinct(), "id", "left_semi")
+    bits = Staged(ids.groupBy(F.bitmap_bucket_number("id").alias("g")).agg(F.bitmap_construct_agg(F.bitmap_bit_position("id")).alias("bits")), "id-bits").df
+    at = F.bitmap_bit_position("id")
+    eight = F.conv(F.hex(F.substr("bits", (F.floor(at / 8) + 1).cast("int"), F.lit(1))), 16, 10).cast("long")
+    met = sets.join(F.broadcast(bits), F.bitmap_bucket_number("id") == F.col("g"))
+    return met.where(F.getbit(eight, (at % 8).cast("int")) == 1).select(sets.columns)
+
+
+def _verified(pairs: DataFrame, coded: DataFrame, sketched: DataFrame, threshold: float, dense: bool) -> DataFrame:
+    """(a, b) of the pairs at or above the threshold. dense: in turns, each of which moves about a quarter of the words of all sets at most."""
+    held = Staged(pairs.distinct(), "pairs")
+    if not dense:
+        links = Staged(verify(held.df, coded, threshold).select("a", "b"), "links").df
+        held.drop()
+        return links
+    words = sketched.agg(F.sum("n")).first()[0] or 0
+    moved = held.df.join(sketched.select(F.col("id").alias("a"), "n"), "a").agg(F.sum("n")).first()[0] or 0
+    turns = max(1, -(-4 * moved // max(words, 1)))
+    links = []
+    for turn in range(turns):
+        mine = held.df.where(F.pmod(F.xxhash64("a", "b"), F.lit(turns)) == turn)
+        sets = _only(coded, mine.select(F.col("a").alias("id")).union(mine.select("b")), dense)
+        links.append(Staged(verify(mine, sets, threshold).select("a", "b"), "links").df)
+    held.drop()
+    return reduce(DataFrame.union, links)
+
+
+def _own_in_turns(coded: DataFrame, turns: int = 4) -> Staged:
+    """(id, own): how many members of each row no other row has; rows without any are left out. A part of the words moves at a time."""
+    held, parts = Staged(coded, "held-sets"), []
+    for turn in range(turns):
+        each = held.df.select("id", F.explode(F.filter("hset", lambda w: F.pmod(w, F.lit(turns)) == turn)).alias("word"))
+        alone = each.groupBy("word").agg(F.min("id").alias("id"), F.count(F.lit(1)).alias("df")).where("df = 1")
+        parts.append(Staged(alone.groupBy("id").agg(F.count(F.lit(1)).alias("own")), "own-members"))
+    held.drop()
+    own = Staged(reduce(DataFrame.union, [x.df for x in parts]).groupBy("id").agg(F.sum("own").alias("own")), "own-members")
+    _drop(parts)
+    return own
+
+
 def _own_members(coded: DataFrame) -> DataFrame:
     """(id, own): how many members of each row no other row has."""
     each = coded.select("id", F.explode("hset").alias("word"))
@@ -325,12 +432,12 @@ def _stars(placed: DataFrame) -> DataFrame:
 
 
 def _apart(placed: DataFrame, links: DataFrame) -> DataFrame | None:
-    """The rows of buckets that hold several components, with their component ``c`` and whether it is a
-    ``minor`` one of the bucket; None if there are no such buckets."""
+    """The rows of buckets that hold several components, with their component ``c``, whether it is a
+    ``minor`` one of the bucket, and the bucket's number of rows ``m``; None if there are no such buckets."""
     named = placed.join(components(links), F.col("id") == F.col("node"), "left").select("band", "key", "id", "own", F.coalesce("component", "id").alias("c"))
     named = Staged(named, "named-rows").df
     parts = named.groupBy("band", "key", "c").agg(F.count(F.lit(1)).alias("m"))
-    several = Staged(parts.groupBy("band", "key").agg(F.count(F.lit(1)).alias("k"), F.max_by("c", F.struct("m", "c")).alias("main")).where("k > 1").select("band", "key", "main"), "split-buckets").df
+    several = Staged(parts.groupBy("band", "key").agg(F.count(F.lit(1)).alias("k"), F.max_by("c", F.struct("m", "c")).alias("main"), F.sum("m").alias("m")).where("k > 1").select("band", "key", "main", "m"), "split-buckets").df
     return None if several.isEmpty() else named.join(several, ["band", "key"]).withColumn("minor", F.col("c") != F.col("main"))
 
 

@@ -1,5 +1,7 @@
 """Recipes without tables of texts: ids, hashes and verdicts are those of the operators that read the texts."""
 
+import os
+
 import numpy as np
 from pyspark.sql import functions as F
 
@@ -8,7 +10,7 @@ from qacurate.operators import extract, ingest, lines, minhash, refine
 from qacurate.plans.recipe import Recipe, leaked, run_textbook, textbook_marks
 from qacurate.queries.common import recipe_books
 from qacurate.queries.decontam import items
-from qacurate.staging import stage
+from qacurate.staging import Staged, stage
 
 ODD = [
     (1, "Why is it so that one two three. \n\nIt is so because it is so and then. It ends here!\nSee Page 5 of it and of what follows it  now\ttoo?"),
@@ -104,3 +106,34 @@ def test_small_groups_lose_no_pair():
         for x, y in ((rows[fresh[rows]], None), (rows[fresh[rows]], rows[~fresh[rows]])):
             want |= {(int(min(a, b)), int(max(a, b))) for i, j in minhash._may_reach(n, bits, x, y, 0.5) for a, b in zip(i, j, strict=True)}
     assert got == want and got
+
+
+def test_parts_of_bands_keep_all_components(spark, sf):
+    made = lines.question_lines(given(spark, sf)).where(F.size("hset") > 0).groupBy("key").agg(F.first("hset").alias("hset"))
+    sets = stage(made.select("hset", F.monotonically_increasing_id().alias("id")), "sets")
+    banded = lines.band_rows(sets, 0, 32)
+    want = sorted(map(tuple, minhash.components(minhash.verify(minhash.candidate_pairs(banded), sets).select("a", "b")).collect()))
+    for most, wide in ((64, 1 << 14), (2, 1 << 14), (2, 4)):
+        parts = (Staged(lines.band_rows(sets, k, k + 16), "some-bands") for k in (0, 16))
+        assert sorted(map(tuple, minhash.components(minhash.linked(parts, sets, most=most, wide=wide, dense=True)).collect())) == want and want
+
+
+def test_sets_of_ids_are_those_of_a_join(spark):
+    sets = spark.createDataFrame([((p << 33) + k,) for p in range(3) for k in (0, 1, 7, 8, 32767, 32768, 32769, 70000)], "id long")
+    ids = sets.where("id % 3 <> 1").union(sets.limit(2))
+    assert sorted(minhash._only(sets, ids, True).collect()) == sorted(minhash._only(sets, ids, False).collect())
+
+
+def test_bands_go_before_the_next_are_made(spark, sf, monkeypatch):
+    seen, left, init = [], [], Staged.__init__
+
+    def made(self, df, name):
+        if name == "some-bands":
+            left.append([n for n, x in seen if {"id", "band", "key"} <= set(x.schema.names) and os.path.exists(x.path.removeprefix("file://")) and n != "large-buckets"])
+        init(self, df, name)
+        seen.append((name, self))
+
+    monkeypatch.setattr(Staged, "__init__", made)
+    lines.kept_questions(lines.question_lines(given(spark, sf)))
+    assert len(left) > 1 and not any(left)
+    assert {n for n, x in seen if "hset" in x.schema.names} <= {"questions", "held-sets", "open-rows"}
