@@ -137,3 +137,12 @@ def test_bands_go_before_the_next_are_made(spark, sf, monkeypatch):
     lines.kept_questions(lines.question_lines(given(spark, sf)))
     assert len(left) > 1 and not any(left)
     assert {n for n, x in seen if "hset" in x.schema.names} <= {"questions", "held-sets", "open-rows"}
+
+
+def test_textbook_recipe_holds_sets_once(spark, sf, monkeypatch):
+    seen, init = [], Staged.__init__
+    monkeypatch.setattr(Staged, "__init__", lambda self, df, name: (init(self, df, name), seen.append((name, self)))[0])
+    textbook_marks(given(spark, sf), items(spark, sf))
+    held = [(name, x) for name, x in seen if "hset" in x.schema.names]
+    assert held and {name for name, _ in held} <= {"questions", "held-sets", "open-rows"}
+    assert not any(os.path.exists(x.path.removeprefix("file://")) for name, x in held if name == "questions")
